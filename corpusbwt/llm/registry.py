@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from corpusbwt.llm import packing
+from corpusbwt.llm import byte_bpe, near_dedup, packing, token_counts
 from corpusbwt.llm.common import table
 
 
@@ -13,5 +13,20 @@ def op3_curve_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
-QUERIES = {f.__name__: f for f in (op3_curve_packing,)}
+def op6_transducer_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Tokens of every document by the lower-casing vocabulary with word ends."""
+    return token_counts.token_counts(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+def op8_hamming_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Near-duplicate components of all documents."""
+    return near_dedup.near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+def op9_recursive_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document encoded by the byte-level ranks and decoded again."""
+    return byte_bpe.round_trip(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+QUERIES = {f.__name__: f for f in (op3_curve_packing, op6_transducer_token_counts, op8_hamming_near_duplicates, op9_recursive_byte_bpe)}
 SQL: dict[str, str] = {}
