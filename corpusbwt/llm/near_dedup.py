@@ -7,7 +7,8 @@ filed under every choice of the symbols that may differ. All pairs under that di
 pair at the similarity threshold still meets with a probability of 1 - 1.6e-6. Every link is confirmed on full sets.
 
 Buckets never yield all their pairs. First, each member meets its bucket's smallest document; confirmed links are
-contracted. Then only members of different components are compared, signature against signature, in blocks.
+contracted. Then only members of different components are compared, in blocks, by a longer signature of ``SCREEN`` symbols of
+8 bits that lets no more than the likely pairs through to the sets.
 """
 
 from __future__ import annotations
@@ -29,15 +30,16 @@ from corpusbwt.session import release, written
 SHINGLE = 5
 CHUNKS, WIDTH, ERRORS = 10, 4, 1
 SYMBOLS = CHUNKS * WIDTH
-#: Pairs from a bucket that differ in more symbols are not looked at: at a similarity of 0.75, one in ten million.
-FURTHEST = 25
+SCREEN = 128
+#: Pairs from a bucket that differ in more screen symbols are not looked at: at a similarity of 0.75, three in a million.
+FURTHEST = 54
 BLOCK = 2048
 #: Up to so many ids (8 bytes each) are sent to every executor to pick their texts; beyond it the texts are shuffled.
 MOST_SENT = 1_000_000
 
 _RANDOM = np.random.default_rng(5)
-_FACTOR = _RANDOM.integers(1 << 63, size=SYMBOLS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-_OFFSET = _RANDOM.integers(1 << 63, size=SYMBOLS, dtype=np.uint64) * np.uint64(2)
+_FACTOR = _RANDOM.integers(1 << 63, size=SCREEN, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_OFFSET = _RANDOM.integers(1 << 63, size=SCREEN, dtype=np.uint64) * np.uint64(2)
 _PLACE = _RANDOM.integers(1 << 63, size=SHINGLE, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _BLANK = np.zeros(256, bool)
 _BLANK[[0x20, *range(0x09, 0x0E)]] = True
@@ -70,12 +72,12 @@ def shingles(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
 
 
 def signatures(hashes: np.ndarray, bounds: np.ndarray) -> np.ndarray:
-    """Symbols (texts, SYMBOLS) of 16 bits; zeros for a text without shingles."""
-    out = np.zeros((len(bounds) - 1, SYMBOLS), np.uint16)
+    """Symbols (texts, SCREEN) of 16 bits; zeros for a text without shingles."""
+    out = np.zeros((len(bounds) - 1, SCREEN), np.uint16)
     full = np.flatnonzero(np.diff(bounds))
     if len(full):
         at = bounds[full]
-        for i in range(SYMBOLS):
+        for i in range(SCREEN):
             low = np.minimum.reduceat(hashes * _FACTOR[i] + _OFFSET[i], at)
             out[full, i] = textscan.mix(low).astype(np.uint16)
     return out
@@ -95,7 +97,7 @@ def bucket_keys(symbols: np.ndarray) -> np.ndarray:
 
 
 def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("digest", pa.binary()), ("keys", pa.list_(pa.int64())), ("symbols", pa.binary())])
+    schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("digest", pa.binary()), ("keys", pa.list_(pa.int64())), ("screen", pa.binary())])
     for batch in batches:
         texts = texts_of(batch.column(1))
         for lo, hi in textscan.slices(np.fromiter(map(len, texts), np.int64, len(texts))):
@@ -105,7 +107,7 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             sizes = np.array([len(s) for s in sets])
             keys = pa.ListArray.from_arrays(np.arange(hi - lo + 1) * (CHUNKS * WIDTH), bucket_keys(symbols).ravel())
             digests = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None for s in sets]
-            yield batch_of(schema, [batch.column(0).slice(lo, hi - lo), sizes, digests, keys, [s.tobytes() for s in symbols]])
+            yield batch_of(schema, [batch.column(0).slice(lo, hi - lo), sizes, digests, keys, [s.tobytes() for s in symbols.astype(np.uint8)]])
 
 
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -145,12 +147,12 @@ def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     def pairs(rows: pa.Table) -> Iterator[pa.RecordBatch]:
         rep, part, side = (rows.column(c).to_numpy() for c in ("rep", "part", "side"))
-        symbols = np.frombuffer(b"".join(rows.column("symbols").to_pylist()), np.uint16).reshape(-1, SYMBOLS)
-        step = max(1, (1 << 24) // (SYMBOLS * max(1, len(rep))))
+        symbols = np.frombuffer(b"".join(rows.column("screen").to_pylist()), np.uint8).reshape(-1, SCREEN)
+        step = max(1, (1 << 22) // max(1, len(rep)))
         for lo in range(0, len(rep), step):
             own = slice(lo, lo + step)
             far = np.zeros((len(rep[own]), len(rep)), np.uint8)
-            for i in range(SYMBOLS):
+            for i in range(SCREEN):
                 far += symbols[own, i, None] != symbols[None, :, i]
             near = (far <= FURTHEST) & (part[own, None] != part[None, :]) & (rep[own, None] < rep[None, :])
             if side.any():  # two blocks of a large bucket: only pairs across them
@@ -187,9 +189,9 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     if similarity < 75:
         raise ValueError("signatures are dimensioned for a similarity of 0.75 or more")
     texts = df.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-    rows = written(texts.mapInArrow(_sketch, "doc_id long, n_shingles long, digest binary, keys array<long>, symbols binary"))
+    rows = written(texts.mapInArrow(_sketch, "doc_id long, n_shingles long, digest binary, keys array<long>, screen binary"))
     classes = written(rows.where("doc_id is not null and digest is not null").groupBy("digest").agg(F.min("doc_id").alias("rep")))
-    ones = rows.select("digest", F.col("doc_id").alias("rep"), "keys", "symbols").join(classes, ["digest", "rep"]).select("rep", "keys", "symbols")
+    ones = rows.select("digest", F.col("doc_id").alias("rep"), "keys", "screen").join(classes, ["digest", "rep"]).select("rep", "keys", "screen")
     ones = written(ones)
     filed = ones.select("rep", F.explode("keys").alias("key"))
     buckets = filed.groupBy("key").agg(F.min("rep").alias("lead"), F.max("rep").alias("last"), F.count("*").alias("n")).where("lead < last")
@@ -205,7 +207,7 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
     cells = open_.select("key", "rep", "part", "own", "blocks", other.alias("with"))
     cells = cells.select("key", "rep", "part", (F.least("own", "with") * F.col("blocks") + F.greatest("own", "with")).alias("cell"), F.when(F.col("own") > F.col("with"), 1).otherwise(0).alias("side"))
-    cells = cells.join(ones.select("rep", "symbols"), "rep").select("key", "cell", "rep", "part", "side", "symbols")
+    cells = cells.join(ones.select("rep", "screen"), "rep").select("key", "cell", "rep", "part", "side", "screen")
     met = cells.repartition("key", "cell").sortWithinPartitions("key", "cell").mapInArrow(_across, "a long, b long").distinct()
     more = _confirmed(met, known, similarity)
     parts = components(links.union(more)).select(F.col("node").alias("rep"), "component")
