@@ -1,6 +1,6 @@
 """Near-duplicate groups by a multi-index Hamming join over b-bit MinHash signatures.
 
-A signature has ``CHUNKS * WIDTH`` symbols of 16 bits, each the low bits of one minimum over a document's shingles. The
+A signature has ``CHUNKS * WIDTH`` symbols of 16 bits, each taken from one minimum over a document's shingles. The
 distance of two signatures is the number of symbols that differ. Cut into chunks, two signatures at a distance of at most
 ``CHUNKS * (ERRORS + 1) - 1`` agree in some chunk but for ``ERRORS`` symbols, by the pigeonhole principle; so each chunk is
 filed under every choice of the symbols that may differ. All pairs under that distance meet in a bucket, and beyond it a
@@ -8,7 +8,7 @@ pair at the similarity threshold still meets with a probability of 1 - 1.6e-6. E
 
 Buckets never yield all their pairs. First, each member meets its bucket's smallest document; confirmed links are
 contracted. Then only members of different components are compared, in blocks, by a longer signature of ``SCREEN`` symbols of
-8 bits that lets no more than the likely pairs through to the sets.
+8 bits that lets no more than the likely pairs through to the sets; a pair that shares several buckets leaves the first.
 """
 
 from __future__ import annotations
@@ -30,17 +30,20 @@ from corpusbwt.session import release, written
 SHINGLE = 5
 CHUNKS, WIDTH, ERRORS = 10, 4, 1
 SYMBOLS = CHUNKS * WIDTH
-SCREEN = 128
-#: Pairs from a bucket that differ in more screen symbols are not looked at: at a similarity of 0.75, three in a million.
-FURTHEST = 54
+SCREEN, FIRST_LOOK = 512, 128
+#: Pairs of a bucket that differ in more screen symbols (of the first ones, of all) are not looked at further; at a
+#: similarity of 0.75 either bound lies four and a half standard deviations off, for three pairs in a million.
+FURTHEST = 54, 172
 BLOCK = 2048
 #: Up to so many ids (8 bytes each) are sent to every executor to pick their texts; beyond it the texts are shuffled.
 MOST_SENT = 1_000_000
 
 _RANDOM = np.random.default_rng(5)
-_FACTOR = _RANDOM.integers(1 << 63, size=SCREEN, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-_OFFSET = _RANDOM.integers(1 << 63, size=SCREEN, dtype=np.uint64) * np.uint64(2)
+_FACTOR = _RANDOM.integers(1 << 31, size=SCREEN, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
+_OFFSET = _RANDOM.integers(1 << 32, size=SCREEN, dtype=np.uint32)
 _PLACE = _RANDOM.integers(1 << 63, size=SHINGLE, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+#: The symbols that each key keeps, in the order of keys.
+_KEPT = [(c, kept) for c in range(CHUNKS) for kept in combinations(range(WIDTH), WIDTH - ERRORS)]
 _BLANK = np.zeros(256, bool)
 _BLANK[[0x20, *range(0x09, 0x0E)]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
@@ -76,9 +79,9 @@ def signatures(hashes: np.ndarray, bounds: np.ndarray) -> np.ndarray:
     out = np.zeros((len(bounds) - 1, SCREEN), np.uint16)
     full = np.flatnonzero(np.diff(bounds))
     if len(full):
-        at = bounds[full]
+        at, short = bounds[full], (hashes >> np.uint64(32)).astype(np.uint32)
         for i in range(SCREEN):
-            low = np.minimum.reduceat(hashes * _FACTOR[i] + _OFFSET[i], at)
+            low = np.minimum.reduceat(short * _FACTOR[i] + _OFFSET[i], at)
             out[full, i] = textscan.mix(low).astype(np.uint16)
     return out
 
@@ -87,15 +90,20 @@ def bucket_keys(symbols: np.ndarray) -> np.ndarray:
     """Keys (texts, keys) of all chunks under all choices of ERRORS symbols that may differ."""
     wide = symbols.astype(np.uint64)
     keys = []
-    for c in range(CHUNKS):
-        for kept in combinations(range(WIDTH), WIDTH - ERRORS):
-            key = np.full(len(wide), len(keys) + 1, np.uint64) * np.uint64(0x9E3779B97F4A7C15)
-            for i in kept:
-                key = textscan.mix(key + wide[:, c * WIDTH + i])
-            keys.append(key)
+    for c, kept in _KEPT:
+        key = np.full(len(wide), len(keys) + 1, np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+        for i in kept:
+            key = textscan.mix(key + wide[:, c * WIDTH + i])
+        keys.append(key)
     return np.stack(keys, 1).view(np.int64)
 
 
+def first_shared(one: np.ndarray, two: np.ndarray) -> np.ndarray:
+    """Of pairs of signatures, the first key that they share."""
+    same = (one == two).reshape(-1, CHUNKS, WIDTH)
+    return np.stack([same[:, c][:, list(kept)].all(1) for c, kept in _KEPT], 1).argmax(1)
+
+
 def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("digest", pa.binary()), ("keys", pa.list_(pa.int64())), ("screen", pa.binary())])
     for batch in batches:
@@ -107,7 +115,7 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             sizes = np.array([len(s) for s in sets])
             keys = pa.ListArray.from_arrays(np.arange(hi - lo + 1) * (CHUNKS * WIDTH), bucket_keys(symbols).ravel())
             digests = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None for s in sets]
-            yield batch_of(schema, [batch.column(0).slice(lo, hi - lo), sizes, digests, keys, [s.tobytes() for s in symbols.astype(np.uint8)]])
+            yield batch_of(schema, [batch.column(0).slice(lo, hi - lo), sizes, digests, keys, [s[:SYMBOLS].tobytes() + s[SYMBOLS:].astype(np.uint8).tobytes() for s in symbols]])
 
 
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -147,19 +155,26 @@ def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     def pairs(rows: pa.Table) -> Iterator[pa.RecordBatch]:
         rep, part, side = (rows.column(c).to_numpy() for c in ("rep", "part", "side"))
-        symbols = np.frombuffer(b"".join(rows.column("screen").to_pylist()), np.uint8).reshape(-1, SCREEN)
+        raw = np.frombuffer(b"".join(rows.column("screen").to_pylist()), np.uint8).reshape(len(rep), -1)
+        exact = np.ascontiguousarray(raw[:, : 2 * SYMBOLS]).view(np.uint16)
+        symbols = np.concatenate([exact.astype(np.uint8), raw[:, 2 * SYMBOLS :]], 1)
         step = max(1, (1 << 22) // max(1, len(rep)))
         for lo in range(0, len(rep), step):
             own = slice(lo, lo + step)
             far = np.zeros((len(rep[own]), len(rep)), np.uint8)
-            for i in range(SCREEN):
+            for i in range(FIRST_LOOK):
                 far += symbols[own, i, None] != symbols[None, :, i]
-            near = (far <= FURTHEST) & (part[own, None] != part[None, :]) & (rep[own, None] < rep[None, :])
+            near = (far <= FURTHEST[0]) & (part[own, None] != part[None, :]) & (rep[own, None] < rep[None, :])
             if side.any():  # two blocks of a large bucket: only pairs across them
                 near = near & (side[own, None] != side[None, :])
             i, j = np.nonzero(near)
-            if len(i):
-                yield batch_of(schema, [rep[own][i], rep[j]])
+            for at in range(0, len(i), 1 << 15):
+                a, b = lo + i[at : at + (1 << 15)], j[at : at + (1 << 15)]
+                good = (symbols[a] != symbols[b]).sum(1) <= FURTHEST[1]
+                a, b = a[good], b[good]
+                here = first_shared(exact[a], exact[b]) == rows.column("slot")[0].as_py()
+                if here.any():
+                    yield batch_of(schema, [rep[a[here]], rep[b[here]]])
 
     def groups(table: pa.Table, last: bool) -> Iterator[pa.RecordBatch]:
         key, cell = table.column("key").to_numpy(), table.column("cell").to_numpy()
@@ -193,22 +208,22 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     classes = written(rows.where("doc_id is not null and digest is not null").groupBy("digest").agg(F.min("doc_id").alias("rep")))
     ones = rows.select("digest", F.col("doc_id").alias("rep"), "keys", "screen").join(classes, ["digest", "rep"]).select("rep", "keys", "screen")
     ones = written(ones)
-    filed = ones.select("rep", F.explode("keys").alias("key"))
+    filed = ones.select("rep", F.posexplode("keys").alias("slot", "key"))
     buckets = filed.groupBy("key").agg(F.min("rep").alias("lead"), F.max("rep").alias("last"), F.count("*").alias("n")).where("lead < last")
     members = written(filed.join(buckets.drop("last"), "key"))
     known = texts.where("id is not null")
     stars = members.where("rep > lead").select(F.col("lead").alias("a"), F.col("rep").alias("b")).distinct()
     links = _confirmed(stars, known, similarity)
     parts = components(links)
-    tagged = members.join(parts.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("part"))
+    tagged = members.join(parts.withColumnRenamed("node", "rep"), "rep", "left").select("key", "slot", "rep", "n", F.coalesce("component", "rep").alias("part"))
     mixed = tagged.groupBy("key").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("key")
     blocks = F.ceil(F.col("n") / BLOCK).cast("int")
     open_ = tagged.join(mixed, "key").withColumn("blocks", blocks).withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
-    cells = open_.select("key", "rep", "part", "own", "blocks", other.alias("with"))
-    cells = cells.select("key", "rep", "part", (F.least("own", "with") * F.col("blocks") + F.greatest("own", "with")).alias("cell"), F.when(F.col("own") > F.col("with"), 1).otherwise(0).alias("side"))
-    cells = cells.join(ones.select("rep", "screen"), "rep").select("key", "cell", "rep", "part", "side", "screen")
-    met = cells.repartition("key", "cell").sortWithinPartitions("key", "cell").mapInArrow(_across, "a long, b long").distinct()
+    cells = open_.select("key", "slot", "rep", "part", "own", "blocks", other.alias("with"))
+    cells = cells.select("key", "slot", "rep", "part", (F.least("own", "with") * F.col("blocks") + F.greatest("own", "with")).alias("cell"), F.when(F.col("own") > F.col("with"), 1).otherwise(0).alias("side"))
+    cells = cells.join(ones.select("rep", "screen"), "rep").select("key", "slot", "cell", "rep", "part", "side", "screen")
+    met = cells.repartition("key", "cell").sortWithinPartitions("key", "cell").mapInArrow(_across, "a long, b long")
     more = _confirmed(met, known, similarity)
     parts = components(links.union(more)).select(F.col("node").alias("rep"), "component")
     named = classes.join(parts, "rep", "left").select("digest", F.coalesce("component", "rep").alias("component"))
