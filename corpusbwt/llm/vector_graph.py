@@ -279,8 +279,8 @@ def nearest(df: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding"
 
     asked = written(asked.mapInArrow(raw, "query long, body binary"))
     copies = max(1, -(-asked.count() // QUERIES_A_COPY))
-    asked = asked.select(F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).cast("int").alias("shard"), F.pmod(F.xxhash64("query"), F.lit(copies)).cast("int").alias("copy"), "query", "body")
-    held = index.select("shard", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))).cast("int").alias("copy"), F.lit(None).cast("long").alias("query"), "body")
+    asked = asked.select(F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"), F.pmod(F.xxhash64("query"), F.lit(copies)).cast("int").alias("copy"), "query", "body")
+    held = index.select("shard", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))).alias("copy"), F.lit(None).cast("long").alias("query"), "body")
     lots = held.union(asked).repartition(max(1, shards * copies), "shard", "copy").sortWithinPartitions("shard", "copy", F.col("query").asc_nulls_first())
     found = lots.mapInArrow(_searched(top), "query_id long, vec_id long, score double")
     best = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
