@@ -48,7 +48,7 @@ def block_append(codes: np.ndarray, bounds: np.ndarray, blocks: int = 4, *, reve
         new = symbols_before(own, edges)[order]
         t1 = time.perf_counter()
         if len(held):
-            ranks = chain_ranks(RankEngine(held, sigma), own, edges, 0 if reverse else m, q)[order]
+            ranks = chain_ranks(RankEngine(held, sigma, positions=True), own, edges, 0 if reverse else m, q)[order]
         else:
             ranks = np.zeros(len(new), np.int64)
         t2 = time.perf_counter()
@@ -72,7 +72,7 @@ def backward_single(codes: np.ndarray, bounds: np.ndarray, blocks: int = 4) -> n
         new = transform_of(own, edges).astype(held.dtype)
         if len(held):
             old, old_edges = part_of(codes, bounds, hi, last)
-            before = chain_ranks(RankEngine(new, sigma), old, old_edges, hi - lo)
+            before = chain_ranks(RankEngine(new, sigma, positions=True), old, old_edges, hi - lo)
             gaps = np.bincount(before, minlength=len(new) + 1)  # old rows before each new row
             slot = np.cumsum(gaps)[:-1] + np.arange(len(new))
             out = np.empty(len(new) + len(held), held.dtype)

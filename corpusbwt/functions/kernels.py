@@ -93,13 +93,25 @@ def auto_spacing(sigma: int) -> int:
 
 @dataclass
 class RankEngine:
-    """Symbols of a transform with occurrence counters every ``spacing`` symbols; answers ranks of many (symbol, row) at once."""
+    """Symbols of a transform with occurrence counters every ``spacing`` symbols; answers ranks of many (symbol, row) at once.
+
+    With ``positions`` a sorted list of (symbol, row), 8 bytes a row, takes the counters' place: a row's place in it is the
+    step itself, so a binary search answers what counters answer by a scan. It is faster and larger, for blocks in memory.
+    """
 
     symbols: np.ndarray
     sigma: int
     spacing: int = 0
+    positions: bool = False
 
     def __post_init__(self):
+        if self.positions:
+            n = len(self.symbols)
+            order = np.argsort(self.symbols, kind="stable")
+            self.listed = self.symbols[order].astype(np.int64) * (n + 1) + order
+            totals = np.bincount(self.symbols, minlength=self.sigma + 1).astype(np.int64)
+            self.smaller = np.cumsum(totals) - totals
+            return
         self.spacing = self.spacing or auto_spacing(self.sigma)
         n, s, width = len(self.symbols), self.spacing, self.sigma + 1
         blocks = n // s + 1
@@ -117,6 +129,8 @@ class RankEngine:
 
     def rank(self, symbol: np.ndarray, row: np.ndarray) -> np.ndarray:
         """Occurrences of each symbol in the rows before."""
+        if self.positions:
+            return self.step(symbol, row) - self.smaller[symbol]
         out = np.empty(len(row), np.int64)
         offset = np.arange(self.spacing)
         step = max(1, (1 << 21) // self.spacing)
@@ -130,6 +144,8 @@ class RankEngine:
 
     def step(self, symbol: np.ndarray, row: np.ndarray) -> np.ndarray:
         """Rows smaller than the suffix that ``symbol`` begins, given the rows smaller than the suffix behind it."""
+        if self.positions:
+            return np.searchsorted(self.listed, symbol * np.int64(len(self.symbols) + 1) + row)
         return self.smaller[symbol] + self.rank(symbol, row)
 
     def pairs(self) -> RankEngine:
@@ -139,9 +155,11 @@ class RankEngine:
         before = self.symbols.astype(np.int64)
         earlier = self.symbols[self.step(before, row)].astype(np.int64)
         pair = np.where((before > 0) & (earlier > 0), earlier * width + before, 0)
-        out = RankEngine(pair.astype(np.uint16), width * width - 1)
+        out = RankEngine(pair.astype(np.uint16), width * width - 1, positions=self.positions)
         codes = np.arange(width * width)
         c0, c1 = codes // width, codes % width
+        own = out.smaller
+        out.rank = lambda symbol, row: RankEngine.step(out, symbol, row) - own[symbol] if out.positions else RankEngine.rank(out, symbol, row)
         out.smaller = self.step(c0, self.smaller[c1])
         return out
 
@@ -172,7 +190,8 @@ def chain_ranks(engine: RankEngine, codes: np.ndarray, bounds: np.ndarray, start
             two = np.searchsorted(-length, -(t + 1), "right")
             on2 = on[:two]
             c2 = codes[bounds[on2] + sizes[on2] - t - 1].astype(np.int64)
-            jumped = double.smaller[c2 * width + c[:two]] + double.rank(c2 * width + c[:two], row[on2])
+            pair = c2 * width + c[:two]
+            jumped = double.smaller[pair] + double.rank(pair, row[on2])
             out[first[on2] + sizes[on2] - t - 1] = jumped
             row[on] = stepped
             row[on2] = jumped

@@ -23,6 +23,8 @@ from corpusbwt.plans.store import StoredIndex, locate
 from corpusbwt.session import release, written
 
 _ENGINES: dict[int, RankEngine] = {}
+#: Rows up to which a worker lists positions (8 bytes each) in place of counters.
+MOST_LISTED = 1 << 26
 
 
 def shared_engine(index: StoredIndex):
@@ -33,7 +35,8 @@ def shared_engine(index: StoredIndex):
     def engine() -> RankEngine:
         if key not in _ENGINES:
             _ENGINES.clear()
-            _ENGINES[key] = RankEngine(*sent.value)
+            symbols, sigma, spacing = sent.value
+            _ENGINES[key] = RankEngine(symbols, sigma, spacing, positions=len(symbols) <= MOST_LISTED)
         return _ENGINES[key]
 
     return engine
