@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import os
 import tempfile
 import uuid
@@ -55,6 +56,12 @@ def release(df: DataFrame) -> None:
             _remove(spark, path)
 
 
+def tidy(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of frames that nothing holds any more, ahead of the driver's next collection."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 @atexit.register
 def _sweep() -> None:
     for spark, path in _WRITTEN:
