@@ -18,6 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusbwt.llm.common import batch_of
+from corpusbwt.session import release, written
 
 MOST_WORDS, LONGEST = 50_000, 24
 BUCKETS, SMOOTHING = 1 << 16, 0.01
@@ -98,10 +99,23 @@ def _buckets(host: list[str], path: list[str]) -> list[int]:
 
 
 def unigrams(pages: DataFrame, html_col: str = "html", seeds: frozenset[str] = SEEDS) -> dict[str, int]:
-    """Counts of the most frequent words of all pages' text, ties in order of the word, and of the seed terms."""
+    """Counts of the most frequent words of all pages' text, and of the seed terms.
+
+    Counts fall into 64 steps for each doubling; whole steps are taken from the top while they fit ``MOST_WORDS``, so that
+    no more than these words ever reach the driver.
+    """
     bare = F.lower(F.regexp_replace(html_col, "<[^>]*>", " "))
     words = pages.select(F.explode(F.split(bare, r"[^\p{L}]+")).alias("word")).where(F.length("word").between(1, LONGEST))
-    rows = words.groupBy("word").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "word").limit(MOST_WORDS).collect()
+    counts = written(words.groupBy("word").agg(F.count("*").alias("n")))
+    step = F.floor(F.log2("n") * 64)
+    floor, kept = None, 0
+    for r in sorted(counts.groupBy(step.alias("step")).agg(F.count("*").alias("words")).collect(), reverse=True):
+        kept += r.words
+        if kept > MOST_WORDS:
+            break
+        floor = r.step
+    rows = counts.where(step >= floor).collect() if floor is not None else []
+    release(counts)
     least = max(10, sum(r.n for r in rows) // SEED_SHARE)
     return {r.word: r.n for r in rows} | {s: max(least, next((r.n for r in rows if r.word == s), 0)) for s in sorted(seeds)}
 
