@@ -25,4 +25,5 @@ def components(edges: DataFrame) -> DataFrame:
         release(names)
         names = after.select("node", "component")
         if not changed:
+            release(both)
             return names

@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from corpusbwt.llm import textscan
 from corpusbwt.llm.common import batch_of, texts_of
 from corpusbwt.llm.graph import components
-from corpusbwt.session import release, written
+from corpusbwt.session import release, tidy, written
 
 SHINGLE = 5
 CHUNKS, WIDTH, ERRORS = 10, 4, 1
@@ -37,6 +37,8 @@ FURTHEST = 54, 172
 BLOCK = 2048
 #: Up to so many ids (8 bytes each) are sent to every executor to pick their texts; beyond it the texts are shuffled.
 MOST_SENT = 1_000_000
+#: Up to so many hashes (8 bytes each) of sets are sent to every executor to confirm pairs; beyond it pairs are shuffled.
+MOST_SET_HASHES = 4_000_000
 
 _RANDOM = np.random.default_rng(5)
 _FACTOR = _RANDOM.integers(1 << 31, size=SCREEN, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
@@ -136,6 +138,9 @@ def _confirmed(pairs: DataFrame, texts: DataFrame, least: int) -> DataFrame:
     if ids.count() <= MOST_SENT:
         ids = F.broadcast(ids)
     sets = written(texts.join(ids, "id", "left_semi").mapInArrow(_sets, "id long, members array<long>"))
+    held = sets.agg(F.sum(F.size("members"))).first()[0] or 0
+    if held <= MOST_SET_HASHES:
+        sets = F.broadcast(sets)
     both = pairs.join(sets.select(F.col("id").alias("b"), F.col("members").alias("right")), "b").join(sets.select(F.col("id").alias("a"), F.col("members").alias("left")), "a")
     small, large = F.least(F.size("left"), F.size("right")), F.greatest(F.size("left"), F.size("right"))
     common = F.size(F.array_intersect("left", "right"))
@@ -211,11 +216,12 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     filed = ones.select("rep", F.posexplode("keys").alias("slot", "key"))
     buckets = filed.groupBy("key").agg(F.min("rep").alias("lead"), F.max("rep").alias("last"), F.count("*").alias("n")).where("lead < last")
     members = written(filed.join(buckets.drop("last"), "key"))
+    tidy(df.sparkSession)
     known = texts.where("id is not null")
     stars = members.where("rep > lead").select(F.col("lead").alias("a"), F.col("rep").alias("b")).distinct()
     links = _confirmed(stars, known, similarity)
-    parts = components(links)
-    tagged = members.join(parts.withColumnRenamed("node", "rep"), "rep", "left").select("key", "slot", "rep", "n", F.coalesce("component", "rep").alias("part"))
+    early = components(links)
+    tagged = members.join(early.withColumnRenamed("node", "rep"), "rep", "left").select("key", "slot", "rep", "n", F.coalesce("component", "rep").alias("part"))
     mixed = tagged.groupBy("key").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("key")
     blocks = F.ceil(F.col("n") / BLOCK).cast("int")
     open_ = tagged.join(mixed, "key").withColumn("blocks", blocks).withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
@@ -225,10 +231,16 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     cells = cells.join(ones.select("rep", "screen"), "rep").select("key", "slot", "cell", "rep", "part", "side", "screen")
     met = cells.repartition("key", "cell").sortWithinPartitions("key", "cell").mapInArrow(_across, "a long, b long")
     more = _confirmed(met, known, similarity)
+    for done in (members, ones, early):
+        release(done)
+    tidy(df.sparkSession)
     parts = components(links.union(more)).select(F.col("node").alias("rep"), "component")
     named = classes.join(parts, "rep", "left").select("digest", F.coalesce("component", "rep").alias("component"))
     out = rows.select("doc_id", "n_shingles", "digest").join(named, "digest", "left")
     component = F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id"))
+    out = written(out.select("doc_id", "n_shingles", "component"))
+    for done in (rows, classes, links, more, parts):
+        release(done)
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 
