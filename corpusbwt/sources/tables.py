@@ -54,7 +54,8 @@ def read_sequences(spark: SparkSession, path: str, fmt: str = "fasta") -> DataFr
         return records.select(F.trim(F.get(lines, F.lit(0))).alias("name"), F.array_join(F.transform(F.slice(lines, 2, F.size(lines)), F.trim), "").alias("s"))
     records = spark.read.option("lineSep", "\n@").text(path)
     lines = F.split("value", "\n")
-    return records.where(F.size(lines) >= 4).select(F.trim(F.regexp_replace(F.get(lines, F.lit(0)), "^@", "")).alias("name"), F.trim(F.get(lines, F.lit(1))).alias("s"))
+    # a quality line that starts with the header sign is cut off as a record of its own, which has no third line of a read
+    return records.where(F.get(lines, F.lit(2)).startswith("+")).select(F.trim(F.regexp_replace(F.get(lines, F.lit(0)), "^@", "")).alias("name"), F.trim(F.get(lines, F.lit(1))).alias("s"))
 
 
 def except_new(strings: DataFrame, indexed: DataFrame) -> DataFrame:
