@@ -13,7 +13,7 @@ from pathlib import Path
 from pyspark.sql import DataFrame, SparkSession
 
 _WRITTEN: list[tuple[SparkSession, str]] = []
-_SHIPPED: dict[int, bool] = {}
+_SHIPPED: set[str] = set()
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -74,7 +74,7 @@ def _sweep() -> None:
 def ship(spark: SparkSession) -> None:
     """Send this package's source to the executors once per application, so that workers can import it."""
     context = spark.sparkContext
-    if _SHIPPED.get(id(context)):
+    if context.applicationId in _SHIPPED:
         return
     root = Path(__file__).resolve().parent
     target = os.path.join(tempfile.mkdtemp(prefix="corpusbwt-ship-"), "corpusbwt_source.zip")
@@ -82,4 +82,4 @@ def ship(spark: SparkSession) -> None:
         for path in sorted(root.rglob("*.py")):
             bundle.write(path, path.relative_to(root.parent).as_posix())
     context.addPyFile(target)
-    _SHIPPED[id(context)] = True
+    _SHIPPED.add(context.applicationId)
