@@ -132,6 +132,14 @@ def test_counts_near_the_threshold_are_exact(spark):
     assert line_dedup.boilerplate(lines, 16).count() == 6
 
 
+def test_long_passages_on_a_few_sites_go(spark):
+    passage, copied = " ".join(f"word{i}" for i in range(60)), " ".join(f"copy{i}" for i in range(60))
+    rows = [(i, f"Own {i}\n{passage}\nlocal", f"s{i}") for i in range(5)] + [(10 + i, f"Own {10 + i}\n{copied}", f"s{i}") for i in range(4)] + [(20 + i, f"Own {20 + i}\nlocal notice", "s0") for i in range(9)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(3)
+    got = {r.doc_id: r.text for r in corpus_pipeline.cut_lines(spark, docs, "").collect()}
+    assert got == {i: t if i in (0, *range(10, 29)) else f"Own {i}" for i, t, _ in rows}
+
+
 def test_quality_learns_and_holds_out(spark):
     rng = np.random.default_rng(9)
     good = [" ".join(rng.choice(["river", "stone", "quiet", "morning", "walked", "along"], 60)) + "." for _ in range(300)]
