@@ -174,6 +174,17 @@ def test_url_parts_rules_and_verdicts(spark):
     assert got[0].verdict == "block" and got[1].verdict == "allow" and got[8].verdict == "block" and len(got) == len(rows)
 
 
+def test_every_word_of_the_pages_counts(spark):
+    common = " ".join("q" + "".join(chr(97 + i // 26**k % 26) for k in range(4)) for i in range(50_001))
+    rows = [(0, "http://adultery.org/x", common), (1, "http://adulterynews.org/y", common), (2, "http://casino.org/x", "adultery news"), (3, None, None)] + [(10 + i, "http://news.org/x", None) for i in range(5)]
+    got = {r.page_id: r for r in url_filter.judged(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert [got[i].verdict for i in (0, 1, 2, 10)] == ["allow", "allow", "block", "allow"] and len(got) == len(rows)
+    counts, total, raised = url_filter.unigrams(spark.createDataFrame(rows, "page_id long, url string, html string"))
+    assert counts.count() == 50_003 and total == 100_004 + sum(raised.values())
+    names = spark.createDataFrame([("adulterynews",), ("qaaaaqbaaa",), ("zzz",)], "name string")
+    assert {r.name: r.words for r in url_filter.segmented(names, counts, total, raised).collect()} == {"adulterynews": ["adultery", "news"], "qaaaaqbaaa": ["qaaaa", "qbaaa"], "zzz": ["zzz"]}
+
+
 def test_licences_come_down_from_the_nearest_directory(spark):
     rows = [(0, "/a/LICENSE", "Released under the MIT License."), (1, "/a/b/c/x", "code"), (2, "/a/b/LICENSE", "Licensed under the Apache License, Version 2.0."), (3, "/a/y", "code\nAll rights reserved.\nmore and more and more and more words"), (4, "/z", "code"), (5, None, None), (6, "/a/w", "")]
     got = {r.doc_id: r for r in licenses.scan(spark.createDataFrame(rows, "doc_id long, path string, text string")).collect()}
