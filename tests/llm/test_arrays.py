@@ -168,6 +168,19 @@ def test_templates():
     assert np.isclose(cosine[0], 1) and share[1] == 1 and 0 < share[0] < 1
 
 
+def test_notices_inside_lines_wrapped_and_licence_bodies():
+    held = licenses.Templates()
+    held.weigh(60_000, np.full(len(held.words), 60))
+    prose = "stone river quiet morning walked along " * 40
+    notices = ["Copyright 2020 Acme. All rights reserved.", f"{prose}. Released under the MIT License. {prose}", f"// {prose}\n// Licensed under the Apache\n// License, Version 2.0.\n{prose}", "Copyright 2020 Acme, all\nrights reserved", f"{prose} all rights reserved by no one", prose]
+    top, _, share = held.best(notices)
+    assert [held.names[t] if t >= 0 else None for t in top] == ["proprietary", "MIT", "Apache-2.0", "proprietary", None, None]
+    bodies = sorted(licenses.BODIES)
+    files = [f"Copyright (c) 2020 Acme. All rights reserved.\n\n{licenses.BODIES[n]}" for n in bodies] + [" ".join(licenses.BODIES["MIT"].split())]
+    top, cosine, share = held.best(files)
+    assert [held.names[t] for t in top] == [*bodies, "MIT"] and (share > 0.8).all() and (cosine[:-1] > 0.9).all()
+
+
 def test_graph_recall_and_ties():
     rng = np.random.default_rng(6)
     vectors = rng.normal(size=(1500, 24))
