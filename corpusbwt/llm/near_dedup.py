@@ -9,6 +9,8 @@ pair at the similarity threshold still meets with a probability of 1 - 1.6e-6. E
 Buckets never yield all their pairs. First, each member meets its bucket's smallest document; confirmed links are
 contracted. Then only members of different components are compared, in blocks, by a longer signature of ``SCREEN`` symbols of
 8 bits that lets no more than the likely pairs through to the sets; a pair that shares several buckets leaves the first.
+So the screen, not the bucket join, decides which of these pairs are confirmed, and the guarantee doesn't extend to links: a
+pair at the threshold that meets in a bucket is lost with a probability of about 6e-6.
 """
 
 from __future__ import annotations
