@@ -6,6 +6,7 @@ bounded number of NumPy calls. Nothing here knows about Spark.
 
 from __future__ import annotations
 
+import hashlib
 import unicodedata
 from collections.abc import Iterator
 from functools import cache
@@ -16,6 +17,8 @@ SPACE, LETTER, NUMBER, OTHER = 0, 1, 2, 3
 #: The code points with Unicode's White_Space property.
 WHITE_SPACE = [*range(0x09, 0x0E), 0x20, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]
 _ODD = np.uint64(0x9E3779B97F4A7C15)
+#: Longer spans are hashed one by one.
+LONG_SPAN = 192
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -43,27 +46,6 @@ def classes() -> np.ndarray:
     return out
 
 
-@cache
-def _code_salt() -> np.ndarray:
-    return mix(np.arange(1, 0x110001, dtype=np.uint64) * _ODD)
-
-
-_POWERS: list[np.ndarray] = []
-
-
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of an odd multiplier and of its inverse modulo 2**64, n of each at least."""
-    if not _POWERS or len(_POWERS[0]) < n:
-        base = 0xD6E8FEB86659FD93
-        size = max(n, 1 << 16)
-        _POWERS[:] = []
-        for step in (base, pow(base, -1, 1 << 64)):
-            p = np.full(size, step, np.uint64)
-            p[0] = 1
-            _POWERS.append(np.multiply.accumulate(p))
-    return _POWERS[0], _POWERS[1]
-
-
 def slices(lengths: np.ndarray, most: int = 1 << 20) -> Iterator[tuple[int, int]]:
     """Row ranges of about ``most`` symbols; a longer row stands alone."""
     ends = np.cumsum(lengths)
@@ -83,11 +65,35 @@ def codes_of(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
 
 
 def span_hashes(codes: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """A 64-bit hash of each span of code points, equal for equal spans anywhere."""
-    up, down = _powers(len(codes) + 1)
-    total = np.zeros(len(codes) + 1, np.uint64)
-    np.cumsum(_code_salt()[codes] * up[: len(codes)], out=total[1:])
-    return mix((total[ends] - total[starts]) * down[starts] + (ends - starts).astype(np.uint64) * _ODD)
+    """A 64-bit hash of each span, equal for equal spans of arrays of one type anywhere.
+
+    A span is taken in words of 64 bits (three code points, or eight bytes), each mixed into the state so far: nothing is
+    a polynomial, and spans of up to three code points never share a hash. Spans of more than ``LONG_SPAN`` symbols are
+    digested whole.
+    """
+    wide = codes.dtype.itemsize > 1
+    per, bits = (3, 21) if wide else (8, 8)
+    size = ends - starts
+    if wide:
+        held = np.zeros(len(codes) + 2, np.uint64)
+        np.add(codes, 1, out=held[: len(codes)], casting="unsafe")
+        words = held[:-2] | (held[1:-1] << np.uint64(bits)) | (held[2:] << np.uint64(2 * bits))
+    else:
+        held = np.zeros(len(codes) + per, np.uint8)
+        held[: len(codes)] = codes
+        words = np.ndarray(len(codes), "<u8", held.data, 0, (1,))
+    masks = np.array([(1 << bits * i) - 1 for i in range(per + 1)], np.uint64)
+    out = np.zeros(len(starts), np.uint64) if wide else size.astype(np.uint64) * _ODD
+    long = np.flatnonzero(size > LONG_SPAN)
+    on = np.flatnonzero((size > 0) & (size <= LONG_SPAN)) if len(long) else np.flatnonzero(size)
+    at, left = starts[on], size[on]
+    while len(on):
+        out[on] = mix(out[on] * _ODD + (words[at] & masks[np.minimum(left, per)]))
+        more = left > per
+        on, at, left = on[more], at[more] + per, left[more] - per
+    for i in long:
+        out[i] = int.from_bytes(hashlib.blake2b(codes[starts[i] : ends[i]].tobytes(), digest_size=8).digest(), "little")
+    return out
 
 
 def byte_level_starts(codes: np.ndarray, bounds: np.ndarray) -> np.ndarray:

@@ -200,3 +200,36 @@ def test_graph_recall_and_ties():
         assert all(a[1] > b[1] or (a[1] == b[1] and a[0] < b[0]) for a, b in zip(found[ids[q, 0]], found[ids[q, 0]][1:], strict=False))
     assert hits >= 0.95 * 4000
     assert unicodedata.unidata_version
+
+
+def alternating(n, a="a", b="b"):
+    """The first n letters of the sequence that doubles itself with both letters swapped, and the same swapped."""
+    word = a
+    while len(word) < n:
+        word += word.translate(str.maketrans(a + b, b + a))
+    return word, word.translate(str.maketrans(a + b, b + a))
+
+
+@pytest.mark.parametrize("letters", ["ab", "ts", "日本"])
+def test_self_similar_words_stay_apart(letters):
+    texts = [w for n in (128, 1024, 2048, 4096) for w in alternating(n, *letters)]
+    for codes, bounds in (textscan.codes_of(texts), (np.concatenate([np.frombuffer(t.encode(), np.uint8) for t in texts]), np.cumsum([0, *(len(t.encode()) for t in texts)]))):
+        assert len(set(textscan.span_hashes(codes, bounds[:-1], bounds[1:]))) == len(texts)
+    library = Tokenizer.from_file(vocab.path("byte_bpe_50k.json"))
+    ids, per, _, _ = piece_tokens.PieceTokenizer(vocab.path("byte_bpe_50k.json")).encode(texts)
+    assert [c.tolist() for c in np.split(ids, np.cumsum(per)[:-1])] == [x.ids for x in library.encode_batch(texts, add_special_tokens=False)]
+    path = vocab.path("word_bpe_49k.json")
+    assert token_counts.count_texts(texts, path).tolist() == [len(x.ids) for x in Tokenizer.from_file(path).encode_batch(texts, add_special_tokens=False)]
+    book = byte_bpe.PieceBook(vocab.path("byte_bpe_50k.tiktoken"))
+    at, first = book.look_up(texts)
+    assert [b"".join(map(book.raw.__getitem__, at[a:b].tolist())) for a, b in zip(first[:-1], first[1:], strict=True)] == [t.encode() for t in texts]
+    hashes, bounds = near_dedup.shingles(texts)
+    assert len(set(hashes)) == len(texts) and (np.diff(bounds) == 1).all()
+
+
+def test_span_hashes_are_of_the_span_alone():
+    words = ["", "a", "a\0", "ab", "abc", "abcd", "x" * 7, "x" * 8, "x" * 9, "x" * 192, "x" * 193, "é日", "x" * 191 + "y"]
+    for pad in ("", "z", "zz" * 50):
+        codes, bounds = textscan.codes_of([*words, pad, *words])
+        hashes = textscan.span_hashes(codes, bounds[:-1], bounds[1:])
+        assert (hashes[: len(words)] == hashes[len(words) + 1 :]).all() and len(set(hashes[: len(words)])) == len(words)
