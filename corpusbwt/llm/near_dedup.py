@@ -4,13 +4,14 @@ A signature has ``CHUNKS * WIDTH`` symbols of 16 bits, each taken from one minim
 distance of two signatures is the number of symbols that differ. Cut into chunks, two signatures at a distance of at most
 ``CHUNKS * (ERRORS + 1) - 1`` agree in some chunk but for ``ERRORS`` symbols, by the pigeonhole principle; so each chunk is
 filed under every choice of the symbols that may differ. All pairs under that distance meet in a bucket, and beyond it a
-pair at the similarity threshold still meets with a probability of 1 - 1.6e-6. Every link is confirmed on full sets.
-
-Buckets never yield all their pairs. First, each member meets its bucket's smallest document; confirmed links are
-contracted. Then only members of different components are compared, in blocks, by a longer signature of ``SCREEN`` symbols of
-8 bits that lets no more than the likely pairs through to the sets; a pair that shares several buckets leaves the first.
-So the screen, not the bucket join, decides which of these pairs are confirmed, and the guarantee doesn't extend to links: a
-pair at the threshold that meets in a bucket is lost with a probability of about 6e-6.
+pair at the similarity threshold still meets with a probability of 1 - 1.6e-6.
+
+All pairs that meet are decided exactly, yet no table of pairs is ever made. First, each member meets its bucket's smallest
+document, block by block, and links are contracted. Where members of different components are left in a bucket, they are
+dealt to cells: those of the bucket's main component in blocks against blocks of the others. A task bounds each pair's
+common shingles from above by counts of shingles in ``CELLS`` ranges of hashes, a bound that is never too low; the sets of
+the documents that still may link are fetched, and the same cell compares them in full, leaving out pairs that links found
+before connect. So a cell gives as many links as it joins components.
 """
 
 from __future__ import annotations
@@ -32,22 +33,20 @@ from corpusbwt.session import release, tidy, written
 SHINGLE = 5
 CHUNKS, WIDTH, ERRORS = 10, 4, 1
 SYMBOLS = CHUNKS * WIDTH
-SCREEN, FIRST_LOOK = 512, 128
-#: Pairs of a bucket that differ in more screen symbols (of the first ones, of all) are not looked at further; at a
-#: similarity of 0.75 either bound lies four and a half standard deviations off, for three pairs in a million.
-FURTHEST = 54, 172
+#: Ranges of hashes in which a set's members are counted, and levels up to which counts are compared one by one.
+CELLS, LEVELS = 512, 6
+#: Members of a bucket that one task compares with another such block.
 BLOCK = 2048
 #: Up to so many ids (8 bytes each) are sent to every executor to pick their texts; beyond it the texts are shuffled.
 MOST_SENT = 1_000_000
-#: Up to so many hashes (8 bytes each) of sets are sent to every executor to confirm pairs; beyond it pairs are shuffled.
-MOST_SET_HASHES = 4_000_000
 
 _RANDOM = np.random.default_rng(5)
-_FACTOR = _RANDOM.integers(1 << 31, size=SCREEN, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
-_OFFSET = _RANDOM.integers(1 << 32, size=SCREEN, dtype=np.uint32)
+_FACTOR = _RANDOM.integers(1 << 31, size=SYMBOLS, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
+_OFFSET = _RANDOM.integers(1 << 32, size=SYMBOLS, dtype=np.uint32)
 _PLACE = _RANDOM.integers(1 << 63, size=SHINGLE, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 #: The symbols that each key keeps, in the order of keys.
 _KEPT = [(c, kept) for c in range(CHUNKS) for kept in combinations(range(WIDTH), WIDTH - ERRORS)]
+_SLOT_BITS = (len(_KEPT) - 1).bit_length()
 _BLANK = np.zeros(256, bool)
 _BLANK[[0x20, *range(0x09, 0x0E)]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
@@ -79,26 +78,26 @@ def shingles(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
 
 
 def signatures(hashes: np.ndarray, bounds: np.ndarray) -> np.ndarray:
-    """Symbols (texts, SCREEN) of 16 bits; zeros for a text without shingles."""
-    out = np.zeros((len(bounds) - 1, SCREEN), np.uint16)
+    """Symbols (texts, SYMBOLS) of 16 bits; zeros for a text without shingles."""
+    out = np.zeros((len(bounds) - 1, SYMBOLS), np.uint16)
     full = np.flatnonzero(np.diff(bounds))
     if len(full):
         at, short = bounds[full], (hashes >> np.uint64(32)).astype(np.uint32)
-        for i in range(SCREEN):
+        for i in range(SYMBOLS):
             low = np.minimum.reduceat(short * _FACTOR[i] + _OFFSET[i], at)
             out[full, i] = textscan.mix(low).astype(np.uint16)
     return out
 
 
 def bucket_keys(symbols: np.ndarray) -> np.ndarray:
-    """Keys (texts, keys) of all chunks under all choices of ERRORS symbols that may differ."""
+    """Keys (texts, keys) of all chunks under all choices of ERRORS symbols that may differ; the top bits tell which."""
     wide = symbols.astype(np.uint64)
     keys = []
     for c, kept in _KEPT:
         key = np.full(len(wide), len(keys) + 1, np.uint64) * np.uint64(0x9E3779B97F4A7C15)
         for i in kept:
             key = textscan.mix(key + wide[:, c * WIDTH + i])
-        keys.append(key)
+        keys.append((key >> np.uint64(_SLOT_BITS)) | np.uint64(len(keys) << (64 - _SLOT_BITS)))
     return np.stack(keys, 1).view(np.int64)
 
 
@@ -108,96 +107,182 @@ def first_shared(one: np.ndarray, two: np.ndarray) -> np.ndarray:
     return np.stack([same[:, c][:, list(kept)].all(1) for c, kept in _KEPT], 1).argmax(1)
 
 
+def set_counts(sets: list[np.ndarray]) -> np.ndarray:
+    """Counts (sets, CELLS) of the members of sorted sets of hashes in equal ranges of hashes."""
+    owner = np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+    cell = (np.concatenate([*sets, np.zeros(0, np.uint64)]) >> np.uint64(64 - CELLS.bit_length() + 1)).astype(np.int64)
+    return np.bincount(owner * CELLS + cell, minlength=len(sets) * CELLS).reshape(len(sets), CELLS).astype(np.int32)
+
+
+def most_common(left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """Upper bounds (left, right) of the members that sets have in common, from their counts.
+
+    Common members of a range are at most the smaller count: the sum, over levels, of whether both counts reach the
+    level. What counts have beyond the last level is bounded by the smaller of both sums.
+    """
+    out = np.minimum.outer(np.maximum(left - LEVELS, 0).sum(1), np.maximum(right - LEVELS, 0).sum(1)).astype(np.float64)
+    for level in range(1, LEVELS + 1):
+        a, b = left >= level, right >= level
+        if not (a.any() and b.any()):
+            break
+        out += a.astype(np.float32) @ b.astype(np.float32).T
+    return out
+
+
+def _linked(one: np.ndarray, two: np.ndarray, least: int) -> bool:
+    """Whether two sets of hashes have 100 * intersection >= least * union."""
+    small, large = sorted((len(one), len(two)))
+    if 100 * small < least * large:
+        return False
+    common = len(np.intersect1d(one, two, assume_unique=True))
+    return 100 * common >= least * (small + large - common)
+
+
 def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("digest", pa.binary()), ("keys", pa.list_(pa.int64())), ("screen", pa.binary())])
+    schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("digest", pa.binary()), ("keys", pa.list_(pa.int64()))])
     for batch in batches:
         texts = texts_of(batch.column(1))
         for lo, hi in textscan.slices(np.fromiter(map(len, texts), np.int64, len(texts))):
             hashes, bounds = shingles(texts[lo:hi])
-            symbols = signatures(hashes, bounds)
             sets = [np.unique(hashes[a:b]) for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
-            sizes = np.array([len(s) for s in sets])
-            keys = pa.ListArray.from_arrays(np.arange(hi - lo + 1) * (CHUNKS * WIDTH), bucket_keys(symbols).ravel())
+            keys = pa.ListArray.from_arrays(np.arange(hi - lo + 1) * len(_KEPT), bucket_keys(signatures(hashes, bounds)).ravel())
             digests = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None for s in sets]
-            yield batch_of(schema, [batch.column(0).slice(lo, hi - lo), sizes, digests, keys, [s[:SYMBOLS].tobytes() + s[SYMBOLS:].astype(np.uint8).tobytes() for s in symbols]])
+            yield batch_of(schema, [batch.column(0).slice(lo, hi - lo), [len(s) for s in sets], digests, keys])
 
 
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    schema = pa.schema([("id", pa.int64()), ("members", pa.list_(pa.int64()))])
+    """Of each text: its sorted set of hashes, the counts of their ranges and its signature, as bytes."""
+    schema = pa.schema([("id", pa.int64()), ("members", pa.binary()), ("counts", pa.binary()), ("symbols", pa.binary())])
     for batch in batches:
         texts = texts_of(batch.column(1))
         for lo, hi in textscan.slices(np.fromiter(map(len, texts), np.int64, len(texts))):
             hashes, bounds = shingles(texts[lo:hi])
-            sets = [np.unique(hashes[a:b]).view(np.int64) for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
-            ends = np.concatenate([[0], np.cumsum([len(s) for s in sets])])
-            yield batch_of(schema, [batch.column(0).slice(lo, hi - lo), pa.ListArray.from_arrays(ends, np.concatenate(sets))])
-
-
-def _confirmed(pairs: DataFrame, texts: DataFrame, least: int) -> DataFrame:
-    """Those pairs (a, b) whose full sets are similar enough: 100 * intersection >= least * union."""
-    pairs = written(pairs)
-    ids = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
-    if ids.count() <= MOST_SENT:
-        ids = F.broadcast(ids)
-    sets = written(texts.join(ids, "id", "left_semi").mapInArrow(_sets, "id long, members array<long>"))
-    held = sets.agg(F.sum(F.size("members"))).first()[0] or 0
-    if held <= MOST_SET_HASHES:
-        sets = F.broadcast(sets)
-    both = pairs.join(sets.select(F.col("id").alias("b"), F.col("members").alias("right")), "b").join(sets.select(F.col("id").alias("a"), F.col("members").alias("left")), "a")
-    small, large = F.least(F.size("left"), F.size("right")), F.greatest(F.size("left"), F.size("right"))
-    common = F.size(F.array_intersect("left", "right"))
-    linked = both.where(100 * small >= least * large).where(100 * common >= least * (small + large - common))
-    out = written(linked.select("a", "b"))
-    release(pairs)
-    release(sets)
-    return out
+            sets = [np.unique(hashes[a:b]) for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
+            counts = [(c.astype(np.uint8) if c.max() < 256 else c).tobytes() for c in set_counts(sets)]
+            yield batch_of(schema, [batch.column(0).slice(lo, hi - lo), [s.tobytes() for s in sets], counts, [x.tobytes() for x in signatures(hashes, bounds)]])
 
 
+def _counts_of(raw: list[bytes]) -> np.ndarray:
+    return np.stack([np.frombuffer(x, np.uint8 if len(x) == CELLS else np.int32).astype(np.int32) for x in raw])
 
 
-def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Pairs of different components within each run of equal (key, cell), close enough by signature."""
-    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    """Rows of a sorted partition, gathered by equal (key, cell)."""
     held: list[pa.RecordBatch] = []
-
-    def pairs(rows: pa.Table) -> Iterator[pa.RecordBatch]:
-        rep, part, side = (rows.column(c).to_numpy() for c in ("rep", "part", "side"))
-        raw = np.frombuffer(b"".join(rows.column("screen").to_pylist()), np.uint8).reshape(len(rep), -1)
-        exact = np.ascontiguousarray(raw[:, : 2 * SYMBOLS]).view(np.uint16)
-        symbols = np.concatenate([exact.astype(np.uint8), raw[:, 2 * SYMBOLS :]], 1)
-        step = max(1, (1 << 22) // max(1, len(rep)))
-        for lo in range(0, len(rep), step):
-            own = slice(lo, lo + step)
-            far = np.zeros((len(rep[own]), len(rep)), np.uint8)
-            for i in range(FIRST_LOOK):
-                far += symbols[own, i, None] != symbols[None, :, i]
-            near = (far <= FURTHEST[0]) & (part[own, None] != part[None, :]) & (rep[own, None] < rep[None, :])
-            if side.any():  # two blocks of a large bucket: only pairs across them
-                near = near & (side[own, None] != side[None, :])
-            i, j = np.nonzero(near)
-            for at in range(0, len(i), 1 << 15):
-                a, b = lo + i[at : at + (1 << 15)], j[at : at + (1 << 15)]
-                good = (symbols[a] != symbols[b]).sum(1) <= FURTHEST[1]
-                a, b = a[good], b[good]
-                here = first_shared(exact[a], exact[b]) == rows.column("slot")[0].as_py()
-                if here.any():
-                    yield batch_of(schema, [rep[a[here]], rep[b[here]]])
-
-    def groups(table: pa.Table, last: bool) -> Iterator[pa.RecordBatch]:
-        key, cell = table.column("key").to_numpy(), table.column("cell").to_numpy()
-        cut = np.flatnonzero((key[1:] != key[:-1]) | (cell[1:] != cell[:-1])) + 1
-        edges = np.concatenate([[0], cut, [len(key)]])
-        for a, b in zip(edges[:-1], edges[1:] if last else edges[1:-1], strict=last):
-            if b - a > 1:
-                yield from pairs(table.slice(a, b - a))
-        if not last:
-            held[:] = table.slice(edges[-2]).to_batches()
-
     for batch in batches:
-        if batch.num_rows:
-            yield from groups(pa.Table.from_batches([*held, batch]), False)
+        if not batch.num_rows:
+            continue
+        table = pa.Table.from_batches([*held, batch])
+        key, cell = table.column("key").to_numpy(), table.column("cell").to_numpy()
+        edges = [0, *(np.flatnonzero((key[1:] != key[:-1]) | (cell[1:] != cell[:-1])) + 1).tolist()]
+        for a, b in zip(edges[:-1], edges[1:], strict=True):
+            yield table.slice(a, b - a)
+        held = table.slice(edges[-1]).to_batches()
     if held:
-        yield from groups(pa.Table.from_batches(held), True)
+        yield pa.Table.from_batches(held)
+
+
+def _stars(least: int):
+    """Links of each cell's centre (side 0, in as many versions as its id has) with the others (side 1)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+        for rows in _runs(batches):
+            ids, side = rows.column("id").to_numpy(), rows.column("side").to_numpy()
+            sets = [np.frombuffer(x, np.uint64) for x in rows.column("members").to_pylist()]
+            centres = [sets[i] for i in np.flatnonzero(side == 0)]
+            found = [i for i in np.flatnonzero(side == 1) if any(_linked(c, sets[i], least) for c in centres)]
+            if found:
+                yield batch_of(schema, [rows.column("key").to_numpy()[found], ids[found]])
+
+    return run
+
+
+def _open_pairs(rows: pa.Table, counts: np.ndarray, sizes: np.ndarray, least: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs of different components in a cell that their counts leave open and that don't meet under an earlier key."""
+    part, side = rows.column("part").to_numpy(), rows.column("side").to_numpy()
+    symbols = np.stack([np.frombuffer(x, np.uint16) for x in rows.column("symbols").to_pylist()])
+    slot = int(rows.column("key").to_numpy()[:1].view(np.uint64)[0] >> np.uint64(64 - _SLOT_BITS))
+    both = bool(side.any())  # two blocks: only pairs across them
+    left, right = (np.flatnonzero(side == 0), np.flatnonzero(side == 1)) if both else (np.arange(len(part)),) * 2
+    step = max(1, (1 << 22) // max(1, len(right)))
+    for lo in range(0, len(left), step):
+        own = left[lo : lo + step]
+        bound = np.minimum(most_common(counts[own], counts[right]), np.minimum.outer(sizes[own], sizes[right]))
+        near = (100 * bound >= least * (np.add.outer(sizes[own], sizes[right]) - bound)) & (part[own, None] != part[None, right])
+        if not both:
+            near &= own[:, None] < right[None, :]
+        i, j = np.nonzero(near)
+        for at in range(0, len(i), 1 << 15):
+            a, b = own[i[at : at + (1 << 15)]], right[j[at : at + (1 << 15)]]
+            here = first_shared(symbols[a], symbols[b]) == slot
+            yield a[here], b[here]
+
+
+def _candidates(least: int):
+    """Members of cells that still may link with another one of their cell."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows in _runs(batches):
+            counts = _counts_of(rows.column("counts").to_pylist())
+            open_ = np.zeros(len(counts), bool)
+            for a, b in _open_pairs(rows, counts, counts.sum(1), least):
+                open_[a] = open_[b] = True
+            if open_.any():
+                yield from rows.select(["key", "cell", "rep", "part", "side"]).filter(pa.array(open_)).combine_chunks().to_batches()
+
+    return run
+
+
+def _cell_links(least: int):
+    """Links that join the components of each cell, found on full sets."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+        for rows in _runs(batches):
+            sets = [np.frombuffer(x, np.uint64) for x in rows.column("members").to_pylist()]
+            rep, part = rows.column("rep").to_numpy(), rows.column("part").to_pylist()
+            name = {p: p for p in part}
+
+            def find(p: int, name: dict[int, int] = name) -> int:
+                while name[p] != p:
+                    name[p] = p = name[name[p]]
+                return p
+
+            found: list[tuple[int, int]] = []
+            for a, b in _open_pairs(rows, set_counts(sets), np.array([len(s) for s in sets]), least):
+                for i, j in zip(a.tolist(), b.tolist(), strict=True):
+                    p, q = find(part[i]), find(part[j])
+                    if p != q and _linked(sets[i], sets[j], least):
+                        name[p] = q
+                        found.append((i, j))
+            if found:
+                i, j = map(list, zip(*found, strict=True))
+                yield batch_of(schema, [rep[i], rep[j]])
+
+    return run
+
+
+def _dealt(tagged: DataFrame) -> DataFrame:
+    """``(key, cell, rep, part, side)``: members of buckets with several components, dealt to cells of bounded size.
+
+    Up to BLOCK members make one cell. Beyond it, blocks of the component with the smallest name meet blocks of all the
+    others, and those meet one another; a pair of members meets in one cell of its bucket.
+    """
+    parts = tagged.groupBy("key", "part").agg(F.count("*").alias("n"))
+    sized = parts.groupBy("key").agg(F.min("part").alias("main"), F.min_by("n", "part").alias("mains"), F.sum("n").alias("n"), F.count("*").alias("parts")).where("parts > 1")
+    block = lambda n: F.ceil(n / BLOCK).cast("int")
+    rows = tagged.join(sized.select("key", "main", "n", block(F.col("mains")).alias("p"), block(F.col("n") - F.col("mains")).alias("q")), "key")
+    small, is_main = F.col("n") <= BLOCK, F.col("part") == F.col("main")
+    own = lambda n: F.pmod(F.xxhash64("rep"), F.col(n)).cast("int")
+    up_to = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
+    cell = lambda c, side: F.struct(c.cast("long").alias("cell"), F.lit(side).alias("side"))
+    of_main = F.transform(up_to("q"), lambda j: cell(own("p") * F.col("q") + j, 0))
+    with_main = F.transform(up_to("p"), lambda i: cell(i * F.col("q") + own("q"), 1))
+    first, area = own("q"), F.col("p") * F.col("q")
+    one_another = F.transform(up_to("q"), lambda j: F.struct((area + F.least(first, j) * F.col("q") + F.greatest(first, j)).cast("long").alias("cell"), F.when(first > j, 1).otherwise(0).alias("side")))
+    cells = F.when(small, F.array(cell(F.lit(0), 0))).when(is_main, of_main).otherwise(F.concat(with_main, one_another))
+    return rows.select("key", "rep", "part", F.explode(cells).alias("at")).select("key", "at.cell", "rep", "part", "at.side")
 
 
 def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, similarity: int = 75) -> DataFrame:
@@ -210,32 +295,42 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     """
     if similarity < 75:
         raise ValueError("signatures are dimensioned for a similarity of 0.75 or more")
+    spark = df.sparkSession
     texts = df.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-    rows = written(texts.mapInArrow(_sketch, "doc_id long, n_shingles long, digest binary, keys array<long>, screen binary"))
+    rows = written(texts.mapInArrow(_sketch, "doc_id long, n_shingles long, digest binary, keys array<long>"))
     classes = written(rows.where("doc_id is not null and digest is not null").groupBy("digest").agg(F.min("doc_id").alias("rep")))
-    ones = rows.select("digest", F.col("doc_id").alias("rep"), "keys", "screen").join(classes, ["digest", "rep"]).select("rep", "keys", "screen")
-    ones = written(ones)
-    filed = ones.select("rep", F.posexplode("keys").alias("slot", "key"))
-    buckets = filed.groupBy("key").agg(F.min("rep").alias("lead"), F.max("rep").alias("last"), F.count("*").alias("n")).where("lead < last")
-    members = written(filed.join(buckets.drop("last"), "key"))
-    tidy(df.sparkSession)
-    known = texts.where("id is not null")
-    stars = members.where("rep > lead").select(F.col("lead").alias("a"), F.col("rep").alias("b")).distinct()
-    links = _confirmed(stars, known, similarity)
+    ones = written(rows.select("digest", F.col("doc_id").alias("rep"), "keys").join(classes, ["digest", "rep"]).select("rep", "keys"))
+    filed = ones.select("rep", F.explode("keys").alias("key"))
+    buckets = filed.groupBy("key").agg(F.min("rep").alias("lead"), F.max("rep").alias("last")).where("lead < last")
+    members = written(filed.join(buckets.drop("last"), "key").distinct())
+    release(ones)
+    tidy(spark)
+    ids = members.select(F.col("rep").alias("id")).distinct()
+    if ids.count() <= MOST_SENT:
+        ids = F.broadcast(ids)
+    sets = written(texts.join(ids, "id", "left_semi").mapInArrow(_sets, "id long, members binary, counts binary, symbols binary"))
+
+    star = written(members.where("rep > lead").select("lead", F.col("rep").alias("id")).distinct())
+    sized = star.groupBy("lead").agg(F.ceil(F.count("*") / BLOCK).alias("blocks"))
+    points = star.join(sized, "lead").select(F.col("lead").alias("key"), F.pmod(F.xxhash64("id"), "blocks").alias("cell"), F.lit(1).alias("side"), "id")
+    centres = sized.select(F.col("lead").alias("key"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("cell"), F.lit(0).alias("side"), F.col("lead").alias("id"))
+    filled = points.union(centres).join(sets.select("id", "members"), "id").select("key", "cell", "side", "id", "members")
+    links = written(filled.repartition("key", "cell").sortWithinPartitions("key", "cell").mapInArrow(_stars(similarity), "a long, b long"))
+    release(star)
+    tidy(spark)
+
     early = components(links)
-    tagged = members.join(early.withColumnRenamed("node", "rep"), "rep", "left").select("key", "slot", "rep", "n", F.coalesce("component", "rep").alias("part"))
-    mixed = tagged.groupBy("key").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("key")
-    blocks = F.ceil(F.col("n") / BLOCK).cast("int")
-    open_ = tagged.join(mixed, "key").withColumn("blocks", blocks).withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
-    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
-    cells = open_.select("key", "slot", "rep", "part", "own", "blocks", other.alias("with"))
-    cells = cells.select("key", "slot", "rep", "part", (F.least("own", "with") * F.col("blocks") + F.greatest("own", "with")).alias("cell"), F.when(F.col("own") > F.col("with"), 1).otherwise(0).alias("side"))
-    cells = cells.join(ones.select("rep", "screen"), "rep").select("key", "slot", "cell", "rep", "part", "side", "screen")
-    met = cells.repartition("key", "cell").sortWithinPartitions("key", "cell").mapInArrow(_across, "a long, b long")
-    more = _confirmed(met, known, similarity)
-    for done in (members, ones, early):
+    tagged = written(members.join(early.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("part")))
+    open_ = written(_dealt(tagged))
+    shown = open_.join(sets.select(F.col("id").alias("rep"), "symbols", "counts"), "rep").select("key", "cell", "rep", "part", "side", "symbols", "counts")
+    left = written(shown.repartition("key", "cell").sortWithinPartitions("key", "cell").mapInArrow(_candidates(similarity), "key long, cell long, rep long, part long, side int").distinct())
+    release(open_)
+    whole = left.join(sets.select(F.col("id").alias("rep"), "symbols", "members"), "rep").select("key", "cell", "rep", "part", "side", "symbols", "members")
+    more = written(whole.repartition("key", "cell").sortWithinPartitions("key", "cell").mapInArrow(_cell_links(similarity), "a long, b long"))
+    for done in (members, tagged, sets, early, left):
         release(done)
-    tidy(df.sparkSession)
+    tidy(spark)
+
     parts = components(links.union(more)).select(F.col("node").alias("rep"), "component")
     named = classes.join(parts, "rep", "left").select("digest", F.coalesce("component", "rep").alias("component"))
     out = rows.select("doc_id", "n_shingles", "digest").join(named, "digest", "left")

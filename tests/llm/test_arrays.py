@@ -233,3 +233,15 @@ def test_span_hashes_are_of_the_span_alone():
         codes, bounds = textscan.codes_of([*words, pad, *words])
         hashes = textscan.span_hashes(codes, bounds[:-1], bounds[1:])
         assert (hashes[: len(words)] == hashes[len(words) + 1 :]).all() and len(set(hashes[: len(words)])) == len(words)
+
+
+def test_common_members_are_never_underestimated():
+    rng = np.random.default_rng(7)
+    sets = [np.unique(rng.integers(1 << 64, size=n, dtype=np.uint64)) for n in (0, 1, 5, 300, 300, 9000, 40_000)]
+    sets += [np.unique(np.concatenate([s[: int(len(s) * share)], rng.integers(1 << 64, size=40, dtype=np.uint64)])) for s in sets for share in (0.6, 0.9, 1.0)]
+    counts = near_dedup.set_counts(sets)
+    assert counts.sum(1).tolist() == [len(s) for s in sets]
+    bound = near_dedup.most_common(counts, counts)
+    common = np.array([[len(np.intersect1d(a, b)) for b in sets] for a in sets])
+    assert (bound >= common).all() and (np.diag(bound) == np.diag(common)).all()
+    assert bound[3, 4] < 150  # of 300 each, none in common

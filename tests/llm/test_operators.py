@@ -2,6 +2,7 @@
 
 import re
 import zlib
+from collections import Counter, defaultdict
 
 import numpy as np
 import public_tokenizers as vocab
@@ -90,7 +91,9 @@ def brute_components(rows):
     return {k: (len(sets[k]), find(k)) for k in keys}
 
 
-def test_near_duplicates_are_brute_force(spark):
+@pytest.mark.parametrize("block", [near_dedup.BLOCK, 4])
+def test_near_duplicates_are_brute_force(spark, monkeypatch, block):
+    monkeypatch.setattr(near_dedup, "BLOCK", block)
     rng = np.random.default_rng(8)
     words = [f"w{i}" for i in range(400)]
     rows = []
@@ -102,6 +105,11 @@ def test_near_duplicates_are_brute_force(spark):
                 text[at] = str(rng.choice(words))
     passage = " ".join(rng.choice(words, 55))  # shared by many texts that are no duplicates
     rows += [" ".join(rng.choice(words, 30)) + " " + passage for _ in range(60)]
+    base = list(rng.choice(words, 100))
+    for g in range(3):  # a text too far from the next ones, which are near one another: no star round its bucket's first
+        text = [*base[: 100 - 8 * g], *rng.choice(words, 8 * g)]
+        for _ in range(12):
+            rows.append(" ".join([*text[:95], *rng.choice(words, 5)]))
     rows += ["", "one", "one", "One", "a b c d", None, *rows[:5]]
     given = [(int(i) * 3, t) for i, t in zip(rng.permutation(len(rows)), rows, strict=True)]
     got = near_dedup.near_duplicates(spark.createDataFrame(given, "doc_id long, text string").repartition(4)).collect()
@@ -223,3 +231,43 @@ def test_pipeline_stages(spark, small):
     kept = sorted((r.doc_id, r.text) for r in docs.collect())
     assert {k for k, (_, c) in brute_components(kept).items() if k == c} == {k for k, _ in kept}
     assert set(registry.SQL) <= set(registry.QUERIES) and len(registry.QUERIES) == 10
+
+
+def exact_components(rows, least=75):
+    """As ``brute_components``, by an inverted index over the rarest shingles of each set, for tables of many rows."""
+    lower = str.maketrans({chr(i): chr(i + 32) for i in range(65, 91)})
+    name, classes, sizes = {}, {}, {}
+
+    def find(x):
+        while name[x] != x:
+            x = name[x]
+        return x
+
+    def join(a, b):
+        a, b = find(a), find(b)
+        name[max(a, b)] = min(a, b)
+
+    for key, text in rows:
+        name[key] = key
+        words = re.findall("[^\x20\x09-\x0d]+", (text or "").translate(lower))
+        own = frozenset(tuple(words[i : i + 5]) for i in range(max(1, len(words) - 4))) if words else frozenset()
+        sizes[key] = len(own)
+        if own and classes.setdefault(own, key) != key:
+            join(key, classes[own])
+    often = Counter(x for own in classes for x in own)
+    filed = defaultdict(list)
+    for own, key in sorted(classes.items(), key=lambda c: len(c[0])):
+        rare = sorted(own, key=lambda x: (often[x], x))[: len(own) + 1 - -(-least * len(own) // 100)]
+        for other, b in {id(c[0]): c for x in rare for c in filed[x]}.values():
+            common = len(own & other)
+            if 100 * common >= least * (len(own) + len(other) - common):
+                join(key, b)
+        for x in rare:
+            filed[x].append((own, key))
+    return {k: (sizes[k], find(k)) for k in name}
+
+
+def test_near_duplicates_of_ten_thousand_documents(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet").select("doc_id", "text")
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in near_dedup.near_duplicates(docs).collect()}
+    assert len(got) == 10_000 and got == exact_components([tuple(r) for r in docs.collect()])
