@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from corpusbwt.llm import textscan, vocabularies
-from corpusbwt.llm.common import batch_of, texts_of
+from corpusbwt.llm.common import batch_of, texts_of, trimmed
 
 #: Pieces of more bytes take a heap instead of one recursion a merge, whose cost grows with the square of the length.
 LONG_PIECE = 256
@@ -179,7 +179,7 @@ def round_trip(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", *,
                 spans = [places[a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
                 yield batch_of(schema, [keys, np.diff(totals[first]), [hashlib.sha256(" ".join(map(ids, s)).encode()).hexdigest() for s in spans], [hashlib.sha256(b"".join(map(raw, s))).hexdigest() for s in spans]])
 
-    return df.select(id_col, text_col).mapInArrow(run, f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return df.select(id_col, text_col).mapInArrow(trimmed(run), f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
 
 
 def encode(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, path: str | None = None) -> DataFrame:
@@ -197,7 +197,7 @@ def encode(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, pat
                 flat = np.array(" ".join(map(held.ids.__getitem__, at.tolist())).split(), np.int32)
                 yield batch_of(schema, [keys, pa.ListArray.from_arrays(pa.array(cuts, pa.int32()), pa.array(flat))])
 
-    return df.select(id_col, text_col).mapInArrow(run, f"{id_col} {kind}, ids array<int>")
+    return df.select(id_col, text_col).mapInArrow(trimmed(run), f"{id_col} {kind}, ids array<int>")
 
 
 def decode(df: DataFrame, id_col: str = "doc_id", ids_col: str = "ids", *, path: str | None = None) -> DataFrame:
@@ -215,4 +215,4 @@ def decode(df: DataFrame, id_col: str = "doc_id", ids_col: str = "ids", *, path:
                 flat = np.array([i for r in rows[lo:hi] for i in r], np.int64)
                 yield batch_of(schema, [batch.column(0).slice(lo, hi - lo), engine.decode(flat, sizes[lo:hi])])
 
-    return df.select(id_col, ids_col).mapInArrow(run, f"{id_col} {kind}, decoded binary")
+    return df.select(id_col, ids_col).mapInArrow(trimmed(run), f"{id_col} {kind}, decoded binary")

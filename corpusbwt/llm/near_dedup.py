@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusbwt.llm import textscan
-from corpusbwt.llm.common import batch_of, texts_of
+from corpusbwt.llm.common import batch_of, texts_of, trimmed
 from corpusbwt.llm.graph import components
 from corpusbwt.session import release, tidy, written
 
@@ -297,7 +297,7 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
         raise ValueError("signatures are dimensioned for a similarity of 0.75 or more")
     spark = df.sparkSession
     texts = df.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-    rows = written(texts.mapInArrow(_sketch, "doc_id long, n_shingles long, digest binary, keys array<long>"))
+    rows = written(texts.mapInArrow(trimmed(_sketch), "doc_id long, n_shingles long, digest binary, keys array<long>"))
     classes = written(rows.where("doc_id is not null and digest is not null").groupBy("digest").agg(F.min("doc_id").alias("rep")))
     ones = written(rows.select("digest", F.col("doc_id").alias("rep"), "keys").join(classes, ["digest", "rep"]).select("rep", "keys"))
     filed = ones.select("rep", F.explode("keys").alias("key"))
@@ -308,14 +308,14 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     ids = members.select(F.col("rep").alias("id")).distinct()
     if ids.count() <= MOST_SENT:
         ids = F.broadcast(ids)
-    sets = written(texts.join(ids, "id", "left_semi").mapInArrow(_sets, "id long, members binary, counts binary, symbols binary"))
+    sets = written(texts.join(ids, "id", "left_semi").mapInArrow(trimmed(_sets), "id long, members binary, counts binary, symbols binary"))
 
     star = written(members.where("rep > lead").select("lead", F.col("rep").alias("id")).distinct())
     sized = star.groupBy("lead").agg(F.ceil(F.count("*") / BLOCK).alias("blocks"))
     points = star.join(sized, "lead").select(F.col("lead").alias("key"), F.pmod(F.xxhash64("id"), "blocks").alias("cell"), F.lit(1).alias("side"), "id")
     centres = sized.select(F.col("lead").alias("key"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("cell"), F.lit(0).alias("side"), F.col("lead").alias("id"))
     filled = points.union(centres).join(sets.select("id", "members"), "id").select("key", "cell", "side", "id", "members")
-    links = written(filled.repartition("key", "cell").sortWithinPartitions("key", "cell").mapInArrow(_stars(similarity), "a long, b long"))
+    links = written(filled.repartition("key", "cell").sortWithinPartitions("key", "cell").mapInArrow(trimmed(_stars(similarity)), "a long, b long"))
     release(star)
     tidy(spark)
 
@@ -323,10 +323,10 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     tagged = written(members.join(early.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("part")))
     open_ = written(_dealt(tagged))
     shown = open_.join(sets.select(F.col("id").alias("rep"), "symbols", "counts"), "rep").select("key", "cell", "rep", "part", "side", "symbols", "counts")
-    left = written(shown.repartition("key", "cell").sortWithinPartitions("key", "cell").mapInArrow(_candidates(similarity), "key long, cell long, rep long, part long, side int").distinct())
+    left = written(shown.repartition("key", "cell").sortWithinPartitions("key", "cell").mapInArrow(trimmed(_candidates(similarity)), "key long, cell long, rep long, part long, side int").distinct())
     release(open_)
     whole = left.join(sets.select(F.col("id").alias("rep"), "symbols", "members"), "rep").select("key", "cell", "rep", "part", "side", "symbols", "members")
-    more = written(whole.repartition("key", "cell").sortWithinPartitions("key", "cell").mapInArrow(_cell_links(similarity), "a long, b long"))
+    more = written(whole.repartition("key", "cell").sortWithinPartitions("key", "cell").mapInArrow(trimmed(_cell_links(similarity)), "a long, b long"))
     for done in (members, tagged, sets, early, left):
         release(done)
     tidy(spark)

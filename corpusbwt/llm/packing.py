@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from pyspark.taskcontext import TaskContext
 
 from corpusbwt.llm import textscan, vocabularies
-from corpusbwt.llm.common import batch_of, texts_of
+from corpusbwt.llm.common import batch_of, texts_of, trimmed
 from corpusbwt.llm.piece_tokens import tokenizer
 from corpusbwt.session import written
 
@@ -95,7 +95,7 @@ def tokenised(df: DataFrame, id_col: str, text_col: str, path: str, end_id: int)
                 xyz = _coordinates(hashes, pieces)
                 yield batch_of(schema, [batch.column(0).slice(lo, hi - lo), [_narrow(raw[4 * a : 4 * b]) for a, b in zip(ends[:-1], ends[1:], strict=True)], per + 1, *xyz.T])
 
-    return df.select(id_col, text_col).mapInArrow(run, f"id {kind}, ids binary, n_tokens long, {', '.join(f'{n} double' for n in names)}")
+    return df.select(id_col, text_col).mapInArrow(trimmed(run), f"id {kind}, ids binary, n_tokens long, {', '.join(f'{n} double' for n in names)}")
 
 
 def _narrow(raw: bytes) -> bytes:
@@ -192,4 +192,4 @@ def pack(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, path:
     order = ["curve", "id", "tie"]
     laid = keyed.repartitionByRange(*order).sortWithinPartitions(*order).select("id", "ids")
     schema = f"doc_id {kind}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
-    return laid.mapInArrow(_pieces(limit, with_ids), schema + (", ids binary" if with_ids else ""))
+    return laid.mapInArrow(trimmed(_pieces(limit, with_ids)), schema + (", ids binary" if with_ids else ""))

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusbwt.llm import textscan
-from corpusbwt.llm.common import batch_of, texts_of
+from corpusbwt.llm.common import batch_of, texts_of, trimmed
 
 WORD_BITS, BINS, RANK = 15, 16, 8
 WORDS = 1 << WORD_BITS
@@ -167,17 +167,22 @@ def train(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_co
                 parts = np.split(cells.astype("<u2"), at[1:])
                 yield batch_of(schema, [batch.column(0).slice(lo, hi - lo), [p.tobytes() for p in parts]])
 
-    got = rows.mapInArrow(run, "label double, cells binary").toArrow()
+    got = rows.mapInArrow(trimmed(run), "label double, cells binary").toArrow()
     pairs = sorted(zip(got.column(0).to_pylist(), got.column(1).to_pylist(), strict=True), key=lambda p: (p[1], p[0]))
     cells = [np.frombuffer(raw, "<u2").astype(np.int64) for _, raw in pairs]
     values = [np.where(c < WORDS, 1 / np.sqrt(max(1, int((c < WORDS).sum()))), 1.0) for c in cells]
     return fit(cells, values, np.array([label for label, _ in pairs]), n_cells(len(metadata)))
 
 
+def _short(model: Machine) -> Machine:
+    """The machine in single precision, as it is sent to tasks."""
+    return Machine(model.bias, model.linear.astype(np.float32), model.factors.astype(np.float32))
+
+
 def scored(docs: DataFrame, model: Machine, *, id_col: str = "doc_id", text_col: str = "text", metadata: Sequence[str] = ("n_chars",)) -> DataFrame:
     """Per row: doc_id, held_out, score, predicted. Null texts are scored as empty ones; a null id isn't held out."""
     spark = docs.sparkSession
-    sent = spark.sparkContext.broadcast(Machine(model.bias, model.linear.astype(np.float32), model.factors.astype(np.float32)))
+    sent = spark.sparkContext.broadcast(_short(model))
     kind = docs.schema[id_col].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -186,23 +191,31 @@ def scored(docs: DataFrame, model: Machine, *, id_col: str = "doc_id", text_col:
             for lo, hi, texts in _spans(batch):
                 yield batch_of(schema, [batch.column(0).slice(lo, hi - lo), sent.value.scores(*features(texts, _meta(batch, lo, hi)))])
 
-    out = _inputs(docs, id_col, text_col, metadata).mapInArrow(run, f"doc_id {kind}, score double")
+    out = _inputs(docs, id_col, text_col, metadata).mapInArrow(trimmed(run), f"doc_id {kind}, score double")
     fold = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False))
     return out.select("doc_id", fold.alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
 
 
 def accepted(docs: DataFrame, model: Machine, *, text_col: str = "text", metadata: Sequence[str] = ("n_chars",)) -> DataFrame:
-    """The rows of ``docs``, whole and with all columns, whose score reaches the threshold."""
-    sent = docs.sparkSession.sparkContext.broadcast(model)
+    """The rows of ``docs``, whole and with all columns, whose score reaches the threshold.
+
+    A null text is scored as an empty one, null metadata has a bin of its own; repeated rows are scored alike and an empty
+    table gives no rows.
+    """
+    sent = docs.sparkSession.sparkContext.broadcast(_short(model))
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.Series]:
+        for columns in frames:  # one struct a row: text, metadata
+            texts = [t or "" for t in columns.iloc[:, 0]]
+            meta = [columns.iloc[:, i].to_numpy(float) for i in range(1, columns.shape[1])]
+            out = np.zeros(len(texts))
+            for lo, hi in textscan.slices(np.fromiter(map(len, texts), np.int64, len(texts))):
+                out[lo:hi] = sent.value.scores(*features(texts[lo:hi], [m[lo:hi] for m in meta]))
+            yield pd.Series(out)
 
     @F.pandas_udf("double")
-    def score(columns: pd.DataFrame) -> pd.Series:  # one struct: text, metadata
-        texts = [t or "" for t in columns.iloc[:, 0]]
-        meta = [columns.iloc[:, i].to_numpy(float) for i in range(1, columns.shape[1])]
-        out = np.zeros(len(texts))
-        for lo, hi in textscan.slices(np.fromiter(map(len, texts), np.int64, len(texts))):
-            out[lo:hi] = sent.value.scores(*features(texts[lo:hi], [m[lo:hi] for m in meta]))
-        return pd.Series(out)
+    def score(frames: Iterator[pd.DataFrame]) -> Iterator[pd.Series]:
+        yield from trimmed(run)(frames)
 
     held = F.struct(F.col(text_col).alias("text"), *(F.col(m).cast("double").alias(f"meta{i}") for i, m in enumerate(metadata)))
     return docs.where(score(held) >= THRESHOLD)

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from corpusbwt.llm import textscan, vocabularies
-from corpusbwt.llm.common import batch_of, texts_of
+from corpusbwt.llm.common import batch_of, texts_of, trimmed
 
 # Symbol classes and states of the machine that finds words.
 BLANK, LETTER, DIGIT, SIGN, QUOTE, ENDS_ONE, OPENS_E, OPENS_L, CLOSES_E = range(9)
@@ -286,4 +286,4 @@ def token_counts(df: DataFrame, id_col: str = "doc_id", text_col: str = "text",
                 found = count_texts(texts[lo:hi], where)
                 yield batch_of(schema, [batch.column(0).slice(lo, hi - lo), [len(t.encode()) for t in texts[lo:hi]], found, found > limit])
 
-    return df.select(id_col, text_col).mapInArrow(run, f"doc_id {kind}, n_bytes long, n_tokens long, over_limit boolean")
+    return df.select(id_col, text_col).mapInArrow(trimmed(run), f"doc_id {kind}, n_bytes long, n_tokens long, over_limit boolean")
