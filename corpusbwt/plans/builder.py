@@ -106,18 +106,23 @@ def build(strings: DataFrame, path: str, *, m_suffixes: int | None = None, block
     return index
 
 
-def append(index: StoredIndex, df: DataFrame, text_col: str, order_cols: list[str], *, batch_id: int | None = None, **options) -> StoredIndex:
-    """Append new strings, numbered behind the indexed ones; a batch that has been applied already changes nothing."""
-    if batch_id is not None and batch_id in index.manifest.batches:
+def append(index: StoredIndex, df: DataFrame, text_col: str, order_cols: list[str], *, batch_id: int | None = None, source: str = "", **options) -> StoredIndex:
+    """Append new strings, numbered behind the indexed ones; a batch of a source that has been applied changes nothing.
+
+    Sources number their batches by themselves: a stream's is its checkpoint. Symbols that the index lacks are admitted.
+    """
+    mark = f"{source}#{batch_id}"
+    if batch_id is not None and mark in index.manifest.batches:
         return index
     base = index.manifest.m
     text = F.coalesce(F.col(text_col), F.lit(""))
     rows = with_row_index(df.select(*order_cols, text.alias("s"), F.length(text).alias("len")), order_cols, "_n")
     block = written(rows.withColumn("sid", F.col("_n") + base).drop("_n"))
     if batch_id is not None:
-        index.manifest.batches.append(batch_id)
+        index.manifest.batches.append(mark)
     if not block.limit(1).count():
         return index
+    index.widen(set(Alphabet.from_strings(block, "s").points))
     options.setdefault("block_id", max(index.manifest.blocks, default=-1) + 1)
     append_block(index, block, **options)
     release(block)

@@ -46,7 +46,7 @@ class Manifest:
     m: int = 0
     shards: list[Shard] = field(default_factory=list)
     blocks: list[int] = field(default_factory=list)
-    batches: list[int] = field(default_factory=list)
+    batches: list[str] = field(default_factory=list)
 
     @property
     def n(self) -> int:
@@ -62,14 +62,23 @@ class Manifest:
         return cls(**told)
 
 
-def split_sizes(n: int, p: int) -> list[int]:
-    """Near-equal parts of at most p: each is more than half full wherever there are several."""
-    q = max(1, -(-n // p))
+def split_sizes(n: int, p: int, fill: float = 1.0) -> list[int]:
+    """Near-equal parts of at most p, filled to about ``fill``: each is half full at least wherever there are several."""
+    wanted = -(-n // max(1, int(p * min(1.0, max(0.5, fill)))))
+    q = max(1, -(-n // p), min(wanted, n // -(-p // 2)))
     return [n // q + (i < n % q) for i in range(q)]
 
 
-def split_page(symbols: np.ndarray, p: int) -> list[np.ndarray]:
-    return np.split(symbols, np.cumsum(split_sizes(len(symbols), p))[:-1])
+def split_page(symbols: np.ndarray, p: int, fill: float = 1.0) -> list[np.ndarray]:
+    return np.split(symbols, np.cumsum(split_sizes(len(symbols), p, fill))[:-1])
+
+
+def deal_pages(pages: list[np.ndarray], shards: list[int]) -> list[tuple[int, list[np.ndarray]]]:
+    """A shard's pages dealt to shards of near-equal size, in order; pages stay whole."""
+    ends = np.cumsum([len(x) for x in pages])
+    cuts = np.searchsorted(ends, [ends[-1] * (i + 1) // len(shards) for i in range(len(shards) - 1)], "left") + 1 if len(pages) else []
+    edges = [0, *np.minimum(cuts, len(pages)), len(pages)]
+    return [(shard, pages[a:b]) for shard, a, b in zip(shards, edges[:-1], edges[1:], strict=True)]
 
 
 class PageCodec:
@@ -242,14 +251,14 @@ class StoredIndex:
     def bulk_load(self, bwt: DataFrame, m: int, *, fill: float = 0.75) -> StoredIndex:
         """Fill an empty index from a transform in row form: one task a shard, pages filled to ``fill`` (1/2 to 1)."""
         codec, alphabet = self.codec, self.alphabet
-        per_shard, per_page = self.manifest.shard_symbols, max(1, int(self.manifest.page * min(1.0, max(0.5, fill))))
+        per_shard, page = self.manifest.shard_symbols, self.manifest.page
 
         def run(table: pa.Table) -> pa.Table:
             order = np.argsort(table.column("pos").to_numpy(), kind="stable")
             points = table.column("sym").to_numpy()[order]
             symbols = np.zeros(len(points), codec.dtype)
             symbols[points > 0] = alphabet.codes(points[points > 0])
-            return codec.table(table.column("shard_id")[0].as_py(), split_page(symbols, per_page))
+            return codec.table(table.column("shard_id")[0].as_py(), split_page(symbols, page, fill))
 
         dealt = bwt.select(F.floor(F.col("pos") / per_shard).cast("int").alias("shard_id"), "pos", "sym")
         made = self._write(dealt.groupBy("shard_id").applyInArrow(run, PAGE_SCHEMA))
@@ -262,11 +271,19 @@ class StoredIndex:
         """Insert ``(g, ord, sym)``: symbols, in the order ``ord``, before the old rows ``g``; only touched shards are rewritten.
 
         Rows are routed by a binary search in the shards' starts and meet their shard's pages in one task, which edits
-        page by page and splits what overflows.
+        page by page and splits what overflows. A shard that grows beyond the set size is dealt to several, whose numbers
+        are set ahead from counted rows.
         """
-        codec, alphabet, p = self.codec, self.alphabet, self.manifest.page
+        codec, alphabet, p, most = self.codec, self.alphabet, self.manifest.page, self.manifest.shard_symbols
         starts = {s.shard_id: int(b) for s, b in zip(self.manifest.shards, self.starts, strict=True)}
         routed = locate(new, "g", self.starts, [s.shard_id for s in self.manifest.shards], "shard_id")
+        added = {r["shard_id"]: r["n"] for r in routed.groupBy("shard_id").agg(F.count("*").alias("n")).collect()}
+        free = max(starts, default=-1) + 1
+        parts: dict[int, list[int]] = {}
+        for s in self.manifest.shards:
+            more = max(0, -(-(s.n_sym + added.get(s.shard_id, 0)) // max(most, p)) - 1) if s.shard_id in added else 0
+            parts[s.shard_id] = [s.shard_id, *range(free, free + more)]
+            free += more
 
         def run(key: tuple, rows: pa.Table, pages: pa.Table) -> pa.Table:
             pages = pages.sort_by("page_no")
@@ -284,17 +301,43 @@ class StoredIndex:
                 old = codec.symbols(payload, n)
                 lo, hi = cuts[i], cuts[i + 1]
                 out += split_page(insert_symbols(old, at[lo:hi] - begin[i], symbols[lo:hi]), p) if hi > lo else [old]
-            return codec.table(shard, out)
+            return pa.concat_tables([codec.table(name, own) for name, own in deal_pages(out, parts[shard])])
 
-        touched = [r[0] for r in routed.select("shard_id").distinct().collect()]
-        old = self.pages(touched)
+        old = self.pages(sorted(added))
         merged = routed.groupBy("shard_id").cogroup(old.groupBy("shard_id")).applyInArrow(run, PAGE_SCHEMA)
         made = self._write(merged)
-        self.manifest.shards = [made.get(s.shard_id, s) for s in self.manifest.shards]
+        after = [made.get(i) or (s if i == s.shard_id and i not in added else None) for s in self.manifest.shards for i in parts[s.shard_id]]
+        self.manifest.shards = [s for s in after if s is not None]
         self.manifest.version += 1
         self.manifest.m += strings_added
         return self
 
+    def widen(self, points: set[int]) -> StoredIndex:
+        """Admit further symbols: codes are dense and in order, so all pages are coded anew, each by itself."""
+        old, wider = self.alphabet, Alphabet(tuple(sorted({*self.manifest.points, *points})))
+        if wider == old:
+            return self
+        kept = np.concatenate([[0], wider.codes(np.array(old.points, np.int64))]).astype(np.int64)
+        before, after = self.codec, PageCodec(wider.sigma, wider.bits, self.manifest.spacing, self.manifest.packing)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                for row in batch.to_pylist():
+                    symbols = kept[before.symbols(row["payload"], row["n_sym"])].astype(after.dtype)
+                    occ = np.zeros(wider.sigma + 1, np.int64)
+                    occ[kept] = row["occ_in_shard"]
+                    row |= {"payload": after.payload(symbols), "occ_in_shard": occ.tolist(), "occ_rel": after.sampled(symbols).tobytes()}
+                    yield pa.RecordBatch.from_pylist([row], batch.schema)
+
+        pages = self.pages().mapInArrow(run, PAGE_SCHEMA)
+        self.manifest.points = list(wider.points)
+        if self.manifest.shards:
+            made = self._write(pages)
+            self.manifest.shards = [made[s.shard_id] for s in self.manifest.shards]
+            self.manifest.version += 1
+        self.__dict__.pop("symbols", None)
+        return self
+
     def rebalance(self) -> StoredIndex:
         """Deal all rows to shards of the set size again, once insertions have made some of them much larger."""
         return self.bulk_load(self.rows(), self.manifest.m)

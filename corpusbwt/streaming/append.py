@@ -10,7 +10,8 @@ from corpusbwt.plans.store import StoredIndex
 
 
 def append_stream(stream: DataFrame, index_path: str, checkpoint: str, *, text_col: str, order_cols: list[str], watermark: tuple[str, str] | None = None, ids: list[str] | None = None, available_now: bool = True):
-    """A query that appends every micro-batch as a block; the batch's number in the manifest makes a replay do nothing.
+    """A query that appends every micro-batch as a block; its checkpoint and the batch's number in the manifest
+    make a replay do nothing.
 
     Strings count in order of arrival, late ones included; with a watermark and ids, repeats within it are dropped.
     """
@@ -21,7 +22,7 @@ def append_stream(stream: DataFrame, index_path: str, checkpoint: str, *, text_c
 
     def apply(batch: DataFrame, batch_id: int) -> None:
         index = StoredIndex.open(batch.sparkSession, index_path)
-        builder.append(index, batch, text_col, order_cols, batch_id=batch_id)
+        builder.append(index, batch, text_col, order_cols, batch_id=batch_id, source=checkpoint)
 
     writer = stream.writeStream.foreachBatch(apply).option("checkpointLocation", checkpoint)
     return (writer.trigger(availableNow=True) if available_now else writer).start()
