@@ -20,6 +20,16 @@ def flat_codes(strings: list[str]) -> tuple[np.ndarray, np.ndarray]:
     return np.frombuffer("".join(strings).encode("utf-32-le", "surrogatepass"), "<u4"), bounds
 
 
+def row_ranges(edges: np.ndarray, most: int) -> list[tuple[int, int]]:
+    """Ranges of rows with about ``most`` elements between their edges; a longer row stands alone."""
+    out, lo = [], 0
+    while lo < len(edges) - 1:
+        hi = max(lo + 1, int(np.searchsorted(edges, edges[lo] + most, "right")) - 1)
+        out.append((lo, hi))
+        lo = hi
+    return out
+
+
 def with_terminators(codes: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Codes with a 0 after each string, and each suffix's string."""
     text = np.insert(codes.astype(np.int64), bounds[1:], 0)

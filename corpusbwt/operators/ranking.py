@@ -16,13 +16,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpusbwt.functions.kernels import RankEngine, chain_ranks, flat_codes
+from corpusbwt.functions.kernels import RankEngine, chain_ranks, flat_codes, row_ranges
 from corpusbwt.operators.numbering import running_sum
 from corpusbwt.operators.stringset import suffixes
 from corpusbwt.plans.store import StoredIndex, locate
 from corpusbwt.session import release, written
 
-_ENGINES: dict[int, RankEngine] = {}
+_ENGINES: dict[str, RankEngine] = {}
 #: Rows up to which a worker lists positions (8 bytes each) in place of counters.
 MOST_LISTED = 1 << 26
 
@@ -30,7 +30,8 @@ MOST_LISTED = 1 << 26
 def shared_engine(index: StoredIndex):
     """A function that gives the rank engine inside a task: symbols are broadcast once, counters built once a worker."""
     sent = index.spark.sparkContext.broadcast((index.symbols, index.alphabet.sigma, index.codec.spacing))
-    key = (id(sent), index.manifest.version)
+    key = sent._id if getattr(sent, "_id", None) is not None else sent._jbroadcast.id()  # a broadcast's number is its own
+    key = f"{index.spark.sparkContext.applicationId}/{key}"
 
     def engine() -> RankEngine:
         if key not in _ENGINES:
@@ -50,13 +51,15 @@ def chained(strings: DataFrame, index: StoredIndex, *, start: int | None = None,
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = batch.column(1).to_pylist()
-            for lo in range(0, len(texts), 8192):
-                points, bounds = flat_codes(texts[lo : lo + 8192])
+            sizes = np.concatenate([[0], np.cumsum([len(t) + 1 for t in texts])])
+            for lo, hi in row_ranges(sizes, 1 << 20):
+                points, bounds = flat_codes(texts[lo:hi])
                 g = chain_ranks(engine(), alphabet.codes(points), bounds, first, q)
                 edges = bounds + np.arange(len(bounds))
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, 8192), pa.ListArray.from_arrays(pa.array(edges.astype(np.int32)), pa.array(g))], ["sid", "g"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), pa.ListArray.from_arrays(pa.array(edges.astype(np.int32)), pa.array(g))], ["sid", "g"])
 
-    return strings.select("sid", "s").mapInArrow(run, "sid long, g array<long>")
+    parts = strings.sparkSession.sparkContext.defaultParallelism  # chains are long work on few bytes: deal them to all tasks
+    return strings.select("sid", "s").repartition(parts, "sid").mapInArrow(run, "sid long, g array<long>")
 
 
 def ranks_replicated(strings: DataFrame, index: StoredIndex, *, start: int | None = None, q: int = 1) -> DataFrame:

@@ -99,21 +99,27 @@ def sort_doubling(strings: DataFrame) -> DataFrame:
     return ranked.select(F.col("group").alias("pos"), "sid", "k", "sym")
 
 
+def _gathered(batches: Iterator[pa.RecordBatch]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray] | None:
+    """String numbers, code points, bounds and suffix order of all strings of a task; nothing without any."""
+    held = [b for b in batches if b.num_rows]
+    if not held:
+        return None
+    table = pa.Table.from_batches(held).sort_by("sid")
+    points, bounds = kernels.flat_codes(table.column("s").to_pylist())
+    return table.column("sid").to_numpy(), points, bounds, kernels.suffix_order(points, bounds)[0]
+
+
 def sort_local(strings: DataFrame) -> DataFrame:
     """One task sorts one block by array kernels; for blocks that fit a task's memory (see ``planner``)."""
     ship(strings.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = [b for b in batches if b.num_rows]
-        if not held:
+        if (got := _gathered(batches)) is None:
             return
-        table = pa.Table.from_batches(held).sort_by("sid")
-        points, bounds = kernels.flat_codes(table.column("s").to_pylist())
-        order, _ = kernels.suffix_order(points, bounds)
+        names, points, bounds, order = got
         _, owner = kernels.with_terminators(points, bounds)
-        sid = table.column("sid").to_numpy()[owner[order]]
         k = order - (bounds[:-1] + np.arange(len(bounds) - 1))[owner[order]]
-        sym = kernels.symbols_before(points, bounds)[order]
+        sid, sym = names[owner[order]], kernels.symbols_before(points, bounds)[order]
         for lo in range(0, len(order), 1 << 18):
             part = slice(lo, lo + (1 << 18))
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(order))[part]), pa.array(sid[part]), pa.array(k[part].astype(np.int32)), pa.array(sym[part].astype(np.int32))], ["pos", "sid", "k", "sym"])
@@ -121,6 +127,41 @@ def sort_local(strings: DataFrame) -> DataFrame:
     return strings.select("sid", "s").coalesce(1).mapInArrow(run, SA_SCHEMA)
 
 
+def places_local(strings: DataFrame) -> DataFrame:
+    """``(sid, pos, sym)``: as ``sort_local``, in text order: arrays by k of each suffix's place and the symbol before it.
+
+    A string's ranks join to one row, so a block's order and ranks meet without a row for each suffix.
+    """
+    ship(strings.sparkSession)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        if (got := _gathered(batches)) is None:
+            return
+        names, points, bounds, order = got
+        place = np.empty(len(order), np.int64)
+        place[order] = np.arange(len(order))
+        sym = kernels.symbols_before(points, bounds).astype(np.int32)
+        edges = bounds + np.arange(len(bounds))
+        for lo, hi in kernels.row_ranges(edges, 1 << 20):
+            cut = pa.array((edges[lo : hi + 1] - edges[lo]).astype(np.int32))
+            own = slice(edges[lo], edges[hi])
+            yield pa.RecordBatch.from_arrays([pa.array(names[lo:hi]), pa.ListArray.from_arrays(cut, pa.array(place[own])), pa.ListArray.from_arrays(cut, pa.array(sym[own]))], ["sid", "pos", "sym"])
+
+    return strings.select("sid", "s").coalesce(1).mapInArrow(run, "sid long, pos array<long>, sym array<int>")
+
+
+def flattened(rows: DataFrame, columns: dict[str, str]) -> DataFrame:
+    """One row for each element of array columns of equal lengths: names to types."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            flat = [batch.column(c).flatten() for c in columns]
+            for lo in range(0, len(flat[0]), 1 << 18):
+                yield pa.RecordBatch.from_arrays([x.slice(lo, 1 << 18) for x in flat], list(columns))
+
+    return rows.select(*columns).mapInArrow(run, ", ".join(f"{c} {t}" for c, t in columns.items()))
+
+
 SORTERS = {"direct": sort_direct, "gather": sort_gather, "sieve": sort_msd_sieve, "doubling": sort_doubling, "local": sort_local}
 
 

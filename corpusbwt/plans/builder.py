@@ -38,8 +38,8 @@ class StageLog:
 
 
 def _sorted(block: DataFrame, sorter: str) -> DataFrame:
-    """A block's suffixes in order, stored: ``(pos, sid, k, sym)``."""
-    return written(suffixsort.suffix_array(block, sorter))
+    """A block's suffixes, stored: in order ``(pos, sid, k, sym)``, or by strings ``(sid, pos, sym)`` where one task sorts."""
+    return written(suffixsort.places_local(block) if sorter == "local" else suffixsort.suffix_array(block, sorter))
 
 
 def append_block(index: StoredIndex, block: DataFrame, *, sorter: str = "auto", ranker: str = "auto", reverse: bool = False, old: DataFrame | None = None, block_id: int = 0, log: StageLog | None = None, presorted: DataFrame | None = None, q: int = 1) -> StoredIndex:
@@ -53,17 +53,27 @@ def append_block(index: StoredIndex, block: DataFrame, *, sorter: str = "auto",
     count = block.count()
     if sorter == "auto":
         sorter = planner.choose_sorter(n, longest, average)
+    by_string = sorter == "local"
     if not index.manifest.shards:
         sa = presorted if presorted is not None else log.timed(block_id, "sort", n, lambda: _sorted(block, sorter))
-        log.timed(block_id, "insert", n, lambda: index.bulk_load(sa, count))
+        rows = suffixsort.flattened(sa, {"pos": "long", "sym": "int"}) if by_string else sa
+        log.timed(block_id, "insert", n, lambda: index.bulk_load(rows, count))
     else:
         start = 0 if reverse else index.manifest.m
-        ranks = log.timed(block_id, "rank", n, lambda: written(ranking.compute_ranks(block, index, ranker, old=old, start=start, q=q)))
+        strategy = planner.choose_ranker(index, block, old is not None) if ranker == "auto" else ranker
+        whole = by_string and strategy == "replicated"
+        rank = ranking.chained if whole else lambda *a, **o: ranking.compute_ranks(*a, strategy, old=old, **o)
+        ranks = log.timed(block_id, "rank", n, lambda: written(rank(block, index, start=start, q=q)))
         if presorted is None and sorter == "direct":
             new = log.timed(block_id, "sort", n, lambda: ranking.ordered_new(block, ranks))
         else:
             sa = presorted if presorted is not None else log.timed(block_id, "sort", n, lambda: _sorted(block, sorter))
-            new = ranking.reorder(ranks, sa).select(F.col("pos").alias("ord"), "g", "sym")
+            if whole:
+                new = suffixsort.flattened(sa.select("sid", F.col("pos").alias("ord"), "sym").join(ranks, "sid"), {"g": "long", "ord": "long", "sym": "int"})
+            else:
+                if by_string:
+                    sa = sa.select("sid", F.posexplode(F.arrays_zip("pos", "sym")).alias("k", "x")).select("x.pos", "sid", "k", "x.sym")
+                new = ranking.reorder(ranks, sa).select(F.col("pos").alias("ord"), "g", "sym")
         log.timed(block_id, "insert", n, lambda: index.insert(new.select("g", "ord", "sym"), count))
         release(ranks)
     if block_id not in index.manifest.blocks:
@@ -72,12 +82,12 @@ def append_block(index: StoredIndex, block: DataFrame, *, sorter: str = "auto",
     return index
 
 
-def build(strings: DataFrame, path: str, *, m_suffixes: int | None = None, blocks: int | None = None, alphabet: Alphabet | None = None, sorter: str = "auto", ranker: str = "auto", order: str = "forward", overlap: bool = False, log: StageLog | None = None, q: int = 1, **options) -> StoredIndex:
+def build(strings: DataFrame, path: str, *, m_suffixes: int | None = None, blocks: int | None = None, alphabet: Alphabet | None = None, sorter: str = "auto", ranker: str = "auto", order: str = "forward", overlap: bool | None = None, ahead: int = 8, log: StageLog | None = None, q: int = 1, **options) -> StoredIndex:
     """An index of a string set ``(sid, s, len)``, block after block.
 
     ``order='reverse'`` appends the last block first, with terminators below the old ones; the transform is the same.
-    ``overlap`` sorts the next block while the one before is ranked and inserted. Options: page, spacing, packing,
-    shard_symbols.
+    ``overlap`` sorts blocks ahead, up to ``ahead`` of them at once, while those before are ranked and inserted; it is on
+    of itself where blocks are sorted by one task each. Options: page, spacing, packing, shard_symbols.
     """
     spark = strings.sparkSession
     if m_suffixes is None and blocks is None:
@@ -88,18 +98,22 @@ def build(strings: DataFrame, path: str, *, m_suffixes: int | None = None, block
     part = lambda b: held.where(F.col("block_id") == b)
     log = log or StageLog()
 
-    def ahead(b: int) -> DataFrame:
+    how = planner.choose_sorter(*planner.measure(held, per_block=True)) if sorter == "auto" else sorter
+    if overlap is None:
+        overlap = how == "local" and len(ids) > 1
+
+    def presort(b: int) -> DataFrame:
         block = part(b)
-        n, longest, average = planner.measure(block)
-        return log.timed(b, "sort", n, lambda: _sorted(block, planner.choose_sorter(n, longest, average) if sorter == "auto" else sorter))
+        return log.timed(b, "sort", planner.measure(block)[0], lambda: _sorted(block, how))
 
-    with ThreadPoolExecutor(1) as pool:
-        waiting = pool.submit(ahead, ids[0]) if overlap and ids else None
+    with ThreadPoolExecutor(max(1, ahead)) as pool:
+        waiting = {b: pool.submit(presort, b) for b in ids[:ahead]} if overlap else {}
         for i, b in enumerate(ids):
-            presorted = waiting.result() if waiting else None
-            waiting = pool.submit(ahead, ids[i + 1]) if overlap and i + 1 < len(ids) else None
+            presorted = waiting.pop(b).result() if overlap else None
+            if overlap and i + ahead < len(ids):
+                waiting[ids[i + ahead]] = pool.submit(presort, ids[i + ahead])
             older = held.where(F.col("block_id") > b if order == "reverse" else F.col("block_id") < b)
-            append_block(index, part(b), sorter=sorter, ranker=ranker, reverse=order == "reverse", old=older, block_id=int(b), log=log, presorted=presorted, q=q)
+            append_block(index, part(b), sorter=how, ranker=ranker, reverse=order == "reverse", old=older, block_id=int(b), log=log, presorted=presorted, q=q)
             if presorted is not None:
                 release(presorted)
     release(held)

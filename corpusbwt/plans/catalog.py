@@ -105,7 +105,7 @@ def documents_index(spark: SparkSession, sf_dir: str) -> tuple[StoredIndex, Data
     key = (spark.sparkContext.applicationId, sf_dir, "documents")
     if key not in _BUILT:
         strings = written(string_set(load(spark, sf_dir, "documents"), "text", ["doc_id"]))
-        _BUILT[key] = builder.build(strings, folder(spark), blocks=1, spacing=128), strings
+        _BUILT[key] = builder.build(strings, folder(spark), shard_symbols=SHARD), strings
     return _BUILT[key]
 
 

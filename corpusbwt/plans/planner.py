@@ -25,9 +25,13 @@ class IndexPlan:
     build: str
 
 
-def measure(strings: DataFrame) -> tuple[int, int, float]:
-    """Suffixes, longest string, average bytes of suffix text."""
-    r = strings.agg(F.sum(F.col("len").cast("long") + 1).alias("n"), F.max("len").alias("longest"), F.sum(F.col("len").cast("double") * (F.col("len") + 1) / 2).alias("text")).first()
+def measure(strings: DataFrame, *, per_block: bool = False) -> tuple[int, int, float]:
+    """Suffixes, longest string, average bytes of suffix text; with ``per_block`` the largest block's suffixes."""
+    sums = F.sum(F.col("len").cast("long") + 1).alias("n"), F.max("len").alias("longest"), F.sum(F.col("len").cast("double") * (F.col("len") + 1) / 2).alias("text")
+    if per_block:
+        r = strings.groupBy("block_id").agg(*sums).agg(F.max("n").alias("n"), F.max("longest").alias("longest"), F.sum("text").alias("text"), F.sum("n").alias("all")).first()
+        return r.n or 0, r.longest or 0, (r.text or 0.0) / max(1, r.all or 0)
+    r = strings.agg(*sums).first()
     n = r.n or 0
     return n, r.longest or 0, (r.text or 0.0) / max(1, n)
 
@@ -59,6 +63,8 @@ def choose(strings: DataFrame, *, memory_bytes: int = 8 << 30, appended: bool =
     """A plan for a set: the block takes a fifth of memory at 60 bytes a suffix; a first bulk build is gathered by range,
     as it replicates nothing, while later strings are appended in blocks."""
     n, longest, average = measure(strings)
-    sorter = choose_sorter(n, longest, average)
     m = max(1, memory_bytes // 5 // 60)
+    if average > DIRECT_BYTES:  # long strings: blocks that one task sorts, one after the other ranked and inserted
+        m = min(m, LOCAL_SUFFIXES // 2)
+    sorter = choose_sorter(min(n, m), longest, average)
     return IndexPlan(m, sorter, "auto", "append" if appended or n > m else "bulk")

@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from corpusbwt.functions.alphabet import Alphabet, pack_bits, unpack_bits
 from corpusbwt.functions.kernels import RankEngine, auto_spacing, insert_symbols
-from corpusbwt.session import ship
+from corpusbwt.session import release, ship, written
 
 PAGE_SCHEMA = "shard_id int, page_no int, start_in_shard long, n_sym int, payload binary, occ_in_shard array<long>, occ_rel binary"
 #: Bytes of symbols that may be sent to every task as one copy of the index; beyond it ranks are found shard by shard.
@@ -276,7 +276,7 @@ class StoredIndex:
         """
         codec, alphabet, p, most = self.codec, self.alphabet, self.manifest.page, self.manifest.shard_symbols
         starts = {s.shard_id: int(b) for s, b in zip(self.manifest.shards, self.starts, strict=True)}
-        routed = locate(new, "g", self.starts, [s.shard_id for s in self.manifest.shards], "shard_id")
+        routed = written(locate(new, "g", self.starts, [s.shard_id for s in self.manifest.shards], "shard_id"))
         added = {r["shard_id"]: r["n"] for r in routed.groupBy("shard_id").agg(F.count("*").alias("n")).collect()}
         free = max(starts, default=-1) + 1
         parts: dict[int, list[int]] = {}
@@ -306,6 +306,7 @@ class StoredIndex:
         old = self.pages(sorted(added))
         merged = routed.groupBy("shard_id").cogroup(old.groupBy("shard_id")).applyInArrow(run, PAGE_SCHEMA)
         made = self._write(merged)
+        release(routed)
         after = [made.get(i) or (s if i == s.shard_id and i not in added else None) for s in self.manifest.shards for i in parts[s.shard_id]]
         self.manifest.shards = [s for s in after if s is not None]
         self.manifest.version += 1
