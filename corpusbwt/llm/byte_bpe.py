@@ -22,6 +22,8 @@ from corpusbwt.llm.common import batch_of, texts_of, trimmed
 
 #: Pieces of more bytes take a heap instead of one recursion a merge, whose cost grows with the square of the length.
 LONG_PIECE = 256
+#: Sum of squared piece lengths that one recursive query takes: it keeps a list of tokens for each merge, so memory is bounded.
+MOST_STEPS = 1 << 24
 #: Symbols of text taken at once: new pieces of a slice share one recursive query.
 SLICE = 1 << 21
 
@@ -51,7 +53,7 @@ class DuckBpe:
         self.single = np.array([self.ranks[bytes([b])] for b in range(256)], np.int32)
         rows = [(self.ranks[t[:i]], self.ranks[t[i:]], r) for t, r in self.ranks.items() for i in range(1, len(t)) if t[:i] in self.ranks and t[i:] in self.ranks]
         left, right, made = (np.array(c, np.int32) for c in zip(*rows, strict=True))
-        self.db = duckdb.connect(config={"threads": 1, "memory_limit": "400MB"})
+        self.db = duckdb.connect(config={"threads": 1, "memory_limit": "400MB", "temp_directory": ""})
         self._table("merges", {"left_token": left, "right_token": right, "made": made})
         self._table("vocabulary", {"token": np.fromiter(self.tokens, np.int32, len(self.tokens)), "bytes": pa.array(list(self.tokens.values()), pa.binary())})
 
@@ -85,7 +87,12 @@ class DuckBpe:
         return [t for t, a in zip(token, alive, strict=True) if a]
 
     def encode(self, pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of all pieces in a row, and each piece's number of ids."""
+        """Ids of all pieces in a row, and each piece's number of ids; pieces go to DuckDB in parts of bounded work."""
+        steps = np.minimum([len(p) for p in pieces], LONG_PIECE) ** 2
+        parts = [self._contract(pieces[lo:hi]) for lo, hi in textscan.slices(steps, MOST_STEPS)]
+        return tuple(np.concatenate(x) for x in zip(*parts, strict=True)) if parts else (np.zeros(0, np.int64), np.zeros(0, np.int64))
+
+    def _contract(self, pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         sizes = np.fromiter(map(len, pieces), np.int64, len(pieces))
         long = {i: self._heap(pieces[i]) for i in np.flatnonzero(sizes > LONG_PIECE)}
         short = np.where(sizes > LONG_PIECE, 0, sizes)

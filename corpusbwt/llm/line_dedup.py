@@ -13,11 +13,9 @@ from pyspark.sql import functions as F
 
 from corpusbwt.session import written
 
-#: The report's threshold, which its SQL states as well.
-MIN_SITES = 16
-#: The threshold of cleaned documents. At sf0.1 lines of over 50 words stand on three sites at most, as copied documents
-#: do, or on eleven and more; a line on five sites keeps its first place, so nothing is lost if a copy took it there.
-SPREAD_SITES = 5
+#: At sf0.1 lines of over 50 words stand on three sites at most, as copied documents do, or on eleven and more; a line on
+#: five sites keeps its first place, so nothing is lost if a copy took it there.
+MIN_SITES = 5
 #: Estimates within this share of the threshold are counted exactly: six standard errors of a sketch of 2**12 registers.
 BAND = 0.1
 REGISTERS = 12
@@ -71,7 +69,7 @@ def line_report(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", s
     return out.select(F.col(f"row.`{id_col}`").alias("doc_id"), F.greatest(F.coalesce(F.size("lines"), F.lit(0)), F.lit(0)).cast("long").alias("n_lines"), F.greatest(F.coalesce(F.size("removed"), F.lit(0)), F.lit(0)).cast("long").alias("n_removed"), F.col("kept").alias("text"))
 
 
-def without_boilerplate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", site_col: str = "source", *, min_sites: int = SPREAD_SITES) -> DataFrame:
+def without_boilerplate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", site_col: str = "source", *, min_sites: int = MIN_SITES) -> DataFrame:
     """``docs`` with all its columns and boilerplate lines cut out; documents of which no line is left are gone.
 
     Such a document's lines all stand elsewhere, at their first places. Documents that came without text stay.
