@@ -69,8 +69,11 @@ def runs(bwt: DataFrame) -> DataFrame:
     return numbered.join(after, "run", "left").join(F.broadcast(size)).select("run", "sym", "start", (F.coalesce("_next", "_n") - F.col("start")).alias("len"))
 
 
-def invert_rows(bwt: DataFrame) -> DataFrame:
-    """``(sid, s)``: the strings, by pointer doubling over the LF mapping: ⌈log2 of the longest⌉ joins of all rows."""
+def walks(bwt: DataFrame) -> DataFrame:
+    """``(pos, sid, far, sym)``: each row's string and its steps from that string's terminator, by pointer doubling.
+
+    The terminator's row is the string's number. ⌈log2 of the longest⌉ joins of all rows, each round stored.
+    """
     mapped = written(lf(bwt))
     up = mapped.where("sym <> 0").select(F.col("lf").alias("pos"), F.col("pos").alias("above"), F.lit(1).cast("long").alias("far"))
     roots = mapped.where("true").join(up.select("pos"), "pos", "left_anti").select("pos", F.col("pos").alias("above"), F.lit(0).cast("long").alias("far"))
@@ -82,9 +85,13 @@ def invert_rows(bwt: DataFrame) -> DataFrame:
         release(held)
         held = after.drop("moved")
         if not more:
-            break
+            return held.join(mapped, "pos").select("pos", F.col("above").alias("sid"), "far", "sym")
+
+
+def invert_rows(bwt: DataFrame) -> DataFrame:
+    """``(sid, s)``: the strings, read off their rows' walks."""
     letters = F.decode(F.unhex(F.lpad(F.hex("sym"), 8, "0")), "UTF-32")
-    rows = held.join(mapped, "pos").select(F.col("above").alias("sid"), F.col("far"), F.when(F.col("sym") == 0, "").otherwise(letters).alias("c"))
+    rows = walks(bwt).select("sid", "far", F.when(F.col("sym") == 0, "").otherwise(letters).alias("c"))
     lists = rows.groupBy("sid").agg(F.sort_array(F.collect_list(F.struct("far", "c")), asc=False).alias("all"))
     return lists.select("sid", F.array_join(F.transform("all", lambda x: x["c"]), "").alias("s"))
 

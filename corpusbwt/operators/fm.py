@@ -1,7 +1,8 @@
 """Searches in an FM-index: count, locate, containing strings, extraction and shared passages.
 
-Patterns run in the tasks that hold them, against the replicated engine; the chain of a pattern is that of a new string
-twice over, for the lower and the upper end of its interval of rows.
+Patterns run in the tasks that hold them, against the replicated engine, while the index fits every task; beyond it (or with
+``strategy="sharded"``) the index stays in its shards and the patterns' states travel, see ``operators/sharded.py``. The chain
+of a pattern is that of a new string twice over, for the lower and the upper end of its interval of rows.
 """
 
 from __future__ import annotations
@@ -14,8 +15,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusbwt.functions.kernels import RankEngine, read_back
+from corpusbwt.operators import sharded
+from corpusbwt.operators.bwt import invert_rows
 from corpusbwt.operators.ranking import shared_engine
-from corpusbwt.plans.store import StoredIndex
+from corpusbwt.plans.store import MOST_REPLICATED, StoredIndex
 from corpusbwt.session import written
 
 
@@ -59,8 +62,14 @@ def _patterns(index: StoredIndex, patterns: DataFrame, answer, schema: str) -> D
     return patterns.select(F.col("pid").cast("long"), "pattern").mapInArrow(run, schema)
 
 
-def count(index: StoredIndex, patterns: DataFrame) -> DataFrame:
+def _sharded(index: StoredIndex, strategy: str) -> bool:
+    return strategy == "sharded" or (strategy == "auto" and index.manifest.n * index.codec.dtype().itemsize > MOST_REPLICATED)
+
+
+def count(index: StoredIndex, patterns: DataFrame, *, strategy: str = "auto") -> DataFrame:
     """``(pid, n)``: occurrences of each pattern in all strings; an empty pattern occurs at every suffix."""
+    if _sharded(index, strategy):
+        return sharded.count(index, patterns)
     points = np.array(index.manifest.points, np.int64)
 
     def answer(engine, ids, texts):
@@ -95,8 +104,10 @@ def samples(index: StoredIndex, rate: int = 32) -> DataFrame:
     return index.spark.range(m).select("id").mapInArrow(run, "row long, sid long, k int")
 
 
-def locate(index: StoredIndex, patterns: DataFrame, *, rate: int = 32, sampled: DataFrame | None = None) -> DataFrame:
+def locate(index: StoredIndex, patterns: DataFrame, *, rate: int = 32, sampled: DataFrame | None = None, strategy: str = "auto") -> DataFrame:
     """``(pid, sid, k)`` of every occurrence: rows of the interval walk back to a sampled row, then one join on rows."""
+    if _sharded(index, strategy):
+        return sharded.find(index, patterns)
     points, sampled = np.array(index.manifest.points, np.int64), sampled if sampled is not None else written(samples(index, rate))
     rows = sampled.select("row").where(F.col("row").isNotNull())
     engine = shared_engine(index)
@@ -130,13 +141,15 @@ def documents_with(index: StoredIndex, patterns: DataFrame, **options) -> DataFr
     return locate(index, patterns, **options).select("pid", "sid").distinct()
 
 
-def absent(index: StoredIndex, patterns: DataFrame) -> DataFrame:
+def absent(index: StoredIndex, patterns: DataFrame, *, strategy: str = "auto") -> DataFrame:
     """Patterns that occur nowhere."""
-    return patterns.join(count(index, patterns).where("n > 0").select("pid"), "pid", "left_anti")
+    return patterns.join(count(index, patterns, strategy=strategy).where("n > 0").select("pid"), "pid", "left_anti")
 
 
-def invert(index: StoredIndex) -> DataFrame:
-    """``(sid, s)``: all strings, read back from their terminators in step."""
+def invert(index: StoredIndex, *, strategy: str = "auto") -> DataFrame:
+    """``(sid, s)``: all strings, read back from their terminators in step, or by pointer doubling over sharded rows."""
+    if _sharded(index, strategy):
+        return invert_rows(index.rows())
     engine, points = shared_engine(index), np.array((0, *index.manifest.points), "<u4")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

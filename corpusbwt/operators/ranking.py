@@ -19,8 +19,8 @@ from pyspark.sql import functions as F
 from corpusbwt.functions.kernels import RankEngine, chain_ranks, flat_codes, row_ranges
 from corpusbwt.operators.numbering import running_sum
 from corpusbwt.operators.stringset import suffixes
-from corpusbwt.plans.store import StoredIndex, locate
-from corpusbwt.session import release, written
+from corpusbwt.plans.store import StoredIndex
+from corpusbwt.session import written
 
 _ENGINES: dict[str, RankEngine] = {}
 #: Rows up to which a worker lists positions (8 bytes each) in place of counters.
@@ -68,45 +68,17 @@ def ranks_replicated(strings: DataFrame, index: StoredIndex, *, start: int | Non
 
 def ranks_rounds(strings: DataFrame, index: StoredIndex, *, start: int | None = None) -> DataFrame:
     """The same chains with the index left in its shards: every round sends each live string's state to the shard that
-    holds its row, where the pages' counters answer; strings leave when their first symbol is done."""
-    codec, alphabet, shards = index.codec, index.alphabet, index.manifest.shards
+    holds its row, where stored counters answer; strings leave when their first symbol is done."""
+    from corpusbwt.operators.sharded import code_of, stepped
+
     first = index.manifest.m if start is None else start
-    occ = np.array([s.occ for s in shards], np.int64).reshape(len(shards), -1)
-    totals = occ.sum(0)
-    smaller = np.cumsum(totals) - totals
-    before = {s.shard_id: (np.cumsum(occ, axis=0) - occ)[i] for i, s in enumerate(shards)}
-    begins = {s.shard_id: int(b) for s, b in zip(shards, index.starts, strict=True)}
-    starts, names = index.starts, [s.shard_id for s in shards]
-
-    def answer(key: tuple, asked: pa.Table, pages: pa.Table) -> pa.Table:
-        if not asked.num_rows:
-            return asked.select([])
-        pages = pages.sort_by("page_no")
-        shard = asked.column("shard_id")[0].as_py()
-        at, code = asked.column("i").to_numpy() - begins[shard], asked.column("c").to_numpy()
-        begin = pages.column("start_in_shard").to_numpy()
-        page = np.maximum(np.searchsorted(begin, at, "right") - 1, 0)
-        out = np.zeros(len(at), np.int64)
-        for p in np.unique(page):
-            mine = page == p
-            row = pages.slice(p, 1).to_pylist()[0]
-            symbols = codec.symbols(row["payload"], row["n_sym"])
-            own = RankEngine(symbols, alphabet.sigma, codec.spacing)
-            out[mine] = np.array(row["occ_in_shard"], np.int64)[code[mine]] + own.rank(code[mine], at[mine] - begin[p])
-        return pa.table({"sid": asked.column("sid"), "k": asked.column("k"), "i": pa.array(smaller[code] + before[shard][code] + out)})
-
-    table = F.create_map(*[F.lit(x) for cp, c in zip(alphabet.points, range(1, alphabet.sigma + 1), strict=True) for x in (cp, c)])
     text = strings.select("sid", "s")
-    state = strings.select("sid", F.col("len").alias("k"), F.lit(first).cast("long").alias("i"))
-    state = written(state)
+    state = written(strings.select("sid", F.col("len").alias("k"), F.lit(first).cast("long").alias("i")))
     parts = [state]
-    while True:
-        live = state.where("k > 0")
-        if not live.limit(1).count():
-            break
-        asked = live.join(text, "sid").select("sid", (F.col("k") - 1).alias("k"), "i", F.element_at(table, F.ascii(F.substring("s", F.col("k"), F.lit(1)))).alias("c"))
-        asked = locate(asked, "i", starts, names, "shard_id")
-        state = written(asked.groupBy("shard_id").cogroup(index.pages().groupBy("shard_id")).applyInArrow(_only_asked(answer), "sid long, k int, i long"))
+    while state.where("k > 0").limit(1).count():
+        live = state.where("k > 0").join(text, "sid")
+        asked = live.select(F.col("sid").alias("key"), (F.col("k") - 1).cast("int").alias("side"), "i", code_of(index, F.substring("s", F.col("k"), F.lit(1))).alias("c"))
+        state = written(stepped(index, asked).select(F.col("key").alias("sid"), F.col("side").alias("k"), F.col("j").alias("i")))
         parts.append(state)
     out = parts[0]
     for part in parts[1:]:
@@ -114,17 +86,6 @@ def ranks_rounds(strings: DataFrame, index: StoredIndex, *, start: int | None =
     return out.select("sid", "k", F.col("i").alias("g"))
 
 
-def _only_asked(answer):
-    """A cogroup without questions (a shard that no live string is in) answers nothing."""
-
-    def run(key: tuple, asked: pa.Table, pages: pa.Table) -> pa.Table:
-        if not asked.num_rows:
-            return pa.table({"sid": pa.array([], pa.int64()), "k": pa.array([], pa.int32()), "i": pa.array([], pa.int64())})
-        return answer(key, asked, pages)
-
-    return run
-
-
 def ranks_merge(old: DataFrame, new: DataFrame) -> DataFrame:
     """One range sort of old and new suffixes and a running count of old ones; equal texts are in the order of strings."""
     rows = suffixes(old).select("sid", "k", "suf", F.lit(1).alias("old")).union(suffixes(new).select("sid", "k", "suf", F.lit(0)))

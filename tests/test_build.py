@@ -106,6 +106,25 @@ def test_rank_strategies_agree(spark, strings, tmp_path):
         assert rows(ranking.compute_ranks(new, index, strategy, old=old)) == want
 
 
+@pytest.mark.parametrize("packing", ["bytes", "bits"])
+def test_sharded_searches(spark, strings, tmp_path, packing):
+    index = StoredIndex.create(spark, str(tmp_path / "index"), Alphabet.from_strings(strings, "s"), page=16, shard_symbols=30, spacing=4, packing=packing)
+    index.bulk_load(bwt.bwt_once(strings), len(TEXTS)).commit()
+    assert len(index.manifest.shards) > 2
+    index.__dict__["symbols"] = None  # nothing may replicate it
+    patterns = ["ab", "b", "ba", "bbbb", "zz", "über", "", None, "xab"]
+    given = spark.createDataFrame(list(enumerate(patterns)), "pid long, pattern string")
+    texts = [t or "" for t in TEXTS]
+    places = lambda p: [(j, k) for j, t in enumerate(texts) for k in range(len(t) + 1) if t.startswith(p, k) and k + len(p) <= len(t)]
+    assert {r.pid: r.n for r in fm.count(index, given, strategy="sharded").collect()} == {i: len(places(p or "")) for i, p in enumerate(patterns)}
+    hits = sorted((r.pid, r.sid, r.k) for r in fm.locate(index, given, strategy="sharded").collect())
+    assert hits == sorted((i, *x) for i, p in enumerate(patterns) for x in places(p or ""))
+    if packing == "bytes":
+        assert {(r.pid, r.sid) for r in fm.documents_with(index, given, strategy="sharded").collect()} == {h[:2] for h in hits}
+        assert sorted(r.pid for r in fm.absent(index, given, strategy="sharded").collect()) == [4, 8]
+        assert {r.sid: r.s for r in fm.invert(index, strategy="sharded").collect()} == dict(enumerate(texts))
+
+
 def test_searches(spark, strings, tmp_path):
     index = builder.build(strings, str(tmp_path / "index"), blocks=2)
     patterns = ["ab", "b", "ba", "bbbb", "zz", "über", "", "aba"]
