@@ -150,18 +150,6 @@ def places_local(strings: DataFrame) -> DataFrame:
     return strings.select("sid", "s").coalesce(1).mapInArrow(run, "sid long, pos array<long>, sym array<int>")
 
 
-def flattened(rows: DataFrame, columns: dict[str, str]) -> DataFrame:
-    """One row for each element of array columns of equal lengths: names to types."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            flat = [batch.column(c).flatten() for c in columns]
-            for lo in range(0, len(flat[0]), 1 << 18):
-                yield pa.RecordBatch.from_arrays([x.slice(lo, 1 << 18) for x in flat], list(columns))
-
-    return rows.select(*columns).mapInArrow(run, ", ".join(f"{c} {t}" for c, t in columns.items()))
-
-
 SORTERS = {"direct": sort_direct, "gather": sort_gather, "sieve": sort_msd_sieve, "doubling": sort_doubling, "local": sort_local}
 
 

@@ -56,8 +56,7 @@ def append_block(index: StoredIndex, block: DataFrame, *, sorter: str = "auto",
     by_string = sorter == "local"
     if not index.manifest.shards:
         sa = presorted if presorted is not None else log.timed(block_id, "sort", n, lambda: _sorted(block, sorter))
-        rows = suffixsort.flattened(sa, {"pos": "long", "sym": "int"}) if by_string else sa
-        log.timed(block_id, "insert", n, lambda: index.bulk_load(rows, count))
+        log.timed(block_id, "insert", n, lambda: index.bulk_load(sa, count))
     else:
         start = 0 if reverse else index.manifest.m
         strategy = planner.choose_ranker(index, block, old is not None) if ranker == "auto" else ranker
@@ -69,7 +68,7 @@ def append_block(index: StoredIndex, block: DataFrame, *, sorter: str = "auto",
         else:
             sa = presorted if presorted is not None else log.timed(block_id, "sort", n, lambda: _sorted(block, sorter))
             if whole:
-                new = suffixsort.flattened(sa.select("sid", F.col("pos").alias("ord"), "sym").join(ranks, "sid"), {"g": "long", "ord": "long", "sym": "int"})
+                new = sa.select("sid", F.col("pos").alias("ord"), "sym").join(ranks, "sid")
             else:
                 if by_string:
                     sa = sa.select("sid", F.posexplode(F.arrays_zip("pos", "sym")).alias("k", "x")).select("x.pos", "sid", "k", "x.sym")

@@ -123,6 +123,42 @@ class PageCodec:
         )
 
 
+CHUNK_SCHEMA = "shard_id int, n long, at binary, ord binary, sym binary"
+
+
+def chunked(rows: DataFrame, starts: np.ndarray, names: list[int]) -> DataFrame:
+    """Rows ``(at, ord, sym)``, or arrays of them, routed to shards by a binary search of ``at`` in the sorted ``starts``.
+
+    One row for each shard and batch, with its values as bytes, so an exchange moves few rows whatever a block's size.
+    """
+    held, ids = np.asarray(starts, np.int64), np.array(names, np.int32)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            columns = [batch.column(i) for i in range(3)]
+            if pa.types.is_list(columns[0].type):
+                columns = [c.flatten() for c in columns]
+            for lo in range(0, len(columns[0]), 1 << 20):
+                at, order, sym = (c.slice(lo, 1 << 20).to_numpy().astype(t) for c, t in zip(columns, (np.int64, np.int64, np.int32), strict=True))
+                shard = np.maximum(np.searchsorted(held, at, "right") - 1, 0)
+                moved = np.argsort(shard, kind="stable")
+                for part in np.split(moved, np.flatnonzero(np.diff(shard[moved])) + 1):
+                    if len(part):
+                        yield pa.RecordBatch.from_pylist([{"shard_id": int(ids[shard[part[0]]]), "n": len(part), "at": at[part].tobytes(), "ord": order[part].tobytes(), "sym": sym[part].tobytes()}], _CHUNK)
+
+    return rows.mapInArrow(run, CHUNK_SCHEMA)
+
+
+_CHUNK = pa.schema([("shard_id", pa.int32()), ("n", pa.int64()), ("at", pa.binary()), ("ord", pa.binary()), ("sym", pa.binary())])
+
+
+def _values(rows: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    """Positions and symbols of a shard's chunks, in the order ``ord``."""
+    at, order, sym = (np.frombuffer(b"".join(rows.column(c).to_pylist()), t) for c, t in (("at", np.int64), ("ord", np.int64), ("sym", np.int32)))
+    moved = np.argsort(order)
+    return at[moved], sym[moved]
+
+
 class StoredIndex:
     """An index in a folder; every change writes a new version and then its manifest."""
 
@@ -248,19 +284,25 @@ class StoredIndex:
             shard.n_sym = sum(shard.occ)
         return out
 
+    @staticmethod
+    def _rows_of(bwt: DataFrame) -> int:
+        kind = dict(bwt.dtypes)["pos"]
+        return bwt.agg(F.sum(F.size("pos")) if kind.startswith("array") else F.count("*")).first()[0] or 0
+
     def bulk_load(self, bwt: DataFrame, m: int, *, fill: float = 0.75) -> StoredIndex:
-        """Fill an empty index from a transform in row form: one task a shard, pages filled to ``fill`` (1/2 to 1)."""
+        """Fill an empty index from a transform ``(pos, sym)``, rows or arrays of them: one task a shard, pages filled to
+        ``fill`` (1/2 to 1)."""
         codec, alphabet = self.codec, self.alphabet
         per_shard, page = self.manifest.shard_symbols, self.manifest.page
 
         def run(table: pa.Table) -> pa.Table:
-            order = np.argsort(table.column("pos").to_numpy(), kind="stable")
-            points = table.column("sym").to_numpy()[order]
+            _, points = _values(table)
             symbols = np.zeros(len(points), codec.dtype)
             symbols[points > 0] = alphabet.codes(points[points > 0])
             return codec.table(table.column("shard_id")[0].as_py(), split_page(symbols, page, fill))
 
-        dealt = bwt.select(F.floor(F.col("pos") / per_shard).cast("int").alias("shard_id"), "pos", "sym")
+        count = -(-rows_of // per_shard) if (rows_of := self._rows_of(bwt)) else 0
+        dealt = chunked(bwt.select("pos", F.col("pos").alias("ord"), "sym"), np.arange(count) * per_shard, list(range(count)))
         made = self._write(dealt.groupBy("shard_id").applyInArrow(run, PAGE_SCHEMA))
         self.manifest.shards = [made[i] for i in sorted(made)]
         self.manifest.version += 1
@@ -268,7 +310,8 @@ class StoredIndex:
         return self
 
     def insert(self, new: DataFrame, strings_added: int) -> StoredIndex:
-        """Insert ``(g, ord, sym)``: symbols, in the order ``ord``, before the old rows ``g``; only touched shards are rewritten.
+        """Insert ``(g, ord, sym)``, rows or arrays of them: symbols, in the order ``ord``, before the old rows ``g``; only
+        touched shards are rewritten.
 
         Rows are routed by a binary search in the shards' starts and meet their shard's pages in one task, which edits
         page by page and splits what overflows. A shard that grows beyond the set size is dealt to several, whose numbers
@@ -276,8 +319,8 @@ class StoredIndex:
         """
         codec, alphabet, p, most = self.codec, self.alphabet, self.manifest.page, self.manifest.shard_symbols
         starts = {s.shard_id: int(b) for s, b in zip(self.manifest.shards, self.starts, strict=True)}
-        routed = written(locate(new, "g", self.starts, [s.shard_id for s in self.manifest.shards], "shard_id"))
-        added = {r["shard_id"]: r["n"] for r in routed.groupBy("shard_id").agg(F.count("*").alias("n")).collect()}
+        routed = written(chunked(new.select("g", "ord", "sym"), self.starts, [s.shard_id for s in self.manifest.shards]))
+        added = {r["shard_id"]: r["n"] for r in routed.groupBy("shard_id").agg(F.sum("n").alias("n")).collect()}
         free = max(starts, default=-1) + 1
         parts: dict[int, list[int]] = {}
         for s in self.manifest.shards:
@@ -288,9 +331,8 @@ class StoredIndex:
         def run(key: tuple, rows: pa.Table, pages: pa.Table) -> pa.Table:
             pages = pages.sort_by("page_no")
             shard = pages.column("shard_id")[0].as_py()
-            order = np.argsort(rows.column("ord").to_numpy())
-            at = rows.column("g").to_numpy()[order] - starts[shard]
-            points = rows.column("sym").to_numpy()[order]
+            at, points = _values(rows)
+            at = at - starts[shard]
             symbols = np.zeros(len(points), codec.dtype)
             symbols[points > 0] = alphabet.codes(points[points > 0])
             begin = pages.column("start_in_shard").to_numpy()
