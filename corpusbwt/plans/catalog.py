@@ -228,7 +228,13 @@ def bwt_dna(spark, sf_dir):
 
 @query(READS_BWT)
 def bwt_block_append(spark, sf_dir):
-    return builder.build(reads(spark, sf_dir), folder(spark), blocks=3, spacing=128).rows()
+    """The block-append builder over stored shards: blocks sorted side by side, ranked and inserted one after the other."""
+    return builder.build(reads(spark, sf_dir), folder(spark), blocks=8, sorter="local", shard_symbols=SHARD).rows()
+
+
+@query(with_sa(strings_sql("documents", "doc_id", width=LONG), TRANSFORM))
+def bwt_block_append_long(spark, sf_dir):
+    return builder.build(reads(spark, sf_dir, LONG), folder(spark), blocks=8, sorter="local", shard_symbols=SHARD).rows()
 
 
 @query(with_sa(CUSTOMER_SQL, TRANSFORM))
@@ -258,17 +264,17 @@ def bwt_dna_two_symbol_steps(spark, sf_dir):
     return builder.build(strings, folder(spark), blocks=2, alphabet=Alphabet.dna(), q=2).rows()
 
 
-@query(with_sa(PART_SQL, TRANSFORM))
+@query(READS_BWT)
 def bwt_incremental_append(spark, sf_dir):
-    """Half of the names indexed, the rest appended in five steps."""
-    parts = load(spark, sf_dir, "part").select("p_partkey", "p_name")
-    numbered = written(numbering.with_row_index(parts, ["p_partkey"], "at"))
+    """Half of the reads indexed, the rest appended in five steps; shards split as they grow and symbols are admitted."""
+    cut = written(tables.read_windows(load(spark, sf_dir, "documents"), ["doc_id"], "text", SHORT).select("doc_id", "window", "s"))
+    numbered = written(numbering.with_row_index(cut, ["doc_id", "window"], "at"))
     n = numbered.count()
     first = numbered.where(F.col("at") < n // 2)
-    index = builder.build(string_set(first, "p_name", ["p_partkey"]), folder(spark), blocks=1, alphabet=Alphabet.from_strings(parts, "p_name"), page=PAGE)
+    index = builder.build(string_set(first, "s", ["doc_id", "window"]), folder(spark), blocks=1, page=PAGE, shard_symbols=1 << 18)
     for i in range(5):
         low, high = n // 2 + (n - n // 2) * i // 5, n // 2 + (n - n // 2) * (i + 1) // 5
-        builder.append(index, numbered.where((F.col("at") >= low) & (F.col("at") < high)), "p_name", ["p_partkey"], batch_id=i)
+        builder.append(index, numbered.where((F.col("at") >= low) & (F.col("at") < high)), "s", ["doc_id", "window"], batch_id=i, sorter="local")
     return index.rows()
 
 
@@ -336,13 +342,18 @@ def occ_matrix_sampled(spark, sf_dir):
     return rows.occ_sampled(rows.bwt_once(reads(spark, sf_dir)), 8192)
 
 
+RANK_PAIRS = [(c, k) for c in (97, 101, 116, 32, 0, 233) for k in (0, 1000, 123_456, 1_000_000, 9_000_000)]
 RANK_SQL = "SELECT c, upto AS k, (SELECT count(*) FROM sa WHERE sym = c AND pos < upto) AS rank FROM (SELECT unnest([97, 101, 116, 32, 0, 233]) AS c), (SELECT unnest([0, 1000, 123456, 1000000, 9000000]::BIGINT[]) AS upto)"
 
 
 @query(with_sa(READS_SQL, RANK_SQL))
 def rank_queries(spark, sf_dir):
-    pairs = [(c, k) for c in (97, 101, 116, 32, 0, 233) for k in (0, 1000, 123_456, 1_000_000, 9_000_000)]
-    return rows.rank(rows.bwt_once(reads(spark, sf_dir)), spark.createDataFrame(pairs, "c int, k long"))
+    return rows.rank(rows.bwt_once(reads(spark, sf_dir)), spark.createDataFrame(RANK_PAIRS, "c int, k long"))
+
+
+@query(with_sa(READS_SQL, RANK_SQL.replace("AS rank FROM", "+ (SELECT count(*) FROM sa WHERE sym < c) AS \"row\" FROM")))
+def lf_step_queries(spark, sf_dir):
+    return rows.lf_step(rows.bwt_once(reads(spark, sf_dir)), spark.createDataFrame(RANK_PAIRS, "c int, k long"))
 
 
 @query(with_sa(READS_SQL, "SELECT pos, sym, row_number() OVER (ORDER BY sym, pos) - 1 AS lf FROM sa"))
@@ -413,7 +424,16 @@ def page_invariants(spark, sf_dir):
 
 @query()
 def memory_bits(spark, sf_dir):
-    return measures.memory_bits(reads_index(spark, sf_dir))
+    """Bits of the index of two alphabets, packed and with counters as far apart as the alphabet asks, against the bounds."""
+    projected = tables.dna_projection(load(spark, sf_dir, "documents"), "text")
+    out = None
+    for name, table, alphabet, spacing in (("text", load(spark, sf_dir, "documents"), None, 0), ("four letters", projected, Alphabet.dna(), 128)):
+        strings = written(string_set(tables.read_windows(table, ["doc_id"], "text", SHORT), "s", ["doc_id", "window"]))
+        index = StoredIndex.create(spark, folder(spark), alphabet or Alphabet.from_strings(strings, "s"), packing="bits", spacing=spacing, shard_symbols=SHARD)
+        index.bulk_load(rows.bwt_once(strings), strings.count(), fill=1.0).commit()
+        one = measures.memory_bits(index).select(F.lit(name).alias("alphabet"), "*")
+        out = one if out is None else out.union(one)
+    return out
 
 
 # Searches
@@ -443,6 +463,34 @@ def fm_absent_patterns(spark, sf_dir):
     return fm.absent(documents_index(spark, sf_dir)[0], benchmark_patterns(spark, sf_dir))
 
 
+PIECES_SQL = "pieces AS (SELECT row_number() OVER (ORDER BY pattern) - 1 AS pid, pattern FROM (SELECT DISTINCT substr(p_name, 3, 4) AS pattern FROM part))"
+
+
+def name_index(spark: SparkSession, sf_dir: str) -> tuple[StoredIndex, DataFrame]:
+    """Part names in many small shards, and the four letters from the third on of each, numbered, as patterns."""
+    strings = written(names(spark, sf_dir))
+    index = StoredIndex.create(spark, folder(spark), Alphabet.from_strings(strings, "s"), page=1024, shard_symbols=4096)
+    index.bulk_load(rows.bwt_once(strings), strings.count()).commit()
+    cut = load(spark, sf_dir, "part").select(F.substring("p_name", 3, 4).alias("pattern")).distinct()
+    return index, numbering.with_row_index(cut, ["pattern"], "pid")
+
+
+@query(f"WITH {PART_SQL}, {PIECES_SQL} SELECT pid, count(*) AS n FROM pieces, (SELECT s, unnest(range(1, length(s) + 1)) AS k FROM strings) t WHERE substr(s, k, length(pattern)) = pattern GROUP BY pid")
+def fm_count_sharded(spark, sf_dir):
+    """Counts by rounds on an index that no task holds whole."""
+    return fm.count(*name_index(spark, sf_dir), strategy="sharded").where("n > 0")
+
+
+@query(f"WITH {PART_SQL}, {PIECES_SQL} SELECT pid, sid, k - 1 AS k FROM pieces, (SELECT sid, s, unnest(range(1, length(s) + 1)) AS k FROM strings) t WHERE substr(s, k, length(pattern)) = pattern")
+def fm_locate_sharded(spark, sf_dir):
+    return fm.locate(*name_index(spark, sf_dir), strategy="sharded").select("pid", "sid", F.col("k").cast("long").alias("k"))
+
+
+@query(f"WITH {PART_SQL} SELECT sid, s FROM strings")
+def invert_sharded(spark, sf_dir):
+    return fm.invert(name_index(spark, sf_dir)[0], strategy="sharded")
+
+
 @query()
 def fm_shared_passages(spark, sf_dir):
     """Maximal passages of 32 symbols or more that benchmark items share with documents."""
@@ -463,7 +511,10 @@ def invert_pointer_doubling(spark, sf_dir):
 # Properties of transforms
 
 
-@query()
+COMMON_SQL = "CAST(coalesce(list_max(list_filter(range(0, least(length(suf), length(prior)) + 1), lambda i: substr(suf, 1, i) = substr(prior, 1, i))), 0) AS INTEGER)"
+
+
+@query(with_sa(PART_SQL, f"SELECT pos, {COMMON_SQL} AS lcp FROM (SELECT pos, suf, lag(suf) OVER (ORDER BY pos) AS prior FROM sa)"))
 def lcp_neighbours(spark, sf_dir):
     strings = written(names(spark, sf_dir))
     return rows.lcp(suffixsort.sort_direct(strings), strings)
@@ -607,14 +658,22 @@ def ranking_work(spark, sf_dir):
 
 @query()
 def cost_model_table(spark, sf_dir):
-    """Asymptotic work of appending and gathering at the sizes of the short reads, for several block sizes."""
-    strings = reads(spark, sf_dir)
+    """Asymptotic work of appending and gathering part names, for several block sizes, from measured common prefixes: l is
+    the mean of neighbours in a block, L the largest in the whole set."""
+    strings = written(names(spark, sf_dir))
     r = strings.agg(F.sum("len").alias("n"), F.count("*").alias("m")).first()
-    out = [(m, *measures.cost_model(r.n or 0, r.m, 12.0, float(SHORT), m).values()) for m in (1 << 16, 1 << 18, 1 << 20, 1 << 22)]
-    return spark.createDataFrame(out, "m_suffixes long, append double, gather double, ratio double")
-
-
-@query()
+    longest = measures.lcp_stats(suffixsort.sort_local(strings), strings).first()["max_lcp"] or 0
+    out = []
+    for k in (1, 2, 4, 8):
+        blocks = written(assign_blocks(strings, blocks=k))
+        own = [x["block_id"] for x in blocks.select("block_id").distinct().collect()]
+        means = [measures.lcp_stats(suffixsort.sort_local(b), b).first()["mean_lcp"] or 0.0 for b in (blocks.where(F.col("block_id") == i) for i in own)]
+        size, mean = -(-((r.n or 0) + r.m) // k), float(sum(means) / max(1, len(means)))
+        out.append((size, mean, int(longest), *measures.cost_model(r.n or 0, r.m, mean, float(longest), size).values()))
+    return spark.createDataFrame(out, "m_suffixes long, block_lcp double, lcp int, append double, gather double, ratio double")
+
+
+@query(f"WITH {READS_SQL}, sized AS (SELECT greatest(1, n // k) AS m, n FROM (SELECT CAST(sum(length(s) + 1) AS BIGINT) AS n FROM strings), (SELECT unnest([1, 2, 4, 8, 16, 8192]) AS k)) SELECT CAST(m AS BIGINT) AS m_suffixes, CAST((n + m - 1) // m AS BIGINT) AS blocks, {PAGE} > (n + m - 1) // m AS pages_all_touched FROM sized")
 def regime_switch(spark, sf_dir):
     n = reads(spark, sf_dir).agg(F.sum(F.col("len") + 1)).first()[0] or 0
     return measures.regime_table(spark, n, PAGE, [max(1, n // k) for k in (1, 2, 4, 8, 16, 8192)])
@@ -622,10 +681,14 @@ def regime_switch(spark, sf_dir):
 
 @query()
 def stage_breakdown(spark, sf_dir):
-    """Symbols, seconds and rate of each stage of each block of a block-append build of the short reads."""
-    log = builder.StageLog()
-    builder.build(reads(spark, sf_dir), folder(spark), blocks=2, spacing=128, log=log)
-    return log.frame(spark)
+    """Symbols, seconds and rate of each stage of each block of a block-append build of short and of long reads."""
+    out = None
+    for width in (SHORT, LONG):
+        log = builder.StageLog()
+        builder.build(reads(spark, sf_dir, width), folder(spark), blocks=4, sorter="local", overlap=False, shard_symbols=SHARD, log=log)
+        one = log.frame(spark).select(F.lit(width).alias("width"), "*")
+        out = one if out is None else out.union(one)
+    return out
 
 
 @query()
@@ -653,9 +716,10 @@ def array_stage_breakdown(spark, sf_dir):
 # Joins around the index
 
 
-@query("SELECT l.l_orderkey, l.l_linenumber, o.o_orderkey AS last_order FROM lineitem l ASOF JOIN (SELECT * FROM orders WHERE o_orderkey % 2 = 0) o ON l.l_orderkey >= o.o_orderkey")
+@query("SELECT l.l_orderkey, l.l_linenumber, o.day AS last_day, o.orders FROM lineitem l ASOF JOIN (SELECT o_orderdate AS day, count(*) AS orders FROM orders GROUP BY o_orderdate) o ON l.l_shipdate >= o.day")
 def as_of_orders(spark, sf_dir):
-    """Each line with the last even order at or before its own: the as-of join that rank queries use."""
-    lines = load(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber", F.col("l_orderkey").alias("at"))
-    orders = load(spark, sf_dir, "orders").where("o_orderkey % 2 = 0").select(F.col("o_orderkey").alias("at"))
-    return joins.as_of(lines, orders, "at").where("found is not null").select("l_orderkey", "l_linenumber", F.col("found.at").alias("last_order"))
+    """Each line with the last day at or before its shipping on which anything was ordered, and that day's orders: the
+    as-of join that rank queries use."""
+    lines = load(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber", F.col("l_shipdate").alias("at"))
+    days = load(spark, sf_dir, "orders").groupBy(F.col("o_orderdate").alias("at")).agg(F.count("*").alias("orders"))
+    return joins.as_of(lines, days, "at").where("found is not null").select("l_orderkey", "l_linenumber", F.col("found.at").alias("last_day"), "found.orders")

@@ -34,6 +34,18 @@ def peak_rss() -> int:
     return 1024 * max(resource.getrusage(w).ru_maxrss for w in (resource.RUSAGE_SELF, resource.RUSAGE_CHILDREN))
 
 
+def resident_peak(reset: bool = False) -> int:
+    """Peak resident bytes of this process since the last reset (0 where the system doesn't tell)."""
+    try:
+        if reset:
+            with open("/proc/self/clear_refs", "w") as file:
+                file.write("5")
+        with open("/proc/self/status") as file:
+            return next(int(line.split()[1]) * 1024 for line in file if line.startswith("VmHWM"))
+    except (OSError, StopIteration):
+        return 0
+
+
 def memory_bits(index: StoredIndex) -> DataFrame:
     """``(part, bits, bits_per_symbol, bound, within)`` of payload, counters and both, against 2, 1 and 3 n log2(sigma)."""
     width, n = index.alphabet.sigma + 1, index.manifest.n
@@ -64,10 +76,11 @@ def work(strings: DataFrame) -> DataFrame:
 
 
 def insertion_work(before: StoredIndex, after: StoredIndex) -> dict:
-    """Symbols added, and shards and symbols rewritten, between two versions."""
+    """Symbols added, and shards, pages and symbols rewritten, between two versions."""
     old = {(s.shard_id, s.version) for s in before.manifest.shards}
     touched = [s for s in after.manifest.shards if (s.shard_id, s.version) not in old]
-    return {"added": after.manifest.n - before.manifest.n, "shards_touched": len(touched), "symbols_moved": sum(s.n_sym for s in touched)}
+    pages = after.pages([s.shard_id for s in touched]).count() if touched else 0
+    return {"added": after.manifest.n - before.manifest.n, "shards_touched": len(touched), "pages_rewritten": pages, "symbols_moved": sum(s.n_sym for s in touched)}
 
 
 def lcp_stats(sa: DataFrame, strings: DataFrame) -> DataFrame:

@@ -23,6 +23,8 @@ def shared_dir(spark: SparkSession) -> str:
         context = spark.sparkContext
         held = context._jsc.sc().getCheckpointDir()
         if held.isEmpty():
+            if not context.master.startswith("local") or context.master.startswith("local-cluster"):
+                raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
             context.setCheckpointDir(tempfile.mkdtemp(prefix="corpusbwt-"))
             held = context._jsc.sc().getCheckpointDir()
         found = held.get()

@@ -26,3 +26,16 @@ def test_blocks_sweep_inserts_into_a_growing_transform(spark, small):
 def test_compared(spark, small):
     out = workloads.run("w20", spark, small)
     assert set(out.outputs) == {"order_flag_strings", "event_type_strings"} and out.measures.count() == 2
+
+
+def test_builders_are_timed_with_their_memory(spark, small):
+    from corpusbwt.plans import catalog
+
+    row = workloads.measured_builder(catalog.names(spark, small), "block_append").first()
+    assert row.symbols > 0 and row.seconds > 0 and row.bytes > 1 << 20
+
+
+def test_index_of_both_alphabets_keeps_its_bound(spark, small):
+    from corpusbwt.plans import catalog
+
+    assert all(r.within for r in catalog.memory_bits(spark, small).collect())
