@@ -10,25 +10,39 @@ from corpusbwt.session import ship, written
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the factorisation machine, trained on the labelled ones among them, accepts."""
+    """Documents that the factorisation machine, trained on the labelled ones among them, accepts.
+
+    Null and empty texts are scored as empty ones; rows with a null id are scored but never learnt from; repeated rows are
+    judged alike; an empty table stays empty.
+    """
     ship(spark)
     model = quality.train(docs, table(spark, sf_dir, "labels", "doc_id", "quality"))
     return quality.accepted(docs, model)
 
 
 def cut_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without cross-site boilerplate lines."""
+    """Documents without cross-site boilerplate lines.
+
+    A null text stays null, a null source is a site of its own, repeated rows lose the same lines; an empty table stays empty.
+    """
     return line_dedup.without_boilerplate(docs)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates."""
+    """One document of each group of near duplicates.
+
+    Texts without words and rows with a null id stay; rows that repeat an id stay or go together; an empty table stays empty.
+    """
     ship(spark)
     return near_dedup.without_near_duplicates(docs)
 
 
 def pack_along_curve(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of all documents left, in sequences of 2048 ids along a Hilbert curve."""
+    """Pieces of all documents left, in sequences of 2048 ids along a Hilbert curve.
+
+    A null or empty text is its end id alone; rows with a null id and repeated rows are packed as they come; an empty table
+    gives no rows.
+    """
     ship(spark)
     return packing.pack(docs)
 
