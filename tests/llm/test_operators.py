@@ -271,3 +271,21 @@ def test_near_duplicates_of_ten_thousand_documents(spark):
     docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet").select("doc_id", "text")
     got = {r.doc_id: (r.n_shingles, r.component_id) for r in near_dedup.near_duplicates(docs).collect()}
     assert len(got) == 10_000 and got == exact_components([tuple(r) for r in docs.collect()])
+
+
+@pytest.mark.parametrize("stage", range(4))
+def test_pipeline_stages_take_odd_tables(docs, nothing, small, stage):
+    name, function = corpus_pipeline.STAGES[stage]
+    given = docs.withColumns({"doc": F.lit("x"), "hash": F.lit(1), "rep": F.lit(2), "digest": F.lit("y"), "lines": F.lit(3)})
+    got = function(given.sparkSession, given, small)
+    assert function(given.sparkSession, nothing, small).collect() == []
+    rows = got.collect()
+    if stage < 3:
+        assert got.columns == given.columns
+    if name == "near_dedup":
+        ids = [r.doc_id for r in rows]
+        assert ids.count(0) == 2 and 1 not in ids and {2, 3, 4, 7, 8, 9} <= set(ids) and ids.count(None) == 2
+    if name == "line_dedup":
+        assert sum(r.doc_id is None for r in rows) == 2 and {2, 3} <= {r.doc_id for r in rows}
+    if name == "packing":
+        assert {r.doc_id for r in rows} == {r.doc_id for r in given.collect()}
