@@ -16,8 +16,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusbwt.llm import textscan
-from corpusbwt.llm.common import batch_of, texts_of
+from corpusbwt.llm.common import batch_of, texts_of, trimmed
 from corpusbwt.llm.licence_texts import BODIES
+from corpusbwt.session import written
 
 #: Short public notices by licence.
 TEMPLATES = {
@@ -200,7 +201,7 @@ def scan(files: DataFrame, path_col: str = "path", text_col: str = "text", *, id
             top, high, share = held.best(texts)
             yield batch_of(schema, [batch.column(0), batch.column(1), [held.names[t] if t >= 0 else None for t in top], [round(float(h), 9) if t >= 0 else None for h, t in zip(high, top, strict=True)], share])
 
-    found = files.select(id_col, path_col, text_col).mapInArrow(run, f"id {kind}, path string, licence string, cosine double, share double")
+    found = written(files.select(id_col, path_col, text_col).mapInArrow(trimmed(run), f"id {kind}, path string, licence string, cosine double, share double"))
     found = found.withColumn("directory", F.regexp_extract("path", "^(.*/)[^/]*$", 1))
     given = found.where((F.col("share") >= least_share) & F.col("licence").isNotNull()).groupBy("directory").agg(F.min_by("licence", F.struct(-F.col("cosine"), "path")).alias("given"))
     parts = F.split(F.regexp_replace("directory", "/$", ""), "/")
