@@ -19,6 +19,8 @@ MIN_SITES = 5
 #: Estimates within this share of the threshold are counted exactly: six standard errors of a sketch of 2**12 registers.
 BAND = 0.1
 REGISTERS = 12
+#: Parts to which the rows of one line are dealt.
+SALTS = 16
 
 
 def _lines(df: DataFrame, id_col: str, text_col: str, site_col: str) -> DataFrame:
@@ -34,7 +36,10 @@ def boilerplate(lines: DataFrame, min_sites: int) -> DataFrame:
     if min_sites > 1:
         site = F.xxhash64("site")
         several = lines.groupBy("hash").agg(F.min(site).alias("low"), F.max(site).alias("high")).where("low < high").select("hash")
-        lines = lines.join(several, "hash", "left_semi")
+        # salted: a line on a third of all rows is dealt out, and partly aggregated before rows meet by hash alone
+        dealt = several.select("hash", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+        salt = F.pmod(F.xxhash64("doc", "version"), F.lit(SALTS)).cast("int")
+        lines = lines.withColumn("salt", salt).join(dealt, ["hash", "salt"], "left_semi").drop("salt")
     spread = lines.groupBy("hash").agg(F.hll_sketch_agg("site", F.lit(REGISTERS)).alias("sketch"), place.alias("first"))
     guessed = written(spread.select("hash", "first", F.hll_sketch_estimate("sketch").alias("sites")).where(F.col("sites") >= min_sites * (1 - BAND)))
     near = guessed.where(F.col("sites") <= min_sites * (1 + BAND))
