@@ -2,14 +2,14 @@
 
 Two deterministic machines replace the tokenizer. The first reads character classes and marks where words begin; a chunk
 of text is a map from its first state to its last, and the maps of all chunks compose by a parallel prefix scan, so no
-chunk waits for the one before it. The second is a transducer over characters, compiled for the words that occur: its arcs
-out of a word's last state carry the number of tokens that the merges emit for the word. All distinct words of a slice
-walk through it in step. Counts are the library's own; there is no approximation.
+chunk waits for the one before it. The second is a transducer over bytes, compiled from the merges for the states that are
+met: its arcs carry the number of tokens that become certain by a byte. Every word starts it anew, so the map of a word is
+constant and texts' counts compose by a prefix sum; words longer than a chunk are cut, and the maps of their chunks are
+joined. Words of all lengths go this way. Counts are the library's own; there is no approximation.
 """
 
 from __future__ import annotations
 
-import heapq
 import json
 import re
 import unicodedata
@@ -103,135 +103,201 @@ def word_marks(codes: np.ndarray) -> np.ndarray:
 
 
 class Merges:
-    """The merge list as arrays; counts tokens of many words at once."""
+    """The merge list: which strings are tokens, and which two tokens may stand side by side in an encoding.
 
-    LONG = 128
+    A row of tokens is what the merges leave of a word if each token is left of its own bytes and each two neighbours
+    agree, that is, no merge across their border comes before the merges that use up the border's sides.
+    """
 
     def __init__(self, path: str):
         with open(path, encoding="utf-8") as file:
             told = json.load(file)
         model = told["model"]
         self.special = [t["content"] for t in told["added_tokens"]]
-        ids = model["vocab"]
-        suffix = model["end_of_word_suffix"]
-        unit = {b: c for c, b in vocabularies.byte_units().items()}
-        self.inner = np.array([ids[unit[b]] for b in range(256)], np.int64)
-        self.final = np.array([ids[unit[b] + suffix] for b in range(256)], np.int64)
+        ids, suffix = model["vocab"], model["end_of_word_suffix"]
+        byte_of = vocabularies.byte_units()
         pairs = [tuple(m.split(" ")) if isinstance(m, str) else tuple(m) for m in model["merges"]]
-        left, right, made = (np.array(x, np.int64) for x in zip(*((ids[a], ids[b], ids[a + b]) for a, b in pairs), strict=True))
-        key = (left << 32) | right
-        self.made = made
-        self.index = textscan.HashIndex(18)
-        self.index.add(textscan.mix(key.astype(np.uint64)), np.arange(len(key)))
-        self.by_pair = {int(k): (r, int(m)) for r, (k, m) in enumerate(zip(key, made, strict=True))}
-
-    def _long(self, units: list[int]) -> int:
-        """Tokens of one long word, by a heap over a linked list."""
-        n, token = len(units), list(units)
-        after, before, alive = list(range(1, n + 1)), list(range(-1, n - 1)), [True] * n
-        rank = lambda i, j: self.by_pair.get((token[i] << 32) | token[j])
-        heap = [(x[0], i, i + 1, token[i], token[i + 1]) for i in range(n - 1) if (x := rank(i, i + 1))]
-        heapq.heapify(heap)
-        left = n
-        while heap:
-            _, i, j, a, b = heapq.heappop(heap)
-            if not (alive[i] and j < n and alive[j] and after[i] == j and token[i] == a and token[j] == b):
-                continue
-            token[i], alive[j], after[i] = rank(i, j)[1], False, after[j]
-            left -= 1
-            if after[i] < n:
-                before[after[i]] = i
-                if x := rank(i, after[i]):
-                    heapq.heappush(heap, (x[0], i, after[i], token[i], token[after[i]]))
-            if before[i] >= 0 and (x := rank(before[i], i)):
-                heapq.heappush(heap, (x[0], before[i], i, token[before[i]], token[i]))
-        return left
-
-    def counts(self, words: list[bytes]) -> np.ndarray:
-        """Number of tokens of each non-empty word."""
-        sizes = np.fromiter(map(len, words), np.int64, len(words))
-        out = np.zeros(len(words), np.int64)
-        raw = np.frombuffer(b"".join(words), np.uint8)
-        ends = np.cumsum(sizes)
-        token = self.inner[raw]
-        token[ends - 1] = self.final[raw[ends - 1]]
-        for i in np.flatnonzero(sizes > self.LONG):
-            out[i] = self._long(token[ends[i] - sizes[i] : ends[i]].tolist())
-        owner = np.repeat(np.arange(len(words)), sizes)
-        fit = (sizes <= self.LONG)[owner]
-        token, owner = token[fit], owner[fit]
-        none = np.int64(1) << 62
-        while len(token):
-            starts = np.flatnonzero(np.concatenate([[True], owner[1:] != owner[:-1]]))
-            key = (token[:-1] << 32) | token[1:]
-            rank = self.index.find(textscan.mix(key.astype(np.uint64)))
-            score = np.full(len(token), none)
-            good = (rank >= 0) & (owner[1:] == owner[:-1])
-            score[:-1][good] = (rank[good] << 32) | np.flatnonzero(good)
-            best = np.minimum.reduceat(score, starts)
-            size = np.diff(np.append(starts, len(token)))
-            ended = best == none
-            out[owner[starts[ended]]] = size[ended]
-            at = best[~ended] & 0xFFFFFFFF
-            token[at] = self.made[best[~ended] >> 32]
-            keep = np.repeat(~ended, size)
-            keep[at + 1] = False
-            token, owner = token[keep], owner[keep]
-        return out
+        self.parts: dict[int, tuple[int, int, int]] = {}
+        self.rank: dict[tuple[int, int], int] = {}
+        #: Tokens by their bytes: inside a word, and at its end.
+        self.inner: dict[bytes, int] = {}
+        self.final: dict[bytes, int] = {}
+        for c, b in byte_of.items():
+            self.inner[bytes((b,))], self.final[bytes((b,))] = ids[c], ids[c + suffix]
+        raw = {t: w for held in (self.inner, self.final) for w, t in held.items()}
+        sound = set(raw)
+        for at, (a, b) in enumerate(pairs):
+            left, right, made = ids[a], ids[b], ids[a + b]
+            if made in raw or left not in raw or right not in raw:
+                raise ValueError("a merge makes a token twice, or before its parts")
+            self.parts[made], self.rank[left, right] = (at, left, right), at
+            raw[made] = raw[left] + raw[right]
+            if left in sound and right in sound and self._apart(left, right):
+                sound.add(made)
+                (self.final if b.endswith(suffix) else self.inner)[raw[made]] = made
+        self.prefixes = {w[:n] for held in (self.inner, self.final) for w in held for n in range(1, len(w))}
+        self.known: dict[tuple[int, int], bool] = {}
+
+    def _apart(self, a: int, b: int) -> bool:
+        """Whether both tokens get made side by side before any merge across their border."""
+        never = len(self.parts) + 1
+        sides = []
+        for token, side in ((a, 2), (b, 1)):  # the tokens that lie at the border in turn, and when each is used up
+            steps = [(token, never)]
+            while (made := self.parts.get(steps[-1][0])) is not None:
+                steps.append((made[side], made[0]))
+            sides.append(steps)
+        left, right = sides
+        while len(left) > 1 or len(right) > 1:
+            (x, x_ends), (y, y_ends) = left[-1], right[-1]
+            across = self.rank.get((x, y), never)
+            if across < x_ends and across <= y_ends:  # at equal rank the leftmost pair goes first
+                return False
+            (left if x_ends <= y_ends else right).pop()
+        return True
+
+    def agree(self, a: int, b: int) -> bool:
+        found = self.known.get((a, b))
+        if found is None:
+            found = self.known[a, b] = (a, b) not in self.rank and self._apart(a, b)
+        return found
 
 
 class WordTransducer:
-    """Arcs (state, character) to states, and the tokens emitted on the arc that leaves a word from each state."""
+    """The merges as one deterministic machine over bytes (a word's last byte is a symbol of its own).
+
+    A state is what the bytes read so far leave open: the last token that every continuation keeps, and the bytes after
+    it, with the token that ends at each of them. An arc carries the number of tokens that became certain by its symbol;
+    the arc of a last byte emits the rest and leads back to the start. States and arcs are compiled when first met.
+
+    Words are cut into chunks of ``SPAN`` bytes, which all run in step. A chunk's map is tabulated at the states that the
+    chunk before may end in, from a guess on, until the maps join up; the emitted counts are then summed by a scan.
+    """
 
-    def __init__(self, path: str, most_states: int = 1 << 21):
+    SPAN = 64
+    START, NONE, EDGE = 0, -1, -2
+
+    def __init__(self, path: str, most_states: int = 1 << 18):
         self.merges, self.most = Merges(path), most_states
         self._reset()
 
     def _reset(self) -> None:
         self.arcs = textscan.HashIndex()
-        self.states = 1
-        self.emits = np.full(1 << 16, -1, np.int32)
-
-    def _walk(self, codes: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-        """Last state of each word, all words in step; missing arcs are made on the way."""
-        state = np.zeros(len(starts), np.int64)
-        order = np.argsort(starts - ends, kind="stable")
-        length = (ends - starts)[order]
-        for i in range(int(length[0]) if len(length) else 0):
-            on = order[: np.searchsorted(-length, -i, "left")]
-            key = textscan.mix((state[on].astype(np.uint64) << np.uint64(21)) | codes[starts[on] + i].astype(np.uint64))
-            to = self.arcs.find(key)
-            miss = np.flatnonzero(to < 0)
+        self.to, self.emits, self.made = np.zeros(1 << 12, np.int64), np.zeros(1 << 12, np.int64), 0
+        self.held = [(b"", (self.EDGE,), (0,))]
+        self.state_of = {(self.EDGE, b""): self.START}
+        self.merges.known.clear()
+
+    def _arc(self, state: int, symbol: int) -> tuple[int, int]:
+        """Where a symbol leads from a state, and the tokens it emits."""
+        pending, last, parent = self.held[state]
+        grown = pending + bytes((symbol & 255,))
+        tokens, agree = (self.merges.final if symbol > 255 else self.merges.inner), self.merges.agree
+
+        def tokens_before(place: int) -> int:
+            n = 0
+            while place:
+                place, n = parent[place], n + 1
+            return n
+
+        place, token = next((p, t) for p, a in enumerate(last) if a != self.NONE and (t := tokens.get(grown[p:])) is not None and (a == self.EDGE or agree(a, t)))
+        if symbol > 255:
+            return self.START, tokens_before(place) + 1
+        last, parent, end = (*last, token), (*parent, place), len(grown)
+        meet = {p for p in range(end) if last[p] != self.NONE and grown[p:] in self.merges.prefixes} | {end}
+        while len(meet) > 1:  # the last place that lies on the way to each start of a later token
+            top = max(meet)
+            meet.remove(top)
+            meet.add(parent[top])
+        root = meet.pop()
+        key = last[root], grown[root:]
+        found = self.state_of.get(key)
+        if found is None:
+            found = self.state_of[key] = len(self.held)
+            kept, ways = [last[root]], [0]
+            for p in range(root + 1, end + 1):
+                on = last[p] != self.NONE and parent[p] >= root and kept[parent[p] - root] != self.NONE
+                kept.append(last[p] if on else self.NONE)
+                ways.append(parent[p] - root if on else 0)
+            self.held.append((grown[root:], tuple(kept), tuple(ways)))
+        return found, tokens_before(root)
+
+    def _run(self, symbols: np.ndarray, starts: np.ndarray, sizes: np.ndarray, state: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Last state and emitted tokens of chunks that start in the given states, all in step."""
+        state, told = state.copy(), np.zeros(len(starts), np.int64)
+        order = np.argsort(-sizes, kind="stable")
+        falling = -sizes[order]
+        for i in range(int(sizes.max(initial=0))):
+            on = order[: np.searchsorted(falling, -i, "left")]
+            key = (state[on] << 9) | symbols[starts[on] + i]
+            arc = self.arcs.find(textscan.mix(key.astype(np.uint64)))
+            miss = np.flatnonzero(arc < 0)
             if len(miss):
                 fresh, back = np.unique(key[miss], return_inverse=True)
-                made = np.arange(self.states, self.states + len(fresh))
-                self.arcs.add(fresh, made)
-                self.states += len(fresh)
-                to[miss] = made[back]
-            state[on] = to
-        if self.states > len(self.emits):
-            self.emits = np.concatenate([self.emits, np.full(self.states, -1, np.int32)])
-        return state
-
-    def counts(self, codes: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-        """Tokens of each word."""
-        if not len(starts):
+                n = self.made + len(fresh)
+                if n > len(self.to):
+                    self.to, self.emits = (np.concatenate([x, np.zeros(n, np.int64)]) for x in (self.to, self.emits))
+                new = np.arange(self.made, n)
+                self.to[new], self.emits[new] = np.array([self._arc(k >> 9, k & 511) for k in fresh.tolist()]).T
+                self.arcs.add(textscan.mix(fresh.astype(np.uint64)), new)
+                self.made = n
+                arc[miss] = new[back]
+            state[on] = self.to[arc]
+            told[on] += self.emits[arc]
+        return state, told
+
+    def counts(self, words: list[bytes]) -> np.ndarray:
+        """Number of tokens of each non-empty word."""
+        if not words:
             return np.zeros(0, np.int64)
-        if self.states > self.most:
+        if len(self.held) > self.most:
             self._reset()
+        size = np.fromiter(map(len, words), np.int64, len(words))
+        ends = np.cumsum(size)
+        symbols = np.frombuffer(b"".join(words), np.uint8).astype(np.int64)
+        symbols[ends - 1] += 256
+        chunks = -(-size // self.SPAN)
+        after = np.cumsum(chunks)
+        owner = np.repeat(np.arange(len(words)), chunks)
+        starts = (ends - size)[owner] + (np.arange(after[-1]) - (after - chunks)[owner]) * self.SPAN
+        sizes = np.minimum(ends[owner] - starts, self.SPAN)
+        told = np.zeros(len(starts), np.int64)
+        alone = chunks[owner] == 1
+        told[alone] = self._run(symbols, starts[alone], sizes[alone], np.zeros(alone.sum(), np.int64))[1]
+        joined = np.flatnonzero(~alone)
+        if len(joined):
+            told[joined] = self._joined(symbols, starts[joined], sizes[joined], owner[joined])
+        return np.diff(np.concatenate([[0], np.cumsum(told)])[np.concatenate([[0], after])])
+
+    def _joined(self, symbols: np.ndarray, starts: np.ndarray, sizes: np.ndarray, owner: np.ndarray) -> np.ndarray:
+        """Emitted tokens of chunks of long words, each from the state in which the chunk before ends."""
+        text: dict[bytes, int] = {}
+        kind = [text.setdefault(symbols[a : a + n].tobytes(), i) for i, (a, n) in enumerate(zip(starts.tolist(), sizes.tolist(), strict=True))]
+        opens = np.concatenate([[True], owner[1:] != owner[:-1]]).tolist()
+        maps: dict[tuple[int, int], tuple[int, int]] = {}
+        wanted = dict.fromkeys((k, self.START) for k in kind)
+        while wanted:
+            at = np.array(list(wanted), np.int64)
+            ends, told = self._run(symbols, starts[at[:, 0]], sizes[at[:, 0]], at[:, 1])
+            maps.update(zip(wanted, zip(ends.tolist(), told.tolist(), strict=True), strict=True))
+            wanted, out, state = {}, [], self.START
+            for k, opened in zip(kind, opens, strict=True):
+                entry = (k, self.START if opened else state)
+                found = maps.get(entry)
+                if found is None:  # asked for in the next turn; what follows goes on from a guess
+                    wanted[entry] = None
+                    found = maps[k, self.START]
+                state = found[0]
+                out.append(found[1])
+        return np.array(out, np.int64)
+
+    def span_counts(self, codes: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        """Tokens of each word of a text, equal words read once."""
+        if not len(starts):
+            return np.zeros(0, np.int64)
         _, one, back = np.unique(textscan.span_hashes(codes, starts, ends), return_index=True, return_inverse=True)
-        long = (ends - starts)[one] > 256
-        words = lambda which: [textscan.text_piece(codes, a, b).encode("utf-8", "surrogatepass") for a, b in zip(starts[which], ends[which], strict=True)]
-        out = np.zeros(len(one), np.int64)
-        if long.any():  # one state a character would be spent on words that hardly come again
-            out[long] = self.merges.counts(words(one[long]))
-        short = one[~long]
-        state = self._walk(codes, starts[short], ends[short])
-        new = np.flatnonzero(self.emits[state] < 0)
-        if len(new):
-            self.emits[state[new]] = self.merges.counts(words(short[new]))
-        out[~long] = self.emits[state]
-        return out[back]
+        words = [textscan.text_piece(codes, a, b).encode("utf-8", "surrogatepass") for a, b in zip(starts[one].tolist(), ends[one].tolist(), strict=True)]
+        return self.counts(words)[back]
 
 
 @cache
@@ -265,7 +331,7 @@ def count_texts(texts: list[str], path: str) -> np.ndarray:
     starts = np.flatnonzero(begins)
     stops = np.append(np.flatnonzero(begins | (symbol_classes()[codes] == BLANK)), len(codes))
     ends = stops[np.searchsorted(stops, starts, "right")]
-    found = np.concatenate([[0], np.cumsum(machine_.counts(codes, starts, ends))])
+    found = np.concatenate([[0], np.cumsum(machine_.span_counts(codes, starts, ends))])
     return np.diff(found[np.searchsorted(starts, bounds)]) + extra
 
 

@@ -62,6 +62,21 @@ def test_chunk_maps_compose():
     assert (token_counts.scanned(token_counts.chunk_maps(symbols))[-1] == whole[0]).all()
 
 
+def test_words_of_any_length_pass_the_transducer():
+    path = vocab.path("word_bpe_49k.json")
+    rng = random.Random(5)
+    letters = ["a", "ab", "aab", "theing", "eé日", "abcdefghijklmnopqrstuvwxyz", "0", "=-", "!"]
+    texts = [c * n for c in letters for n in (1, 2, 3, 63, 64, 65, 127, 128, 129, 1000, 20_000)]
+    texts += ["".join(rng.choice(c) for _ in range(n)) for c in letters for n in (5, 64, 300, 5000)]
+    library = Tokenizer.from_file(path)
+    want = [len(x.ids) for x in library.encode_batch(texts, add_special_tokens=False)]
+    assert token_counts.count_texts(texts, path).tolist() == want
+    small = token_counts.WordTransducer(path, most_states=50)  # states are dropped on the way
+    words = [t.encode() for t in texts if t.isascii() and t.isalpha()]
+    for _ in range(2):
+        assert [small.counts([w])[0] for w in words] == [len(library.encode(w.decode(), add_special_tokens=False).ids) for w in words]
+
+
 def test_recursive_bpe_is_the_library():
     path = vocab.path("byte_bpe_50k.tiktoken")
     library = tiktoken.Encoding("own", pat_str=vocab.PATTERN, mergeable_ranks=vocabularies.ranks(path), special_tokens={})
