@@ -1,7 +1,8 @@
 """Media columns: texts stored losslessly as WebP images, read back, hashed and described.
 
 A payload is a text's UTF-8 bytes, filled up with bytes 255 to a positive multiple of 576; every 576 bytes are a row of 192
-opaque pixels. A long payload is a series of images, so memory stays bounded whatever a text's length.
+opaque pixels. A long payload is a series of images, so memory stays bounded whatever a text's length. Each image is stored
+as literals or with back-references, whichever is shorter.
 """
 
 from __future__ import annotations

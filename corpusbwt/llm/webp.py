@@ -1,9 +1,9 @@
 """The lossless WebP format in NumPy: a full decoder and an encoder for the streams that this subpackage stores.
 
 The decoder reads prefix codes, meta codes, back-references and the colour cache, and inverts the predictor,
-cross-colour, subtract-green and palette transforms. Streams of literals only, which the media columns use, are decoded by
-array operations: at every bit position of a block the length of the pixel that would start there is looked up, and one
-pass follows these lengths from pixel to pixel.
+cross-colour, subtract-green and palette transforms. Streams of one group without a colour cache, which the media columns
+use, are decoded by array operations: at every bit position of a block the length of the literal or back-reference that
+would start there is looked up, and one pass follows these lengths from one to the next.
 """
 
 from __future__ import annotations
@@ -183,37 +183,69 @@ def read_image(r: Reader, width: int, height: int, main: bool) -> np.ndarray:
         meta = meta.reshape(-1, wide)
     n_groups = int(meta.max()) + 1 if meta is not None else 1
     groups = [_read_group(r, 1 << bits if bits else 0) for _ in range(n_groups)]
-    if n_groups == 1 and not groups[0][0].lengths[LITERALS:].any():
-        return _literals(r, groups[0], width * height)
+    if n_groups == 1 and not bits:
+        return _plain(r, groups[0], width * height, width)
     return _general(r, groups, meta, shift, bits, width, height)
 
 
-def _literals(r: Reader, group: list[Code], n: int, block: int = 1 << 16) -> np.ndarray:
-    """Pixels of one group whose green code has nothing but literals."""
-    tables = group[:4]
+@cache
+def _spare(symbols: int) -> np.ndarray:
+    """Extra bits of each length or distance symbol."""
+    return np.maximum(0, (np.arange(symbols) - 2) >> 1)
+
+
+def _amounts(raw: np.ndarray, at: np.ndarray, symbols: np.ndarray) -> np.ndarray:
+    """Lengths or distance codes of symbols whose extra bits stand at the bit positions ``at``."""
+    bits = _spare(DISTANCES)[symbols]
+    value = sum(raw[(at >> 3) + i].astype(np.int64) << (8 * i) for i in range(4)) >> (at & 7) & ((1 << bits) - 1)
+    return np.where(symbols < 4, symbols + 1, ((2 + (symbols & 1)) << bits) + value + 1)
+
+
+@cache
+def _near(width: int) -> np.ndarray:
+    """Distances in pixels of the first distance codes."""
+    return np.array([0, *(max(1, dx + dy * width) for dx, dy in NEAR)])
+
+
+def _plain(r: Reader, group: list[Code], n: int, width: int, block: int = 1 << 16) -> np.ndarray:
+    """Pixels of one group without a colour cache: literals and back-references."""
+    tables, far = group[:4], group[4]
+    copies = bool(group[0].lengths[LITERALS:].any())
     out = np.zeros(n, np.uint32)
     got, at = 0, r.at
     raw = np.frombuffer(r.data, np.uint8)
     while got < n:
         base = at & ~7
         limit = min(block, r.end - base)
-        more = raw[base >> 3 : ((base + limit) >> 3) + 12]
-        held = np.zeros((limit >> 3) + 15, np.uint32)
+        more = raw[base >> 3 : ((base + limit) >> 3) + 16]
+        held = np.zeros((limit >> 3) + 18, np.uint32)
         held[: len(more)] = more
         word = held[:-3] | held[1:-2] << 8 | held[2:-1] << 16
         window = ((word[:, None] >> _BIT) & 0x7FFF).ravel()  # 15 bits from each position on
         places = np.arange(len(window))
+
+        def behind(code: Code) -> np.ndarray:
+            reach = code.length.take(window & code.mask)  # noqa: B023
+            reach[limit:] = 0  # noqa: B023  # behind the block, steps stand still
+            return places + reach  # noqa: B023
+
         cursor, seen = None, []
         for code in tables:
             if code.bits:
-                step = next((step for other, step in seen if np.array_equal(other.lengths[:LITERALS], code.lengths[:LITERALS])), None)
+                step = next((step for other, step in seen if np.array_equal(other.lengths[:LITERALS], code.lengths[:LITERALS]) and not other.lengths[LITERALS:].any()), None)
                 if step is None:
-                    reach = code.length.take(window & code.mask)
-                    reach[limit:] = 0  # behind the block, steps stand still
-                    step = places + reach
+                    step = behind(code)
                     seen.append((code, step))
                 cursor = step if cursor is None else step.take(cursor)
+        if copies and cursor is not None:
+            told = group[0].symbol.take(window & group[0].mask)
+            refer = np.flatnonzero(told[:limit] >= LITERALS)
+            place = (behind(group[0]) if group[0].bits else places)[refer] + _spare(LENGTHS)[told[refer] - LITERALS]
+            slot = window[place] & far.mask
+            cursor[refer] = place + far.length[slot] + _spare(DISTANCES)[np.minimum(far.symbol[slot], DISTANCES - 1)]
         if cursor is None:  # every pixel is the same
+            if copies:
+                raise WebpError("a back-reference leaves the image")
             pixels = np.zeros(n - got, np.int64)
         else:
             follow, p, found = memoryview(cursor), at - base, []
@@ -227,15 +259,43 @@ def _literals(r: Reader, group: list[Code], n: int, block: int = 1 << 16) -> np.
             if not found:
                 raise WebpError("the data end early")
             pixels = np.array(found, np.int64)
-            at = base + p
-        channels, place = [], pixels
+        size = np.ones(len(pixels), np.int64)
+        refer = np.zeros(0, np.int64)
+        if copies:
+            told = group[0].symbol[window[pixels] & group[0].mask].astype(np.int64)
+            refer = np.flatnonzero(told >= LITERALS)
+            if len(refer):
+                bytes_ = held.astype(np.uint8)
+                symbol = told[refer] - LITERALS
+                place = pixels[refer] + group[0].length[window[pixels[refer]] & group[0].mask]
+                size[refer] = _amounts(bytes_, place, symbol)
+                place = place + _spare(LENGTHS)[symbol]
+                slot = window[place] & far.mask
+                back = _amounts(bytes_, place + far.length[slot], far.symbol[slot].astype(np.int64))
+                back = np.where(back <= len(NEAR), _near(width)[np.minimum(back, len(NEAR))], back - len(NEAR))
+        ends = got + np.cumsum(size)
+        kept = int(np.searchsorted(ends, n, "left")) + 1  # what follows the last pixel is no data
+        if cursor is not None:
+            at = base + (p if kept >= len(pixels) else int(pixels[kept]))
+        pixels, ends, starts = pixels[:kept], ends[:kept], (ends - size)[:kept]
+        if ends[-1] > n:
+            raise WebpError("a back-reference leaves the image")
+        plain = size[:kept] >= 0
+        plain[refer[refer < kept]] = False
+        channels, place = [], pixels[plain]
         for code in tables:
             slot = window[place] & code.mask
             channels.append(code.symbol[slot].astype(np.uint32))
             place = place + code.length[slot]
         green, red, blue, alpha = channels
-        out[got : got + len(pixels)] = alpha << 24 | red << 16 | green << 8 | blue
-        got += len(pixels)
+        out[starts[plain]] = alpha << 24 | red << 16 | green << 8 | blue
+        if len(refer):
+            refer, back = refer[refer < kept], back[refer < kept]
+            if (back > starts[refer]).any():
+                raise WebpError("a back-reference leaves the image")
+            for lo, hi, away in zip(starts[refer].tolist(), ends[refer].tolist(), back.tolist(), strict=True):
+                out[lo:hi] = out[lo - away : hi - away] if away >= hi - lo else np.resize(out[lo - away : lo], hi - lo)
+        got = int(ends[-1])
     if at > r.end:
         raise WebpError("the data end early")
     r.at = at
@@ -365,7 +425,7 @@ def unpack_palette(pixels: np.ndarray, table: np.ndarray, width: int) -> np.ndar
     return full[index]
 
 
-#: Heads of literal images met so far: whole bytes, then size in bits and codes. Texts share a head, which is read once.
+#: Heads of plain images met so far: whole bytes, then size in bits and codes. Texts share a head, which is read once.
 _HEADS: dict[bytes, tuple[int, list[Code]]] = {}
 
 
@@ -379,8 +439,6 @@ def _head_of(body: bytes) -> tuple[int, list[Code]] | None:
     if r.read(3):
         return None
     group = _read_group(r, 0)
-    if group[0].lengths[LITERALS:].any():
-        return None
     bits = r.at - 40
     if len(_HEADS) < 8:
         _HEADS[body[5 : 5 + -(-bits // 8)]] = bits, group
@@ -402,7 +460,7 @@ def decode(data: bytes, start: int = 0) -> tuple[np.ndarray, int]:
         raise WebpError("an unknown version")
     if (known := _head_of(body)) is not None:
         r.at += known[0]
-        return channels_of(_literals(r, known[1], width * height), width), end
+        return channels_of(_plain(r, known[1], width * height, width), width), end
     undo, inner = [], width
     while r.read(1):
         kind = r.read(2)
@@ -511,34 +569,87 @@ def text_code() -> np.ndarray:
 
 
 @cache
-def _text_head() -> tuple[int, int, np.ndarray, np.ndarray]:
-    return _literal_head(text_code())
+def reference_code() -> tuple[np.ndarray, np.ndarray]:
+    """Code lengths of greens with lengths, and of distances, for short texts: short copies, and runs of the last row."""
+    weight = 1 << (15 - text_code())
+    lengths = (weight.sum() // 12) // (2 + np.arange(LENGTHS))
+    distances = np.full(DISTANCES, 4)
+    distances[1] = 120
+    distances[14:32] = 16
+    return code_lengths(np.concatenate([weight, lengths])), code_lengths(distances)
 
 
-def _literal_head(lengths: np.ndarray) -> tuple[int, int, np.ndarray, np.ndarray]:
-    """Bits after the dimensions of an opaque image whose three colours share a code; then codes and lengths."""
+@cache
+def _text_head(copies: bool) -> tuple[int, int, list[tuple[np.ndarray, np.ndarray]]]:
+    green, far = reference_code() if copies else (np.concatenate([text_code(), np.zeros(LENGTHS, np.int64)]), np.zeros(DISTANCES, np.int64))
+    return _plain_head(green, text_code(), far)
+
+
+def _plain_head(green: np.ndarray, other: np.ndarray, far: np.ndarray) -> tuple[int, int, list[tuple[np.ndarray, np.ndarray]]]:
+    """Bits after the dimensions of an opaque image, and codes and lengths of greens, of the other colours, of distances."""
     w = Writer()
     w.put(0, 3)  # no transform, no colour cache, no meta codes
-    put_code(w, np.concatenate([lengths, np.zeros(LENGTHS, np.int64)]))
-    put_code(w, lengths)
-    put_code(w, lengths)
-    put_code(w, np.eye(1, 256, 255, dtype=np.int64)[0])
-    put_code(w, np.zeros(DISTANCES, np.int64))
-    used = lengths if (lengths > 0).sum() > 1 else np.zeros(256, np.int64)
-    return w.value, w.size, canonical(lengths), used
+    for lengths in (green, other, other, np.eye(1, 256, 255, dtype=np.int64)[0], far):
+        put_code(w, lengths)
+    return w.value, w.size, [(canonical(x), x if (x > 0).sum() > 1 else np.zeros(len(x), np.int64)) for x in (green, other, far)]
+
+
+def repeats(pixels: np.ndarray, least: int = 4) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Start, length and distance of copies: from each start on, the pixels equal those a distance before.
+
+    A pixel whose next ``least`` pixels last stood at one distance extends the copy before it; copies don't overlap.
+    """
+    n, none = len(pixels) - least + 1, np.zeros(0, np.int64)
+    if n < 2:
+        return none, none, none
+    wide = pixels.astype(np.uint64)
+    key = sum((wide[i : i + n] + np.uint64(1)) * np.uint64(_HASH * 2654435761 ** (2 * i) * 2 + 1 & (1 << 64) - 1) for i in range(least))
+    order = np.argsort(key, kind="stable")
+    away = np.zeros(n, np.int64)
+    same = np.flatnonzero(key[order[1:]] == key[order[:-1]])
+    late, early = order[same + 1], order[same]
+    equal = np.logical_and.reduce([pixels[late + i] == pixels[early + i] for i in range(least)])
+    away[late[equal]] = (late - early)[equal]
+    edges = np.flatnonzero(np.concatenate([[True], away[1:] != away[:-1], [True]]))
+    starts, sizes, back = edges[:-1], np.diff(edges) + least - 1, away[edges[:-1]]
+    on = back > 0
+    chosen, free = [], 0
+    for lo, size, far in zip(starts[on].tolist(), sizes[on].tolist(), back[on].tolist(), strict=True):
+        hi, lo = lo + size, max(lo, free)
+        if hi - lo >= least:
+            chosen += [(at, min(4096, hi - at), far) for at in range(lo, hi, 4096)]
+            free = hi
+    return tuple(np.array(chosen, np.int64).reshape(-1, 3).T)
+
+
+def _prefixes(value: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Prefix symbols, extra bits' values and numbers of lengths or distance codes."""
+    less = value - 1
+    top = np.frexp(np.maximum(less, 1))[1] - 1
+    spare = np.where(value <= 4, 0, top - 1)
+    return np.where(value <= 4, less, 2 * top + (less >> np.maximum(top - 1, 0) & 1)), less & ((1 << spare) - 1), spare
+
+
+@cache
+def _codes_of_distances(width: int) -> dict[int, int]:
+    return {d: code for code, d in reversed(list(enumerate(_near(width).tolist()))) if code}
 
 
 def encode_bytes(payload: bytes, width: int, height: int, *, own_code: bool) -> bytes:
-    """An opaque image whose red, green and blue samples are the payload, as literals of one prefix code."""
+    """An opaque image whose red, green and blue samples are the payload, in the shorter of two forms.
+
+    One has literals alone, the other back-references where pixels repeat; its size is known from the codes.
+    """
     samples = np.frombuffer(payload, np.uint8)
-    if own_code:
-        value, size, codes, lengths = _literal_head(code_lengths(np.bincount(samples, minlength=256)))
-    else:
-        value, size, codes, lengths = _text_head()
+    rgb = samples.reshape(-1, 3)
+    starts, sizes, back = repeats(rgb[:, 0].astype(np.uint32) << 16 | rgb[:, 1].astype(np.uint32) << 8 | rgb[:, 2])
+    forms = [_form(rgb, starts[:0], sizes[:0], back[:0], width, own_code)]
+    if len(starts):
+        forms.append(_form(rgb, starts, sizes, back, width, own_code))
+    value, size, codes, lengths = min(forms, key=lambda f: f[1] + int(f[3].sum()))
     head = 0x2F | (width - 1) << 8 | (height - 1) << 22 | value << 40
     size += 40
-    order = samples.reshape(-1, 3)[:, [1, 0, 2]].ravel()
-    body = pack_symbols(codes[order], lengths[order], size & 7)
+    body = pack_symbols(codes, lengths, size & 7)
     front = head.to_bytes(-(-size // 8), "little")
     if size & 7:
         body = bytes([front[-1] | (body[0] if body else 0)]) + body[1:]
@@ -546,6 +657,41 @@ def encode_bytes(payload: bytes, width: int, height: int, *, own_code: bool) ->
     return riff(front + body)
 
 
+def _form(rgb: np.ndarray, starts: np.ndarray, sizes: np.ndarray, back: np.ndarray, width: int, own_code: bool) -> tuple[int, int, np.ndarray, np.ndarray]:
+    """Head and its bits, then codes and lengths of all that follows, for an image with the given copies."""
+    literal = np.ones(len(rgb) + 1, bool)
+    if len(starts):
+        steps = np.zeros(len(rgb) + 1, np.int64)
+        np.add.at(steps, starts, 1)
+        np.add.at(steps, starts + sizes, -1)
+        literal = np.cumsum(steps) == 0
+    kept = np.flatnonzero(literal[:-1])
+    known = _codes_of_distances(width)
+    near = np.array([known.get(d, d + len(NEAR)) for d in back.tolist()], np.int64)
+    length, length_rest, length_bits = _prefixes(sizes)
+    far, far_rest, far_bits = _prefixes(near)
+    if own_code:
+        others = np.bincount(rgb[kept].ravel(), minlength=256)
+        green = np.bincount(rgb[kept, 1], minlength=LITERALS + LENGTHS) + np.bincount(LITERALS + length, minlength=LITERALS + LENGTHS) if len(starts) else np.append(others, np.zeros(LENGTHS, np.int64))
+        made = [code_lengths(x) if x.any() else np.zeros(len(x), np.int64) for x in (green, others, np.bincount(far, minlength=DISTANCES))]
+        value, size, tables = _plain_head(*made)
+    else:
+        value, size, tables = _text_head(bool(len(starts)))
+    (green_codes, green_bits), (codes, bits), (far_codes, far_lengths) = tables
+    place = np.concatenate([kept, starts])
+    entries = np.zeros((len(place), 4), np.int64), np.zeros((len(place), 4), np.int64)
+    n = len(kept)
+    for held, by_green, by_other in zip(entries, (green_codes, green_bits), (codes, bits), strict=True):
+        held[:n, 0], held[:n, 1], held[:n, 2] = by_green[rgb[kept, 1]], by_other[rgb[kept, 0]], by_other[rgb[kept, 2]]
+    for held, columns in zip(entries, ((green_codes[LITERALS + length], length_rest, far_codes[far], far_rest), (green_bits[LITERALS + length], length_bits, far_lengths[far], far_bits)), strict=True):
+        held[n:] = np.stack(columns, 1)
+    order = np.argsort(place, kind="stable") if len(starts) else slice(None)
+    codes, lengths = (held[order].ravel() for held in entries)
+    codes[lengths == 0] = 0
+    used = slice(None) if len(starts) else np.flatnonzero(np.arange(len(codes)) & 3 != 3)
+    return value, size, codes[used], lengths[used]
+
+
 def put_image(w: Writer, argb: Sequence[int], width: int, *, main: bool, cache_bits: int = 0, references: bool = True, meta_shift: int = 0) -> None:
     """An image with back-references to the pixel before or the row above, a colour cache and two meta groups on request."""
     out, i, held = [], 0, {}

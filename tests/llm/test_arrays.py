@@ -138,6 +138,43 @@ def test_media_hold_the_payload(text):
     assert np.ascontiguousarray(pixels[..., 1:]).tobytes() == payload
 
 
+@pytest.mark.parametrize("text", ["", "\0" * 577, "ab" * 3000, "abc" * 3000, "x" * 600_000, "The same line here.\n" * 500, " ".join(odd_texts(9000))])
+def test_stored_references_are_read_alike_pixel_by_pixel(text):
+    payload = media.payload_of(text)
+    own = len(payload) >= media.OWN_CODE
+    data = webp.encode_bytes(payload, media.WIDTH, len(payload) // media.UNIT, own_code=own)
+    r = webp.Reader(data[20:], 43)
+    group = webp._read_group(r, 0)
+    assert group[0].lengths[webp.LITERALS :].any()
+    pixels = webp._general(r, [group], None, 0, 0, media.WIDTH, len(payload) // media.UNIT)
+    assert (webp.channels_of(pixels, media.WIDTH) == webp.decode(data)[0]).all()
+    assert np.ascontiguousarray(webp.decode(data)[0][..., 1:]).tobytes() == payload
+
+
+def test_repeats_are_equal_and_apart():
+    rng = np.random.default_rng(4)
+    for n, values in ((0, 2), (3, 2), (4, 1), (5, 1), (9000, 1), (500, 2), (3000, 5), (3000, 1 << 24)):
+        pixels = rng.integers(0, values, n).astype(np.uint32)
+        free = 0
+        for at, size, back in zip(*webp.repeats(pixels), strict=True):
+            assert at >= free and 0 < back <= at and 0 < size <= 4096
+            assert (pixels[at : at + size] == pixels[at - back : at - back + size]).all()
+            free = at + size
+        assert free <= n
+
+
+def test_broken_media_raise_their_own_error():
+    rng = np.random.default_rng(6)
+    whole = media.stored(media.payload_of("The same line here, and other words.\n" * 30 + "x" * 900))
+    for i in range(300):
+        broken = bytearray(whole if i % 3 else whole[: 21 + i % (len(whole) - 21)])
+        broken[int(rng.integers(20, len(broken)))] ^= 1 << int(rng.integers(8))
+        try:
+            assert webp.decode(bytes(broken))[0].shape[2] == 4
+        except webp.WebpError:
+            pass
+
+
 def test_shingles():
     cases = {"": 0, " \n": 0, "one": 1, "a b c d": 1, "a b c d e": 1, "A b c d e f": 2, "x x x x x x x": 1}
     hashes, bounds = near_dedup.shingles(list(cases))
