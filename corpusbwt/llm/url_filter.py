@@ -23,9 +23,16 @@ from corpusbwt.session import release, written
 
 LONGEST = 24
 BUCKETS, SMOOTHING = 1 << 16, 0.01
-#: Rules as (verdict, host, path), and terms whose presence in a host makes a page an example to block.
+#: Rules as (verdict, host, path), and terms whose presence in a host makes a page an example to block: common
+#: words of the categories that public block lists name (adult, gambling, pharmacy, advertising, malicious).
 RULES = (("block", "net", "/"), ("allow", "example.net", "/en/"), ("block", "example.com", "/de/"), ("allow", "org", "/fr/"))
-SEEDS = frozenset("ads adult bets casino pills poker porn spam viagra xxx".split())
+SEEDS = frozenset(
+    """adult escort escorts hentai nude porn pornography xxx
+    bets betting bingo blackjack casino casinos gambling jackpot lottery poker roulette
+    cialis pharmacy pills tramadol viagra xanax
+    ads adserver adware clickbait popunder
+    keygen malware phishing ransomware spam spyware warez""".split()
+)
 #: A seed term counts at least as one word in so many, or text that never has it would make its letters other words.
 SEED_SHARE = 10_000
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -168,7 +175,8 @@ def judged(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html
     """Per row: page_id, host, path, rule, verdict, and ``odds``, the log-odds of blocking by naive Bayes.
 
     A rule's verdict goes before the model's, which blocks at odds above zero. A URL without host and path has the odds of
-    the classes alone. Rows with null or repeated ids are judged like any other; an empty table gives no rows.
+    the classes alone. Rows with null or repeated ids are judged like any other; an empty table gives no rows. Further
+    columns are left out, whatever their names.
     """
     urls = with_rule(parsed(pages, id_col, url_col), rules)
     counts, total, raised = unigrams(pages, html_col, seeds)
