@@ -3,12 +3,15 @@
 A worker finds the pieces of its texts by array scans, keeps a table of the pieces met so far, and hands the new ones to
 DuckDB: rows of (piece, position, token) join the merge table, every piece contracts its leftmost pair of least rank, and
 the query recurs until no piece has a pair left. Decoding joins tokens with their bytes and aggregates them in order.
+
+Pieces are first cut where two bytes stand side by side in no token, which no contraction can cross. What is still long
+contracts all places of its least rank in one step, from the left, as far as the next contraction would surely be the next
+of those places: a place whose new token could join a neighbour at a lower rank is the last of its step.
 """
 
 from __future__ import annotations
 
 import hashlib
-import heapq
 from collections.abc import Iterator
 from functools import cache
 
@@ -20,10 +23,13 @@ from pyspark.sql import DataFrame
 from corpusbwt.llm import textscan, vocabularies
 from corpusbwt.llm.common import batch_of, texts_of, trimmed
 
-#: Pieces of more bytes take a heap instead of one recursion a merge, whose cost grows with the square of the length.
-LONG_PIECE = 256
-#: Sum of squared piece lengths that one recursive query takes: it keeps a list of tokens for each merge, so memory is bounded.
-MOST_STEPS = 1 << 24
+#: Parts of more bytes contract all places of a rank in a step; one a step costs the square of the length.
+LONG_PART = 64
+#: Sum of squared part lengths that one stepwise query takes (it keeps a list of tokens for each merge), and sum of lengths
+#: of the other: memory is bounded by them, and by the length of a single part beyond them.
+MOST_STEPS, MOST_LONG = 1 << 24, 1 << 18
+#: Memory of a worker's DuckDB, and what it needs for each byte of a part beyond ``MOST_LONG``.
+MEMORY_MB, BYTES_EACH = 400, 1000
 #: Symbols of text taken at once: new pieces of a slice share one recursive query.
 SLICE = 1 << 21
 
@@ -43,6 +49,34 @@ SELECT piece, unnest(range(len(tokens))) AS pos, unnest(tokens) AS token
 FROM (SELECT piece, arg_max(tokens, step) AS tokens FROM state GROUP BY piece)
 """
 
+_CONTRACT_ALL = """
+WITH RECURSIVE state(piece, tokens) USING KEY (piece) AS (
+    SELECT piece, list(token ORDER BY pos) FROM start GROUP BY piece
+    UNION
+    (WITH positions AS MATERIALIZED (
+        SELECT piece, unnest(range(1, len(tokens) + 1)) AS pos, unnest(tokens) AS token, unnest(list_append(tokens[2:], NULL)) AS right_token FROM state),
+     pairs AS MATERIALIZED (
+        SELECT piece, pos, made FROM positions JOIN merges ON positions.token = merges.left_token AND positions.right_token = merges.right_token),
+     least AS (SELECT piece, min(made) AS made FROM pairs GROUP BY piece),
+     runs AS (SELECT piece, made, pos, pos - row_number() OVER (PARTITION BY piece ORDER BY pos) AS run FROM pairs JOIN least USING (piece, made)),
+     apart AS MATERIALIZED (SELECT piece, made, pos FROM runs QUALIFY row_number() OVER (PARTITION BY piece, run ORDER BY pos) % 2 = 1),
+     around AS (
+        SELECT apart.piece, apart.made, apart.pos, nextto.token AS after, CASE WHEN lag(apart.pos) OVER w = apart.pos - 2 THEN apart.made ELSE ahead.token END AS before
+        FROM apart LEFT JOIN positions AS ahead ON apart.piece = ahead.piece AND apart.pos - 1 = ahead.pos
+        LEFT JOIN positions AS nextto ON apart.piece = nextto.piece AND apart.pos + 2 = nextto.pos
+        WINDOW w AS (PARTITION BY apart.piece ORDER BY apart.pos)),
+     stops AS (
+        SELECT piece, min(pos) AS last
+        FROM (SELECT piece, pos, made AS own, before AS left_token, made AS right_token FROM around UNION ALL SELECT piece, pos, made, made, after FROM around) AS sides
+        JOIN sooner USING (left_token, right_token) WHERE sooner.made < own GROUP BY piece),
+     chosen AS MATERIALIZED (SELECT apart.* FROM apart LEFT JOIN stops USING (piece) WHERE last IS NULL OR pos <= last)
+     SELECT piece, list(coalesce(made, token) ORDER BY pos)
+     FROM positions LEFT JOIN chosen USING (piece, pos)
+     WHERE piece IN (SELECT piece FROM chosen) AND (piece, pos) NOT IN (SELECT piece, pos + 1 FROM chosen)
+     GROUP BY piece))
+SELECT piece, unnest(range(len(tokens))) AS pos, unnest(tokens) AS token FROM state
+"""
+
 
 class DuckBpe:
     """One worker's DuckDB session with the vocabulary and its merge table."""
@@ -53,9 +87,14 @@ class DuckBpe:
         self.single = np.array([self.ranks[bytes([b])] for b in range(256)], np.int32)
         rows = [(self.ranks[t[:i]], self.ranks[t[i:]], r) for t, r in self.ranks.items() for i in range(1, len(t)) if t[:i] in self.ranks and t[i:] in self.ranks]
         left, right, made = (np.array(c, np.int32) for c in zip(*rows, strict=True))
-        self.db = duckdb.connect(config={"threads": 1, "memory_limit": "400MB", "temp_directory": ""})
+        self.db = duckdb.connect(config={"threads": 1, "memory_limit": f"{MEMORY_MB}MB", "temp_directory": ""})
         self._table("merges", {"left_token": left, "right_token": right, "made": made})
+        early = (made < left) | (made < right)
+        self._table("sooner", {"left_token": left[early], "right_token": right[early], "made": made[early]})
         self._table("vocabulary", {"token": np.fromiter(self.tokens, np.int32, len(self.tokens)), "bytes": pa.array(list(self.tokens.values()), pa.binary())})
+        self.joined = np.zeros((256, 256), bool)
+        for t in map(np.frombuffer, self.ranks, [np.uint8] * len(self.ranks)):
+            self.joined[t[:-1], t[1:]] = True
 
     def _table(self, name: str, columns: dict) -> None:
         held = pa.table({k: pa.array(v) if isinstance(v, np.ndarray) else v for k, v in columns.items()})
@@ -63,51 +102,37 @@ class DuckBpe:
         self.db.execute(f"CREATE OR REPLACE TABLE {name} AS SELECT * FROM incoming")
         self.db.unregister("incoming")
 
-    def _heap(self, piece: bytes) -> list[int]:
-        """The same contraction for one long piece, by a heap over a linked list."""
-        n = len(piece)
-        token = [int(self.single[b]) for b in piece]
-        part = [piece[i : i + 1] for i in range(n)]
-        after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-        find = self.ranks.get
-        heap = [(r, i, i + 1) for i in range(n - 1) if (r := find(piece[i : i + 2])) is not None]
-        heapq.heapify(heap)
-        alive = [True] * n
-        while heap:
-            r, i, j = heapq.heappop(heap)
-            if not (alive[i] and j < n and alive[j] and after[i] == j and find(part[i] + part[j]) == r):
-                continue
-            part[i], token[i], alive[j], after[i] = part[i] + part[j], r, False, after[j]
-            if after[i] < n:
-                before[after[i]] = i
-                if (x := find(part[i] + part[after[i]])) is not None:
-                    heapq.heappush(heap, (x, i, after[i]))
-            if before[i] >= 0 and (x := find(part[before[i]] + part[i])) is not None:
-                heapq.heappush(heap, (x, before[i], i))
-        return [t for t, a in zip(token, alive, strict=True) if a]
-
     def encode(self, pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of all pieces in a row, and each piece's number of ids; pieces go to DuckDB in parts of bounded work."""
-        steps = np.minimum([len(p) for p in pieces], LONG_PIECE) ** 2
-        parts = [self._contract(pieces[lo:hi]) for lo, hi in textscan.slices(steps, MOST_STEPS)]
-        return tuple(np.concatenate(x) for x in zip(*parts, strict=True)) if parts else (np.zeros(0, np.int64), np.zeros(0, np.int64))
-
-    def _contract(self, pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all pieces in a row, and each piece's number of ids; parts go to DuckDB in queries of bounded work."""
         sizes = np.fromiter(map(len, pieces), np.int64, len(pieces))
-        long = {i: self._heap(pieces[i]) for i in np.flatnonzero(sizes > LONG_PIECE)}
-        short = np.where(sizes > LONG_PIECE, 0, sizes)
-        raw = np.frombuffer(b"".join(b"" if i in long else p for i, p in enumerate(pieces)), np.uint8)
-        owner = np.repeat(np.arange(len(pieces)), short)
-        pos = np.arange(len(raw)) - np.repeat(np.cumsum(short) - short, short)
-        self._table("start", {"piece": owner.astype(np.int32), "pos": pos.astype(np.int32), "token": self.single[raw]})
-        found = self.db.execute(_CONTRACT).fetchnumpy()
-        piece, at, token = (np.asarray(found[c]) for c in ("piece", "pos", "token"))
-        if long:
-            piece = np.concatenate([piece, *(np.full(len(x), i) for i, x in long.items())])
-            at = np.concatenate([at, *(np.arange(len(x)) for x in long.values())])
-            token = np.concatenate([token, *(np.array(x) for x in long.values())])
-        order = np.lexsort((at, piece))
-        return token[order].astype(np.int64), np.bincount(piece, minlength=len(pieces))
+        raw = np.frombuffer(b"".join(pieces), np.uint8)
+        piece = np.repeat(np.arange(len(pieces)), sizes)
+        cut = np.ones(len(raw), bool)
+        cut[1:] = (piece[1:] != piece[:-1]) | ~self.joined[raw[:-1], raw[1:]]
+        starts = np.flatnonzero(cut)
+        lengths = np.diff(np.append(starts, len(raw)))
+        found = [(np.zeros(0, np.int64),) * 3]
+        for query, parts, work, most in (
+            (_CONTRACT, np.flatnonzero(lengths <= LONG_PART), lengths**2, MOST_STEPS),
+            (_CONTRACT_ALL, np.flatnonzero(lengths > LONG_PART), lengths, MOST_LONG),
+        ):
+            for lo, hi in textscan.slices(work[parts], most):
+                found.append(self._contract(query, raw, parts[lo:hi], starts, lengths))
+        part, at, token = (np.concatenate(x) for x in zip(*found, strict=True))
+        order = np.lexsort((at, part))
+        return token[order].astype(np.int64), np.bincount(piece[starts[part]], minlength=len(pieces))
+
+    def _contract(self, query: str, raw: np.ndarray, parts: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, ...]:
+        """(part, place, token) rows of some parts of ``raw`` after all contractions."""
+        sizes = lengths[parts]
+        pos = np.arange(sizes.sum()) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+        self._table("start", {"piece": np.repeat(parts, sizes), "pos": pos, "token": self.single[raw[np.repeat(starts[parts], sizes) + pos]]})
+        needs = MEMORY_MB + max(0, int(sizes.sum()) - MOST_LONG) * BYTES_EACH // 10**6
+        if needs > MEMORY_MB and query is _CONTRACT_ALL:
+            self.db.execute(f"SET memory_limit = '{needs}MB'")
+        rows = self.db.execute(query).fetchnumpy()
+        self.db.execute(f"SET memory_limit = '{MEMORY_MB}MB'")
+        return tuple(np.asarray(rows[c], np.int64) for c in ("piece", "pos", "token"))
 
     def decode(self, ids: np.ndarray, counts: np.ndarray) -> list[bytes]:
         """Bytes of each sequence of ids, joined in order of position."""

@@ -89,6 +89,20 @@ def test_recursive_bpe_is_the_library():
         assert b"".join(map(book.raw.__getitem__, own)) == text.encode()
 
 
+def test_long_pieces_contract_as_in_the_library():
+    path = vocab.path("byte_bpe_50k.tiktoken")
+    library = tiktoken.Encoding("own", pat_str=vocab.PATTERN, mergeable_ranks=vocabularies.ranks(path), special_tokens={})
+    engine = byte_bpe.DuckBpe(path)
+    rng = np.random.default_rng(8)
+    pieces = [rng.choice(list(letters), n).astype(np.uint8).tobytes() for letters in (b"abcdefghijklmnopqrstuvwxyz", b"aestin", b"a", range(256)) for n in (1, 64, 65, 300, 2000)]
+    pieces += [b" " * n for n in (2, 63, 64, 65, 1001)] + [b"=" * 777, "日本語の長い文".encode() * 200]
+    ids, counts = engine.encode([*pieces, b""])
+    assert [x.tolist() for x in np.split(ids, np.cumsum(counts)[:-1])] == [*map(library._encode_single_piece, pieces), []]
+    ids, counts = engine.encode(list(engine.ranks))
+    assert ids.tolist() == list(engine.ranks.values())
+    assert engine.encode([])[0].size == 0
+
+
 def test_hilbert_curve_visits_neighbours():
     side = np.arange(8)
     grid = np.stack(np.meshgrid(side, side, side), -1).reshape(-1, 3)
@@ -211,6 +225,20 @@ def test_segmentation():
     assert url_filter._names("a-b12.c") == ["a", "b", "#2", "c"]
 
 
+@pytest.mark.parametrize("seed", range(4))
+def test_segmentation_is_the_best_of_all_splits(seed):
+    rng = np.random.default_rng(seed)
+    words = {"".join(rng.choice(list("abc"), rng.integers(1, 5))): int(rng.integers(1, 60)) for _ in range(12)}
+    segment = url_filter.Segmenter(words)
+    unknown = lambda n: np.log(10 / segment.total) - n * np.log(10)
+    value = lambda parts: sum(segment.score.get(p, unknown(len(p))) for p in parts)
+    for _ in range(20):
+        name = "".join(rng.choice(list("abcd"), rng.integers(1, 11)))
+        cuts = [[0, *(i for i in range(1, len(name)) if mask >> i & 1), len(name)] for mask in range(0, 1 << len(name), 2)]
+        splits = [[name[a:b] for a, b in zip(c[:-1], c[1:], strict=True)] for c in cuts]
+        assert "".join(segment(name)) == name and np.isclose(value(segment(name)), max(map(value, splits)))
+
+
 def test_templates():
     held = licenses.Templates()
     held.weigh(1000, np.full(len(held.words), 5))

@@ -182,6 +182,17 @@ def test_url_parts_rules_and_verdicts(spark):
     assert got[0].verdict == "block" and got[1].verdict == "allow" and got[8].verdict == "block" and len(got) == len(rows)
 
 
+def test_odd_pages(spark):
+    clashing = "page_id long, url string, html string, host string, n long, word string, name string, own string, odds string, held string"
+    extra = ("h", 1, "w", "n", "o", "d", "x")
+    assert url_filter.judged(spark.createDataFrame([], clashing)).count() == 0
+    long = "https://" + "verylongname" * 500 + ".org/" + "path/" * 5000
+    rows = [(1, "https://casino.org/x", None), (1, "https://casino.org/x", None), (2, long, "<b>very long name path</b>"), (None, "", ""), (3, "://", "text")]
+    got = url_filter.judged(spark.createDataFrame([(*r, *extra) for r in rows], clashing)).collect()
+    assert sorted((r.page_id or 0, len(r.host)) for r in got) == [(0, 0), (1, 10), (1, 10), (2, 6004), (3, 0)]
+    assert {r.page_id: r.verdict for r in got if r.page_id in (1, 2)} == {1: "block", 2: "allow"}
+
+
 def test_every_word_of_the_pages_counts(spark):
     common = " ".join("q" + "".join(chr(97 + i // 26**k % 26) for k in range(4)) for i in range(50_001))
     rows = [(0, "http://adultery.org/x", common), (1, "http://adulterynews.org/y", common), (2, "http://casino.org/x", "adultery news"), (3, None, None)] + [(10 + i, "http://news.org/x", None) for i in range(5)]
