@@ -26,7 +26,8 @@ def sort_direct(strings: DataFrame) -> DataFrame:
 def sort_gather(strings: DataFrame, *, prefix: int = 16, bucket: str = "sampled", buckets: int = 256) -> DataFrame:
     """Suffixes dealt by prefix, so equal prefixes stay together, and sorted by text inside: a scale-out sorter.
 
-    Splitters are sampled, or (``bucket='prefix'``) fixed ranges of the first two symbols.
+    Splitters are sampled, or (``bucket='prefix'``) fixed ranges of the first two symbols. Its rows carry suffix texts; see
+    ``sort_ranged`` for sets whose texts don't fit the disk.
     """
     rows = suffixes(strings)
     if bucket == "prefix":
@@ -150,7 +151,14 @@ def places_local(strings: DataFrame) -> DataFrame:
     return strings.select("sid", "s").coalesce(1).mapInArrow(run, "sid long, pos array<long>, sym array<int>")
 
 
-SORTERS = {"direct": sort_direct, "gather": sort_gather, "sieve": sort_msd_sieve, "doubling": sort_doubling, "local": sort_local}
+def sort_ranges(strings: DataFrame) -> DataFrame:
+    """Range by range from packed strings (see ``ranged``); for strings of bounded length, however many."""
+    from corpusbwt.operators.ranged import sort_ranged
+
+    return sort_ranged(strings, places=True).suffix_array()
+
+
+SORTERS = {"ranges": sort_ranges, "direct": sort_direct, "gather": sort_gather, "sieve": sort_msd_sieve, "doubling": sort_doubling, "local": sort_local}
 
 
 def suffix_array(strings: DataFrame, method: str = "direct") -> DataFrame:
