@@ -40,7 +40,7 @@ def test_ranges_and_passes(spark, narrow, name):
     assert both(found.runs(), bwt.runs(want.select("pos", "sym"))) == (0, 0)
 
 
-@pytest.mark.parametrize("name", ["bwt_brute_array", "bwt_short_reads", "bwt_dna"])
+@pytest.mark.parametrize("name", ["bwt_brute_array", "bwt_short_reads", "bwt_dna", "bwt_gather"])
 def test_no_query_carries_suffix_texts_or_takes_one_task(spark, small, name):
     """Rows with suffix texts filled the disk, and one task for the whole set its memory."""
     plan = catalog.QUERIES[name](spark, small)._jdf.queryExecution().executedPlan().toString()
