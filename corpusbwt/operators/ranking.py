@@ -23,11 +23,13 @@ from corpusbwt.plans.store import StoredIndex
 from corpusbwt.session import written
 
 _ENGINES: dict[str, RankEngine] = {}
-#: Rows up to which a worker lists positions (8 bytes each) in place of counters.
+#: Rows up to which a worker lists positions (8 bytes each) in place of counters; listing takes 24 bytes a row for a while.
 MOST_LISTED = 1 << 26
+#: The same where pairs of symbols are listed as well.
+MOST_LISTED_PAIRS = 1 << 22
 
 
-def shared_engine(index: StoredIndex):
+def shared_engine(index: StoredIndex, q: int = 1):
     """A function that gives the rank engine inside a task: symbols are broadcast once, counters built once a worker."""
     sent = index.spark.sparkContext.broadcast((index.symbols, index.alphabet.sigma, index.codec.spacing))
     key = sent._id if getattr(sent, "_id", None) is not None else sent._jbroadcast.id()  # a broadcast's number is its own
@@ -37,7 +39,7 @@ def shared_engine(index: StoredIndex):
         if key not in _ENGINES:
             _ENGINES.clear()
             symbols, sigma, spacing = sent.value
-            _ENGINES[key] = RankEngine(symbols, sigma, spacing, positions=len(symbols) <= MOST_LISTED)
+            _ENGINES[key] = RankEngine(symbols, sigma, spacing, positions=len(symbols) <= (MOST_LISTED if q == 1 else MOST_LISTED_PAIRS))
         return _ENGINES[key]
 
     return engine
@@ -45,7 +47,7 @@ def shared_engine(index: StoredIndex):
 
 def chained(strings: DataFrame, index: StoredIndex, *, start: int | None = None, q: int = 1) -> DataFrame:
     """``(sid, g)``: all ranks of each string as an array by k, from the replicated index."""
-    engine, alphabet = shared_engine(index), index.alphabet
+    engine, alphabet = shared_engine(index, q), index.alphabet
     first = index.manifest.m if start is None else start
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -103,3 +103,22 @@ def test_page_splits_stay_half_full():
         for n in range(p + 1, 10 * p):
             sizes = split_sizes(n, p)
             assert sum(sizes) == n and max(sizes) <= p and min(sizes) * 2 >= p
+
+
+@pytest.mark.parametrize("positions", [False, True])
+def test_pairs_are_made_once_in_bounded_memory(positions):
+    """Pairs took several arrays of 8 bytes a row, and were made anew for every batch of strings."""
+    import tracemalloc
+
+    codes = np.random.default_rng(3).integers(0, 5, 3_000_000).astype(np.uint8)
+    engine = kernels.RankEngine(codes, 4, positions=positions)
+    row = np.arange(len(codes))
+    first = codes.astype(np.int64)
+    earlier = codes[engine.step(first, row)].astype(np.int64)
+    want = np.where((first > 0) & (earlier > 0), earlier * 5 + first, 0)
+    tracemalloc.start()
+    made = engine.pairs()
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert (made.symbols == want).all() and engine.pairs() is made
+    assert positions or peak < 24 * len(codes)
