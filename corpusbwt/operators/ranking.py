@@ -119,7 +119,7 @@ def compute_ranks(strings: DataFrame, index: StoredIndex, strategy: str = "auto"
 
 def reorder(ranks: DataFrame, sa: DataFrame) -> DataFrame:
     """Ranks in suffix order: ``(pos, sid, k, sym, g)``."""
-    return sa.join(ranks, ["sid", "k"])
+    return sa.hint("merge").join(ranks, ["sid", "k"])
 
 
 def insert_rows(bwt: DataFrame, new: DataFrame) -> DataFrame:
@@ -137,5 +137,5 @@ def ordered_new(strings: DataFrame, ranks: DataFrame) -> DataFrame:
     """New suffixes ``(ord, g, sym)`` in suffix order; the rank leads the sort, which it never contradicts."""
     from corpusbwt.operators.numbering import with_row_index
 
-    rows = suffixes(strings).join(ranks, ["sid", "k"])
+    rows = suffixes(strings).hint("merge").join(ranks, ["sid", "k"])  # Spark estimates suffixes as large as their strings, and would broadcast them
     return with_row_index(rows, ["g", "suf", "sid"], "ord").select("ord", "g", "sym", "sid", "k")

@@ -2,7 +2,7 @@
 
 import pytest
 
-from corpusbwt.operators import bwt, ranged, suffixsort
+from corpusbwt.operators import bwt, numbering, ranged, ranking, suffixsort
 from corpusbwt.operators.stringset import string_set
 from corpusbwt.plans import catalog
 from corpusbwt.session import written
@@ -53,3 +53,16 @@ def test_windows_of_odd_texts(spark):
     for width in (1, 101):
         got = {(r.id, r.window): r.s for r in tables.read_windows(docs, ["id"], "t", width).collect()}
         assert got == {(i, w): t[w * width : (w + 1) * width] for i, t in enumerate(texts) if t is not None for w in range(max(1, -(-len(t) // width)))}
+
+
+def test_suffixes_are_not_broadcast(spark, monkeypatch):
+    """Suffixes are far larger than the stored strings, by which Spark would send them through the driver."""
+    strings = written(string_set(spark.createDataFrame([(i, f"Customer#{i:09d}") for i in range(200)], "id long, t string"), "t", ["id"]))
+    new, old = strings.where("sid >= 100"), strings.where("sid < 100")
+    ranks, joined, number = written(ranking.ranks_merge(old, new)), [], numbering.with_row_index
+    monkeypatch.setattr(numbering, "with_row_index", lambda df, *a: joined.append(df) or number(df, *a))
+    ranking.ordered_new(new, ranks)
+    joined.append(ranking.reorder(ranks, written(suffixsort.sort_direct(new))))
+    assert len(joined) == 2
+    for one in joined:
+        assert "BroadcastHashJoin" not in one._jdf.queryExecution().executedPlan().toString()
