@@ -99,14 +99,15 @@ def invert_rows(bwt: DataFrame) -> DataFrame:
 def neighbours(sa: DataFrame) -> DataFrame:
     """Rows of a suffix array with ``sid0, k0`` of the suffix before (null for the first)."""
     before = sa.select((F.col("pos") + 1).alias("pos"), F.col("sid").alias("sid0"), F.col("k").alias("k0"))
-    return sa.select("pos", "sid", "k").join(before, "pos", "left")
+    return sa.select("pos", "sid", "k").join(before.hint("merge"), "pos", "left")
 
 
 def lcp(sa: DataFrame, strings: DataFrame) -> DataFrame:
     """``(pos, lcp)``: symbols that each suffix shares with the one before it; 0 for the first."""
     ship(strings.sparkSession)
     text = strings.select("sid", "s")
-    both = neighbours(sa).join(text, "sid").join(text.select(F.col("sid").alias("sid0"), F.col("s").alias("s0")), "sid0", "left")
+    # Spark estimates suffixes as large as their strings, and would broadcast them
+    both = neighbours(sa).hint("merge").join(text, "sid").join(text.select(F.col("sid").alias("sid0"), F.col("s").alias("s0")), "sid0", "left")
 
     @F.pandas_udf("int")
     def common(a: pd.Series, i: pd.Series, b: pd.Series, j: pd.Series) -> pd.Series:

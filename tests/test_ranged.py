@@ -66,3 +66,10 @@ def test_suffixes_are_not_broadcast(spark, monkeypatch):
     assert len(joined) == 2
     for one in joined:
         assert "BroadcastHashJoin" not in one._jdf.queryExecution().executedPlan().toString()
+
+
+def test_neighbours_are_not_broadcast(spark):
+    strings = written(string_set(spark.createDataFrame([(i, f"name {i % 7}") for i in range(200)], "id long, t string"), "t", ["id"]))
+    found = bwt.neighbours(suffixsort.sort_local(strings))
+    assert "BroadcastHashJoin" not in found._jdf.queryExecution().executedPlan().toString()
+    assert found.count() == strings.count() * 7
