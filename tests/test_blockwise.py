@@ -31,6 +31,18 @@ def test_count(blocks, asked):
     assert {r.pid: r.n for r in blockwise.count(blocks, asked).collect()} == {i: sum(len(places(t or "", p or "")) for t in TEXTS) for i, p in enumerate(PATTERNS)}
 
 
+@pytest.mark.parametrize("least", [1, 3])
+def test_shared(blocks, asked, least):
+    texts, want = [t or "" for t in TEXTS], []
+    for i, p in enumerate(PATTERNS):
+        p = p or ""
+        start = [min(a for a in range(e + 1) if a == e or any(p[a:e] in t for t in texts)) for e in range(len(p) + 1)]
+        for e in range(1, len(p) + 1):
+            if e - start[e] >= least and not (e < len(p) and start[e + 1] <= start[e]):
+                want.append((i, start[e], e - start[e], sum(len(places(t, p[start[e] : e])) for t in texts)))
+    assert sorted((r.pid, r.start, r.len, r.n) for r in blockwise.shared(blocks, asked, least).collect()) == sorted(want)
+
+
 def test_odd_sets(spark, blocks):
     twice = spark.createDataFrame([(1, "bra"), (1, "zz"), (None, "ü")], "pid long, pattern string")
     assert sorted((str(r.pid), r.n) for r in blockwise.count(blocks, twice).collect()) == [("1", 0), ("1", sum(len(places(t or "", "bra")) for t in TEXTS)), ("None", 1)]
@@ -39,7 +51,7 @@ def test_odd_sets(spark, blocks):
     assert not blockwise.count(blocks, twice.where("false")).collect()
 
 
-@pytest.mark.parametrize("name", ["fm_count_benchmark"])
+@pytest.mark.parametrize("name", ["fm_count_benchmark", "fm_shared_passages"])
 def test_no_search_waits_for_a_build_in_turns(spark, small, monkeypatch, name):
     """One index of all documents was ranked and inserted block after block before any search."""
     monkeypatch.setattr(catalog, "_BUILT", {})
