@@ -43,6 +43,11 @@ def test_shared(blocks, asked, least):
     assert sorted((r.pid, r.start, r.len, r.n) for r in blockwise.shared(blocks, asked, least).collect()) == sorted(want)
 
 
+def test_locate(blocks, asked):
+    want = sorted((i, 100 + j, k) for i, p in enumerate(PATTERNS) for j, t in enumerate(TEXTS) for k in places(t or "", p or ""))
+    assert sorted((r.pid, r.id, r.k) for r in blockwise.locate(blocks, asked).collect()) == want
+
+
 def test_odd_sets(spark, blocks):
     twice = spark.createDataFrame([(1, "bra"), (1, "zz"), (None, "ü")], "pid long, pattern string")
     assert sorted((str(r.pid), r.n) for r in blockwise.count(blocks, twice).collect()) == [("1", 0), ("1", sum(len(places(t or "", "bra")) for t in TEXTS)), ("None", 1)]
@@ -51,7 +56,7 @@ def test_odd_sets(spark, blocks):
     assert not blockwise.count(blocks, twice.where("false")).collect()
 
 
-@pytest.mark.parametrize("name", ["fm_count_benchmark", "fm_shared_passages"])
+@pytest.mark.parametrize("name", ["fm_count_benchmark", "fm_shared_passages", "fm_locate_benchmark"])
 def test_no_search_waits_for_a_build_in_turns(spark, small, monkeypatch, name):
     """One index of all documents was ranked and inserted block after block before any search."""
     monkeypatch.setattr(catalog, "_BUILT", {})
