@@ -56,7 +56,7 @@ def test_odd_sets(spark, blocks):
     assert not blockwise.count(blocks, twice.where("false")).collect()
 
 
-@pytest.mark.parametrize("name", ["fm_count_benchmark", "fm_shared_passages", "fm_locate_benchmark"])
+@pytest.mark.parametrize("name", ["fm_count_benchmark", "fm_shared_passages", "fm_locate_benchmark", "fm_documents_with"])
 def test_no_search_waits_for_a_build_in_turns(spark, small, monkeypatch, name):
     """One index of all documents was ranked and inserted block after block before any search."""
     monkeypatch.setattr(catalog, "_BUILT", {})
