@@ -52,6 +52,10 @@ def test_absent(blocks, asked):
     assert sorted(r.pid for r in blockwise.absent(blocks, asked).collect()) == [i for i, p in enumerate(PATTERNS) if not any(places(t or "", p or "") for t in TEXTS)]
 
 
+def test_invert(blocks):
+    assert {r.id: r.s for r in blockwise.invert(blocks).collect()} == {100 + i: t or "" for i, t in enumerate(TEXTS)}
+
+
 def test_odd_sets(spark, blocks):
     twice = spark.createDataFrame([(1, "bra"), (1, "zz"), (None, "ü")], "pid long, pattern string")
     assert sorted((str(r.pid), r.n) for r in blockwise.count(blocks, twice).collect()) == [("1", 0), ("1", sum(len(places(t or "", "bra")) for t in TEXTS)), ("None", 1)]
@@ -60,7 +64,7 @@ def test_odd_sets(spark, blocks):
     assert not blockwise.count(blocks, twice.where("false")).collect()
 
 
-@pytest.mark.parametrize("name", ["fm_count_benchmark", "fm_shared_passages", "fm_locate_benchmark", "fm_documents_with", "fm_absent_patterns"])
+@pytest.mark.parametrize("name", ["fm_count_benchmark", "fm_shared_passages", "fm_locate_benchmark", "fm_documents_with", "fm_absent_patterns", "invert_roundtrip"])
 def test_no_search_waits_for_a_build_in_turns(spark, small, monkeypatch, name):
     """One index of all documents was ranked and inserted block after block before any search."""
     monkeypatch.setattr(catalog, "_BUILT", {})
