@@ -11,6 +11,7 @@ from __future__ import annotations
 import heapq
 import struct
 from collections.abc import Sequence
+from dataclasses import dataclass
 from functools import cache, lru_cache
 
 import numpy as np
@@ -624,8 +625,10 @@ def repeats(pixels: np.ndarray, least: int = 4) -> tuple[np.ndarray, np.ndarray,
 
 def _prefixes(value: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Prefix symbols, extra bits' values and numbers of lengths or distance codes."""
+    if not len(value):
+        return value, value, value
     less = value - 1
-    top = np.frexp(np.maximum(less, 1))[1] - 1
+    top = (np.maximum(less, 1).astype(np.float64).view(np.int64) >> 52) - 1023  # the exponent
     spare = np.where(value <= 4, 0, top - 1)
     return np.where(value <= 4, less, 2 * top + (less >> np.maximum(top - 1, 0) & 1)), less & ((1 << spare) - 1), spare
 
@@ -643,10 +646,11 @@ def encode_bytes(payload: bytes, width: int, height: int, *, own_code: bool) ->
     samples = np.frombuffer(payload, np.uint8)
     rgb = samples.reshape(-1, 3)
     starts, sizes, back = repeats(rgb[:, 0].astype(np.uint32) << 16 | rgb[:, 1].astype(np.uint32) << 8 | rgb[:, 2])
-    forms = [_form(rgb, starts[:0], sizes[:0], back[:0], width, own_code)]
+    form = _form(rgb, starts[:0], sizes[:0], back[:0], width, own_code)
     if len(starts):
-        forms.append(_form(rgb, starts, sizes, back, width, own_code))
-    value, size, codes, lengths = min(forms, key=lambda f: f[1] + int(f[3].sum()))
+        form = min(form, _form(rgb, starts, sizes, back, width, own_code), key=lambda f: f.bits)
+    value, size = form.value, form.size
+    codes, lengths = form.laid()
     head = 0x2F | (width - 1) << 8 | (height - 1) << 22 | value << 40
     size += 40
     body = pack_symbols(codes, lengths, size & 7)
@@ -657,39 +661,63 @@ def encode_bytes(payload: bytes, width: int, height: int, *, own_code: bool) ->
     return riff(front + body)
 
 
-def _form(rgb: np.ndarray, starts: np.ndarray, sizes: np.ndarray, back: np.ndarray, width: int, own_code: bool) -> tuple[int, int, np.ndarray, np.ndarray]:
-    """Head and its bits, then codes and lengths of all that follows, for an image with the given copies."""
-    literal = np.ones(len(rgb) + 1, bool)
+@dataclass
+class Form:
+    """An image with given copies: its head and the head's bits, all bits, and the columns of literals and copies."""
+
+    value: int
+    size: int
+    bits: int
+    literals: list[tuple[np.ndarray, np.ndarray, np.ndarray]]
+    copies: list[tuple[np.ndarray, np.ndarray]]
+    kept: np.ndarray
+    starts: np.ndarray
+
+    def laid(self) -> tuple[np.ndarray, np.ndarray]:
+        """Codes and lengths of all that follows the head, in order."""
+        n, columns = len(self.kept), 4 if len(self.starts) else 3
+        entries = np.zeros((2, n + len(self.starts), columns), np.int64)
+        for i, (symbols, codes, bits) in enumerate(self.literals):
+            entries[0, :n, i], entries[1, :n, i] = codes.take(symbols), bits.take(symbols)
+        for i, (codes, bits) in enumerate(self.copies):
+            entries[0, n:, i], entries[1, n:, i] = codes, bits
+        if len(self.starts):
+            entries = entries[:, np.argsort(np.concatenate([self.kept, self.starts]), kind="stable")]
+        codes, lengths = entries.reshape(2, -1)
+        codes[lengths == 0] = 0
+        return codes, lengths
+
+
+def _form(rgb: np.ndarray, starts: np.ndarray, sizes: np.ndarray, back: np.ndarray, width: int, own_code: bool) -> Form:
+    """The form of an image with the given copies; nothing is laid out before one is chosen."""
     if len(starts):
         steps = np.zeros(len(rgb) + 1, np.int64)
         np.add.at(steps, starts, 1)
         np.add.at(steps, starts + sizes, -1)
-        literal = np.cumsum(steps) == 0
-    kept = np.flatnonzero(literal[:-1])
+        kept = np.flatnonzero(np.cumsum(steps)[:-1] == 0)
+        red, green, blue = rgb[kept].T
+    else:
+        kept, (red, green, blue) = np.arange(len(rgb)), rgb.T
     known = _codes_of_distances(width)
     near = np.array([known.get(d, d + len(NEAR)) for d in back.tolist()], np.int64)
     length, length_rest, length_bits = _prefixes(sizes)
     far, far_rest, far_bits = _prefixes(near)
+    counts = [np.bincount(x, minlength=256) for x in (red, green, blue)]
+    greens = np.bincount(LITERALS + length, minlength=LITERALS + LENGTHS)
     if own_code:
-        others = np.bincount(rgb[kept].ravel(), minlength=256)
-        green = np.bincount(rgb[kept, 1], minlength=LITERALS + LENGTHS) + np.bincount(LITERALS + length, minlength=LITERALS + LENGTHS) if len(starts) else np.append(others, np.zeros(LENGTHS, np.int64))
-        made = [code_lengths(x) if x.any() else np.zeros(len(x), np.int64) for x in (green, others, np.bincount(far, minlength=DISTANCES))]
+        others = counts[0] + counts[1] + counts[2]
+        whole = greens + np.append(counts[1] if len(starts) else others, np.zeros(LENGTHS, np.int64))
+        made = [code_lengths(x) if x.any() else np.zeros(len(x), np.int64) for x in (whole, others, np.bincount(far, minlength=DISTANCES))]
         value, size, tables = _plain_head(*made)
     else:
         value, size, tables = _text_head(bool(len(starts)))
-    (green_codes, green_bits), (codes, bits), (far_codes, far_lengths) = tables
-    place = np.concatenate([kept, starts])
-    entries = np.zeros((len(place), 4), np.int64), np.zeros((len(place), 4), np.int64)
-    n = len(kept)
-    for held, by_green, by_other in zip(entries, (green_codes, green_bits), (codes, bits), strict=True):
-        held[:n, 0], held[:n, 1], held[:n, 2] = by_green[rgb[kept, 1]], by_other[rgb[kept, 0]], by_other[rgb[kept, 2]]
-    for held, columns in zip(entries, ((green_codes[LITERALS + length], length_rest, far_codes[far], far_rest), (green_bits[LITERALS + length], length_bits, far_lengths[far], far_bits)), strict=True):
-        held[n:] = np.stack(columns, 1)
-    order = np.argsort(place, kind="stable") if len(starts) else slice(None)
-    codes, lengths = (held[order].ravel() for held in entries)
-    codes[lengths == 0] = 0
-    used = slice(None) if len(starts) else np.flatnonzero(np.arange(len(codes)) & 3 != 3)
-    return value, size, codes[used], lengths[used]
+    (green_codes, green_lengths), (codes, lengths), (far_codes, far_lengths) = tables
+    bits = size + int((counts[0] + counts[2]) @ lengths + counts[1] @ green_lengths[:LITERALS])
+    copies = []
+    if len(starts):
+        copies = [(green_codes[LITERALS + length], green_lengths[LITERALS + length]), (length_rest, length_bits), (far_codes[far], far_lengths[far]), (far_rest, far_bits)]
+        bits += sum(int(x.sum()) for _, x in copies)
+    return Form(value, size, bits, [(green, green_codes, green_lengths), (red, codes, lengths), (blue, codes, lengths)], copies, kept, starts)
 
 
 def put_image(w: Writer, argb: Sequence[int], width: int, *, main: bool, cache_bits: int = 0, references: bool = True, meta_shift: int = 0) -> None:

@@ -325,3 +325,17 @@ def test_common_members_are_never_underestimated():
     common = np.array([[len(np.intersect1d(a, b)) for b in sets] for a in sets])
     assert (bound >= common).all() and (np.diag(bound) == np.diag(common)).all()
     assert bound[3, 4] < 150  # of 300 each, none in common
+
+
+def test_only_the_stored_form_of_an_image_is_laid_out(monkeypatch):
+    """Both forms were laid out in full and one thrown away; the bits known beforehand are those of the file."""
+    seen, laid = [], webp.Form.laid
+    monkeypatch.setattr(webp.Form, "laid", lambda form: seen.append((form, laid(form))) or seen[-1][1])
+    for text in ("plain words here", "again and again " * 300, "a" * 40_000, "\n"):
+        seen.clear()
+        payload = media.payload_of(text)
+        made = media.stored(payload)
+        assert np.ascontiguousarray(media.pixels_of(made)[..., 1:]).tobytes() == payload
+        ((form, (_, lengths)),) = seen
+        assert form.bits == form.size + lengths.sum()
+        assert len(made) == 20 + (size := -(-(40 + form.bits) // 8)) + (size & 1)
