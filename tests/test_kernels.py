@@ -122,3 +122,20 @@ def test_pairs_are_made_once_in_bounded_memory(positions):
     tracemalloc.stop()
     assert (made.symbols == want).all() and engine.pairs() is made
     assert positions or peak < 24 * len(codes)
+
+
+@pytest.mark.parametrize("sigma", [3, 300])
+def test_tree_stays_balanced(sigma):
+    """A full leaf led to new sums over all leaves, and every insertion walked a list of groups that grew with the set."""
+    rng = np.random.default_rng(5)
+    tree, held = builders.SymbolTree(sigma, leaf=4, fan=4), []
+    for _ in range(1500):
+        at, symbol, asked = int(rng.integers(0, len(held) + 1)), int(rng.integers(0, sigma + 1)), int(rng.integers(0, sigma + 1))
+        assert tree.insert(at, symbol, asked) == held[:at].count(asked)
+        held.insert(at, symbol)
+    assert tree.symbols().tolist() == held and tree.smaller(2) == sum(s < 2 for s in held)
+    depth, node = 1, tree.root
+    while not node[3]:
+        assert len(node[0]) <= 4
+        depth, node = depth + 1, node[2][0]
+    assert 4 <= depth <= 9
