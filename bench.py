@@ -16,7 +16,7 @@ SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "8")
 #: The block-append builder, the baselines it is compared with, one-sort builds, and searches.
 BUILDERS = ("bwt_block_append", "bwt_block_append_long", "bwt_block_append_array", "bwt_brute_array", "bwt_column_wise", "bwt_backward_old_in_new", "bwt_short_reads", "bwt_gather")
-#: ``documents_index`` builds the index of whole documents that the searches after it share.
+#: ``documents_index`` builds one index of whole documents; the searches after it share blocks that the first of them indexes.
 HEADLINE = (*BUILDERS, "c_table", "documents_index", "fm_count_benchmark", "fm_documents_with", "invert_roundtrip")
 
 
