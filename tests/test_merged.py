@@ -33,7 +33,7 @@ def test_groups_are_merged(spark, narrow, name):
     assert symbols(merged.transform(strings, builders.appended)) == want
 
 
-@pytest.mark.parametrize("name", ["bwt_block_append_array"])
+@pytest.mark.parametrize("name", ["bwt_block_append_array", "bwt_whole_documents"])
 def test_no_set_takes_one_task(spark, small, name):
     """One task for the whole set took too long and too much memory."""
     plan = catalog.QUERIES[name](spark, small)._jdf.queryExecution().executedPlan().toString()
