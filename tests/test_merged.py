@@ -32,11 +32,11 @@ def test_groups_are_merged(spark, narrow, name):
     want = definition([t or "" for t in texts]) if texts else []
     assert symbols(merged.transform(strings, builders.appended)) == want
     if name == "odd":
-        for build in (builders.backward_single,):
+        for build in (builders.backward_single, builders.column_wise):
             assert symbols(merged.transform(strings, build, blocks=3)) == want
 
 
-@pytest.mark.parametrize("name", ["bwt_block_append_array", "bwt_whole_documents", "bwt_backward_old_in_new"])
+@pytest.mark.parametrize("name", ["bwt_block_append_array", "bwt_whole_documents", "bwt_backward_old_in_new", "bwt_column_wise"])
 def test_no_set_takes_one_task(spark, small, name):
     """One task for the whole set took too long and too much memory."""
     plan = catalog.QUERIES[name](spark, small)._jdf.queryExecution().executedPlan().toString()
