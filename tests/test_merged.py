@@ -41,3 +41,15 @@ def test_no_set_takes_one_task(spark, small, name):
     """One task for the whole set took too long and too much memory."""
     plan = catalog.QUERIES[name](spark, small)._jdf.queryExecution().executedPlan().toString()
     assert "Coalesce" not in plan
+
+
+@pytest.mark.parametrize("name", ["block_ranks_g"])
+def test_ranks_need_no_suffix_texts(spark, small, name, monkeypatch):
+    """Rows with suffix texts filled the disk."""
+
+    def refused(*args, **options):
+        raise AssertionError("suffix texts are sorted")
+
+    monkeypatch.setattr(catalog.rows, "bwt_once", refused)
+    monkeypatch.setattr(catalog.ranking, "ordered_new", refused)
+    assert catalog.QUERIES[name](spark, small).count() == 244990
