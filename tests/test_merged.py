@@ -43,7 +43,7 @@ def test_no_set_takes_one_task(spark, small, name):
     assert "Coalesce" not in plan
 
 
-@pytest.mark.parametrize("name", ["block_ranks_g"])
+@pytest.mark.parametrize("name", ["block_ranks_g", "insert_positions"])
 def test_ranks_need_no_suffix_texts(spark, small, name, monkeypatch):
     """Rows with suffix texts filled the disk."""
 
