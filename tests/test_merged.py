@@ -36,7 +36,7 @@ def test_groups_are_merged(spark, narrow, name):
             assert symbols(merged.transform(strings, build, blocks=3)) == want
 
 
-@pytest.mark.parametrize("name", ["bwt_block_append_array", "bwt_whole_documents", "bwt_backward_old_in_new", "bwt_column_wise", "bwt_block_append", "bwt_block_append_long"])
+@pytest.mark.parametrize("name", ["bwt_block_append_array", "bwt_whole_documents", "bwt_backward_old_in_new", "bwt_column_wise", "bwt_block_append", "bwt_block_append_long", "conversations_append"])
 def test_no_set_takes_one_task(spark, small, name):
     """One task for the whole set took too long and too much memory."""
     plan = catalog.QUERIES[name](spark, small)._jdf.queryExecution().executedPlan().toString()
