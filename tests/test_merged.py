@@ -1,9 +1,11 @@
 """Groups of strings built side by side and merged by sorted ranks, cut small, on odd sets."""
 
+import numpy as np
 import pytest
 
 from corpusbwt.baselines import builders
-from corpusbwt.operators import merged
+from corpusbwt.functions import kernels
+from corpusbwt.operators import merged, suffixsort
 from corpusbwt.operators.stringset import string_set
 from corpusbwt.plans import catalog
 from corpusbwt.session import written
@@ -36,9 +38,29 @@ def test_groups_are_merged(spark, narrow, name):
             assert symbols(merged.transform(strings, build, blocks=3)) == want
 
 
+def test_packed_ranks():
+    """The compact engine against listed positions, with chains of strings alone and together, and a start for each string."""
+    rng = np.random.default_rng(5)
+    for sigma, n in ((1, 300), (5, 70_000), (150, 140_000), (254, 1000)):
+        symbols = rng.integers(0, sigma + 1, n).astype(np.uint8)
+        packed, listed = kernels.PackedRanks(symbols, sigma), kernels.RankEngine(symbols, sigma, positions=True)
+        sizes = np.concatenate([rng.integers(0, 40, 60), [700, 0, 900]])
+        bounds = np.concatenate([[0], np.cumsum(sizes)])
+        codes, start = rng.integers(1, sigma + 1, bounds[-1]), rng.integers(0, 50, len(sizes))
+        assert (kernels.chain_ranks(packed, codes, bounds, start) == kernels.chain_ranks(listed, codes, bounds, start)).all()
+        every = np.arange(n + 1)
+        for c in {0, 1, sigma}:
+            assert (packed.rank(np.full(n + 1, c), every) == np.concatenate([[0], np.cumsum(symbols == c)])).all()
+
+
 @pytest.mark.parametrize("name", ["bwt_block_append_array", "bwt_whole_documents", "bwt_backward_old_in_new", "bwt_column_wise", "bwt_block_append", "bwt_block_append_long", "conversations_append"])
-def test_no_set_takes_one_task(spark, small, name):
-    """One task for the whole set took too long and too much memory."""
+def test_no_set_takes_one_task(spark, small, name, monkeypatch):
+    """One task for the whole set, or for a fixed share of it, took too long and too much memory."""
+
+    def refused(*args, **options):
+        raise AssertionError("a block is sorted by one task, whatever its size")
+
+    monkeypatch.setattr(suffixsort, "places_local", refused)
     plan = catalog.QUERIES[name](spark, small)._jdf.queryExecution().executedPlan().toString()
     assert "Coalesce" not in plan
 
