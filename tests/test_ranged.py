@@ -1,5 +1,6 @@
 """The range-by-range sorter against the definition, cut into many ranges and passes, on odd sets."""
 
+import numpy as np
 import pytest
 
 from corpusbwt.operators import bwt, numbering, ranged, ranking, suffixsort
@@ -73,3 +74,35 @@ def test_neighbours_are_not_broadcast(spark):
     found = bwt.neighbours(suffixsort.sort_local(strings))
     assert "BroadcastHashJoin" not in found._jdf.queryExecution().executedPlan().toString()
     assert found.count() == strings.count() * 7
+
+
+def test_small_alphabets_share_bytes(spark, monkeypatch):
+    """Words of eight letters left most suffixes of four letters tied, with the splitters and with each other."""
+    monkeypatch.setattr(ranged, "RANGE_BYTES", 2000)
+    rng, texts = np.random.default_rng(3), {}
+    for size in (4, 15, 16, 40):
+        drawn = ["".join(chr(97 + x) for x in rng.integers(0, size, n)) for n in rng.integers(0, 60, 20)]
+        texts[size] = [*drawn, *drawn[:5], "".join(chr(97 + i) for i in range(size)), drawn[0] * 3, "a" * 90, "a" * 91]
+    for size, held in texts.items():
+        strings = written(string_set(spark.createDataFrame(list(enumerate(held)), "id long, t string"), "t", ["id"]))
+        found = ranged.sort_ranged(strings, places=True)
+        assert both(found.suffix_array(), suffixsort.sort_direct(strings)) == (0, 0) and len(found.sizes) > 1
+        assert ranged._code_bits(found.points[1:]) == (4 if size <= 15 else 8)
+
+
+def test_words_are_sorted_to_their_ends():
+    """Sorted in pieces that fit a number with group and place, against the words as tuples; equal ones stay in order."""
+    rng = np.random.default_rng(4)
+    for top in (2, 1 << 20, 1 << 63):
+        texts = [(*(int(x) << 8 | 1 for x in rng.integers(0, top >> 8 or 2, rng.integers(0, 4))), int(rng.integers(0, 3)) << 8) for _ in range(3000)]
+        counts, words = np.array([len(t) for t in texts]), np.array([w for t in texts for w in t], np.uint64)
+        assert ranged._ordered(words, counts).tolist() == sorted(range(len(texts)), key=lambda i: texts[i])
+
+
+def test_projection_is_taken_once(spark):
+    """The windows' conditions took it again for every place in which they name the text."""
+    docs = spark.createDataFrame([(0, "Über, Zebra 1"), (1, None), (2, "\U0001f600"), (3, "")], "id long, t string")
+    found = tables.dna_projection(docs, "t")
+    assert {r.id: r.t for r in found.collect()} == {0: "caccacca", 1: None, 2: "", 3: ""}
+    plan = tables.read_windows(found, ["id"], "t", 3)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("lower") == 1
