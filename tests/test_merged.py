@@ -1,5 +1,7 @@
 """Groups of strings built side by side and merged by sorted ranks, cut small, on odd sets."""
 
+from functools import partial
+
 import numpy as np
 import pytest
 
@@ -75,3 +77,27 @@ def test_ranks_need_no_suffix_texts(spark, small, name, monkeypatch):
     monkeypatch.setattr(catalog.rows, "bwt_once", refused)
     monkeypatch.setattr(catalog.ranking, "ordered_new", refused)
     assert catalog.QUERIES[name](spark, small).count() == 244990
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_two_symbols_a_step(spark, narrow, seed):
+    """Two symbols a step through packed pairs, in groups and between them, against single steps."""
+    rng = np.random.default_rng(seed)
+    texts = ["".join("acgt"[x] for x in rng.integers(0, 4, n)) for n in rng.integers(0, 14, 40)]
+    strings = written(string_set(spark.createDataFrame(list(enumerate(texts)), "id long, t string"), "t", ["id"]))
+    points = np.array([0, *map(ord, "acgt")], np.int32)
+    assert symbols(merged.transform(strings, partial(builders.appended, q=2), blocks=2, q=2, points=points)) == definition(texts)
+    codes, bounds = merged._coded(texts, points)
+    packed = kernels.PackedRanks(builders.brute(codes, bounds).astype(np.uint8), 4)
+    for start in (0, 17):
+        assert (kernels.chain_ranks(packed, codes, bounds, start, 2) == kernels.chain_ranks(packed, codes, bounds, start)).all()
+
+
+def test_two_symbol_steps_store_no_row_a_suffix(spark, small, monkeypatch):
+    """Blocks went through rows with suffix, rank and place, which filled the disk."""
+
+    def refused(*args, **options):
+        raise AssertionError("rows of suffixes are stored")
+
+    monkeypatch.setattr(catalog.builder, "build", refused)
+    assert catalog.QUERIES["bwt_dna_two_symbol_steps"](spark, small).count() == 380435
