@@ -1,5 +1,6 @@
 """Groups of strings built side by side and merged by sorted ranks, cut small, on odd sets."""
 
+import threading
 from functools import partial
 
 import numpy as np
@@ -101,3 +102,41 @@ def test_two_symbol_steps_store_no_row_a_suffix(spark, small, monkeypatch):
 
     monkeypatch.setattr(catalog.builder, "build", refused)
     assert catalog.QUERIES["bwt_dna_two_symbol_steps"](spark, small).count() == 380435
+
+
+def test_neighbours_are_merged_side_by_side(spark, narrow, monkeypatch):
+    """Merges of a few groups waited for each other, however many there were."""
+    met, insert = threading.Barrier(2, timeout=60), merged.inserted
+    waiting = [met.wait, met.wait]
+
+    def one(*args):
+        if waiting:
+            waiting.pop()()
+        return insert(*args)
+
+    monkeypatch.setattr(merged, "inserted", one)
+    monkeypatch.setattr(merged, "MOST_SENT", 1 << 20)
+    texts = SETS["copies"][:32]
+    strings = written(string_set(spark.createDataFrame(list(enumerate(texts)), "id long, t string"), "t", ["id"]))
+    assert symbols(merged.transform(strings, builders.appended, blocks=4)) == definition(texts) and not waiting
+
+
+def test_ranks_in_parts_are_summed(spark, narrow):
+    """Ranks in every part were held side by side, so a task took few strings and made each part's counters for them alone."""
+    texts = SETS["copies"][:24]
+    strings = written(string_set(spark.createDataFrame(list(enumerate(texts)), "id long, t string"), "t", ["id"]))
+    parts = merged.groups(strings, builders.appended)
+    assert len(parts) > 2
+    found = merged.chained(strings, parts, lambda sid, sizes, ranks: [np.repeat(sid, sizes + 1), ranks.astype(np.int64)], "sid long, g long")
+    assert sorted(r.g for r in found.collect()) == list(range(sum(len(t) + 1 for t in texts)))
+
+
+def test_sorted_places():
+    """Places travel in the numbers that are sorted, where both fit; equal keys stay in order then."""
+    rng = np.random.default_rng(6)
+    for bits, n in ((3, 1000), (40, 5000), (64, 1000), (1, 1)):
+        key = rng.integers(0, 1 << min(bits, 62), n).astype(np.uint64)
+        order, lead = kernels.sorted_places(key, bits)
+        assert (key[order] == np.sort(key)).all() and lead.sum() == len(np.unique(key))
+        if bits < 64:
+            assert (order == np.argsort(key, kind="stable")).all()
